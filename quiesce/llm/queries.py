@@ -46,5 +46,11 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality, op6_exact_dedup, op7_byte_bpe, op8_suffix_tree, op9_simhash)}
+def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .language import predict_language
+
+    return predict_language(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op2_quality, op6_exact_dedup, op7_byte_bpe, op8_suffix_tree, op9_simhash, op10_language)}
 ORACLES = {"op6_exact_dedup": OP6_SQL}
