@@ -13,6 +13,12 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op4_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pii import find_spans
+
+    return find_spans(table(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .exact_dedup import exact_dedup
 
@@ -52,5 +58,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return predict_language(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_quality, op6_exact_dedup, op7_byte_bpe, op8_suffix_tree, op9_simhash, op10_language)}
+QUERIES = {f.__name__: f for f in (op2_quality, op4_pii, op6_exact_dedup, op7_byte_bpe, op8_suffix_tree, op9_simhash, op10_language)}
 ORACLES = {"op6_exact_dedup": OP6_SQL}
