@@ -257,6 +257,14 @@ class SuffixTree:
         return np.concatenate(out)
 
 
+def _parts(table: pa.Table, i: int) -> Iterator[tuple[list[bytes], int]]:
+    """Some texts of a block at a time, with the place of the first: tokens take far more memory than text."""
+    at = 0
+    for part in _batches(_texts(table.column("content")[i].as_py(), table.column("lengths")[i].as_py()), 1 << 21):
+        yield part, at
+        at += len(part)
+
+
 def grow(grams: DataFrame, depth: int, floor: float, test: float) -> SuffixTree:
     """The tree from counts of the longest strings; at most 2 (depth + 1) / floor rows reach the driver."""
     total = grams.agg(F.sum("n")).first()[0] or 0
@@ -292,11 +300,11 @@ def score_texts(
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         count_of = dict(zip(right.column("token").to_pylist(), right.column("c").to_pylist()))
+        del right
         ids, held, parts = [], [], []
-        for i in range(left.num_rows):
-            texts = _texts(left.column("content")[i].as_py(), left.column("lengths")[i].as_py())
-            ids += left.column("ids")[i].as_py()
-            held += left.column("held")[i].as_py()
+        for texts, i, at in ((part, i, at) for i in range(left.num_rows) for part, at in _parts(left, i)):
+            ids += left.column("ids")[i].as_py()[at : at + len(texts)]
+            held += left.column("held")[i].as_py()[at : at + len(texts)]
             tokens = [t.split(b" ") for t in texts]
             n = np.fromiter(map(len, tokens), np.int64, len(tokens))
             flat = [w for t in tokens for w in t]
