@@ -33,6 +33,7 @@ repeat an id are scored each; extra columns are ignored.
 
 from __future__ import annotations
 
+import ctypes
 from collections import Counter
 from collections.abc import Iterator
 
@@ -49,6 +50,15 @@ END_TOKEN = b"\n"
 _BLOCK = "block long, ids array<{kind}>, held array<boolean>, lengths array<int>, content binary"
 
 
+def release() -> None:
+    """Gives freed memory back, so that two Python workers fit beside the JVM."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library
+
+
 def normal(text: str | None) -> bytes:
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     words.append(END_TOKEN)
@@ -113,6 +123,8 @@ def word_counts(blocks: DataFrame) -> DataFrame:
                 for at in range(0, len(tokens), 100_000):
                     part = tokens[at : at + 100_000]
                     yield pa.RecordBatch.from_pydict({"block": pa.array(np.full(len(part), row["block"])), "token": pa.array(part, pa.binary()), "c": pa.array(c[at : at + 100_000], pa.int64())})
+                del counts, seen, tokens, c
+        release()
 
     return blocks.select("block", "held", "lengths", "content").mapInArrow(run, "block long, token binary, c long")
 
@@ -143,27 +155,27 @@ def gram_counts(blocks: DataFrame, depth: int) -> DataFrame:
     """code, n: byte strings of length depth + 1 in training texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total_codes, total_n = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        parts: list[tuple[np.ndarray, np.ndarray]] = []
 
-        def merged(codes: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        def merged() -> pa.RecordBatch:
+            codes, n = (np.concatenate(x) for x in zip(*parts))
+            parts.clear()
             order = np.argsort(codes, kind="stable")
             codes, n = codes[order], n[order]
-            first = np.flatnonzero(np.concatenate(([True], codes[1:] != codes[:-1]))) if len(codes) else np.zeros(0, np.int64)
-            return codes[first], np.add.reduceat(n, first) if len(first) else n
+            first = np.flatnonzero(np.concatenate(([True], codes[1:] != codes[:-1])))
+            return pa.RecordBatch.from_arrays([pa.array(codes[first].view(np.int64)), pa.array(np.add.reduceat(n, first))], ["code", "n"])
 
         for b in batches:
             for i in range(b.num_rows):
                 held, lengths, content = (b.column(k)[i].as_py() for k in range(3))
-                texts = [t for h, t in zip(held, _texts(content, lengths)) if not h]
-                for part in _batches(texts):
+                for part in _batches([t for h, t in zip(held, _texts(content, lengths)) if not h], 1 << 21):
                     codes = _codes(part, depth)
-                    codes, n = np.unique(codes[(codes & np.uint64(255)) != PAD], return_counts=True)
-                    total_codes, total_n = merged(np.concatenate([total_codes, codes]), np.concatenate([total_n, n]))
-                if len(total_codes) > 1_500_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(total_codes.view(np.int64)), pa.array(total_n)], ["code", "n"])
-                    total_codes, total_n = total_codes[:0], total_n[:0]
-        if len(total_codes):
-            yield pa.RecordBatch.from_arrays([pa.array(total_codes.view(np.int64)), pa.array(total_n)], ["code", "n"])
+                    parts.append(np.unique(codes[(codes & np.uint64(255)) != PAD], return_counts=True))
+                    if sum(len(c) for c, _ in parts) > 2_000_000:
+                        yield merged()
+        if parts:
+            yield merged()
+        release()
 
     return blocks.select("held", "lengths", "content").mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
 
@@ -260,7 +272,7 @@ class SuffixTree:
 def _parts(table: pa.Table, i: int) -> Iterator[tuple[list[bytes], int]]:
     """Some texts of a block at a time, with the place of the first: tokens take far more memory than text."""
     at = 0
-    for part in _batches(_texts(table.column("content")[i].as_py(), table.column("lengths")[i].as_py()), 1 << 21):
+    for part in _batches(_texts(table.column("content")[i].as_py(), table.column("lengths")[i].as_py()), 1 << 20):
         yield part, at
         at += len(part)
 
@@ -285,7 +297,7 @@ def grow(grams: DataFrame, depth: int, floor: float, test: float) -> SuffixTree:
 
 
 def score_texts(
-    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 5, floor: float = 3e-7, test: float = 8.0, share: float = 0.2, block_bytes: int = 1 << 24
+    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 5, floor: float = 3e-7, test: float = 8.0, share: float = 0.2, block_bytes: int = 1 << 23
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10)."""
     spark = docs.sparkSession
@@ -300,7 +312,6 @@ def score_texts(
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         count_of = dict(zip(right.column("token").to_pylist(), right.column("c").to_pylist()))
-        del right
         ids, held, parts = [], [], []
         for texts, i, at in ((part, i, at) for i in range(left.num_rows) for part, at in _parts(left, i)):
             ids += left.column("ids")[i].as_py()[at : at + len(texts)]
@@ -320,6 +331,8 @@ def score_texts(
             base = np.log10((c + 1) / (train + different + 1))
             parts.append([n, np.add.reduceat((c > 0).astype(np.int64), firsts), np.add.reduceat(base, firsts), np.add.reduceat(spelled, firsts) / np.log(10)])
         n, known, base, score = (np.concatenate(x) for x in zip(*parts)) if parts else [np.zeros(0)] * 4
+        del count_of, right
+        release()
         columns = [pa.array(ids, left.schema.field("ids").type.value_type), pa.array(held, pa.bool_()), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(np.full(len(ids), train), pa.int64()), pa.array(base, pa.float64()), pa.array(score, pa.float64())]
         return pa.Table.from_arrays(columns, ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
