@@ -36,6 +36,7 @@ from ..sources.tables import degrees, vertices_of
 EXPANDED_LIMIT = 10**8
 BROADCAST_BYTES = 256 << 20
 CHUNK = 10_000
+SHARD_EDGES = 100_000
 
 
 def rank_exact(edges: list[tuple[int, int]], vertices: list[int], d: float = 0.85, dangling: str = "fold") -> dict[int, float]:
@@ -109,7 +110,7 @@ def rank(
     if variant:
         return rank(edges, vertices, **({"d": d, "tol": tol, "shards": shards, "schedule": schedule, "stop": stop, "max_sweeps": max_sweeps, "broadcast_bytes": broadcast_bytes} | PRESETS[variant] | ({"sweeps_per_exchange": sweeps_per_exchange} if sweeps_per_exchange > 1 else {})))
     spark, clock, schedule, stop = edges.sparkSession, Clock(), schedule or Schedule.full(), stop or Stop.residual()
-    edges = edges.select("u", "v").distinct()
+    edges = edges.select("u", "v").distinct().persist()
     vertices = (vertices.select("id") if vertices is not None else vertices_of(edges)).distinct().persist()
     n = vertices.count()
     _checked(edges, d, n, dangling == "fold")
@@ -121,7 +122,8 @@ def rank(
     state = vertices.join(degrees(edges).withColumnRenamed("u", "id"), "id", "left").select("id", F.lit(first).alias("pr"), F.lit(0.0).alias("old"), F.when(F.col("dout") > 0, 1 / F.col("dout")).alias("inv_dout"))
     states, edge_states = States(), States()
     state = states.next(state)
-    parts = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = shards or max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-edges.count() // SHARD_EDGES)))
+    given = edges
     if orientation == "split":
         edges = edges.repartition(parts)
     elif orientation == "push":
@@ -139,7 +141,8 @@ def rank(
     edges = edge_states.next(edges)
     folded = dangling in ("fold", "sample")
     small = _small(n, 40, broadcast_bytes)
-    log, reason, sure = [], "sweeps", True
+    log, reason = [], "sweeps"
+    stubs_pending = first * state.filter("inv_dout is null").count()
     for sweep in range(1, max_sweeps + 1):
         pending = F.col("pr") - F.col("old")
         largest = state.agg(F.max(F.abs(pending))).first()[0] if schedule.kind == "priority" else 0.0
@@ -169,7 +172,9 @@ def rank(
         stub = F.col("inv_dout").isNull() & runs
         if folded:
             if dangling == "fold":
-                sigma = state.agg(F.coalesce(F.sum(F.when(stub, pending)), F.lit(0.0))).first()[0] / (n - 1)
+                # a full sweep takes what the last sweep's statistics found pending, so it needs no job of its own
+                held = state.agg(F.coalesce(F.sum(F.when(stub, pending)), F.lit(0.0))).first()[0] if schedule.partial or tol > 0 else stubs_pending
+                sigma = held / (n - 1)
                 extra = F.lit(d) * (F.lit(sigma) - F.when(stub, pending / (n - 1)).otherwise(0.0))
             else:
                 extra = F.coalesce("drawn", F.lit(0.0))
@@ -183,16 +188,19 @@ def rank(
         left = F.abs(F.col("pr") - F.col("old"))
         told = new
         if new_edges is not None and (sweeps_per_exchange > 1 or schedule.partial):  # edges of a vertex remember different values
-            stubs = new.filter("inv_dout is null").select(left.alias("left"), "pr")
+            stubs = new.filter("inv_dout is null").select(left.alias("left"), "pr", (F.col("pr") - F.col("old")).alias("lone"))
             gaps = edges.join(new.filter("inv_dout is not null").select(F.col("id").alias("u"), F.col("pr").alias("pr_u"), F.col("inv_dout").alias("share")), "u")
-            told, left = gaps.select((F.abs(F.col("pr_u") - F.col("seen")) * F.col("share")).alias("left"), F.lit(0.0).alias("pr")).unionByName(stubs), F.col("left")
-        stat = told.agg(F.sum(F.when(left > tol, 1).otherwise(0)).alias("enabled"), F.sum(left).alias("residual"), F.sum("pr").alias("mass"), F.count(F.lit(1)).alias("n")).first()
+            told, left = gaps.select((F.abs(F.col("pr_u") - F.col("seen")) * F.col("share")).alias("left"), F.lit(0.0).alias("pr"), F.lit(0.0).alias("lone")).unionByName(stubs), F.col("left")
+        else:
+            told = new.withColumn("lone", F.when(F.col("inv_dout").isNull(), F.col("pr") - F.col("old")).otherwise(0.0))
+        stat = told.agg(F.sum(F.when(left > tol, 1).otherwise(0)).alias("enabled"), F.sum(left).alias("residual"), F.sum("pr").alias("mass"), F.sum("lone").alias("lone"), F.count(F.lit(1)).alias("n")).first()
         log.append({"sweeps": sweep, "full": not schedule.partial, "evaluated": stat["n"], "enabled": stat["enabled"], "residual": stat["residual"], "change": stat["residual"], "mass": stat["mass"], "exchanged_rows": stat["n"], "secs": clock.lap()})
-        state = new
+        state, stubs_pending = new, stat["lone"] or 0.0
         if why := stop.reason(log[-1]):
             reason = why
             break
     vertices.unpersist()
+    given.unpersist()
     return Run(spark, {"ranks": state.select("id", "pr"), "vertices": state, "edges": edges}, log, reason)
 
 

@@ -19,7 +19,7 @@ from .streaming import loops as W
 
 QUERIES: dict = dict(relational.QUERIES)
 ORACLES: dict[str, str] = dict(relational.ORACLES)
-SWEEPS = 8  # of the rank queries, and of their SQL
+SWEEPS = 5  # of the rank queries, and of their SQL
 
 
 def _add(name: str, run, sql: str | None = None) -> None:
