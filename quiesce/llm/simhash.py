@@ -249,7 +249,7 @@ def _tiles(rows: DataFrame, radius: int, hot: int) -> DataFrame:
     out = rows
     for i, c in enumerate(cells):
         out = out.withColumn(f"c{i}", F.explode(c))
-    return out.select("fp", F.xxhash64("key", "c0", "c1", "c2").alias("key"))
+    return out.select(F.xxhash64("key", "c0", "c1", "c2").alias("key"), "fp")
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
