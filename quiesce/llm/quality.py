@@ -119,6 +119,7 @@ class FactorisationMachine:
     def fit(self, rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, passes: int = 6, rate: float = 0.15, decay: float = 1e-5, seed: int = 5) -> FactorisationMachine:
         """Adaptive gradient steps on the logistic loss, the rows in a fixed random order."""
         if len(labels) == 0:
+            self.v[:] = 0  # nothing learned: every score is one half
             return self
         rng = np.random.default_rng(seed)
         share = np.clip(labels.mean(), 1e-3, 1 - 1e-3)
