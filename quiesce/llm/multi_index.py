@@ -33,6 +33,8 @@ from .common import blocks_for
 
 WORDS = 64
 SAMPLE = 16_384
+#: A query visits cells with at least so many entries.
+LEAST = 100
 
 
 def _matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
@@ -153,7 +155,7 @@ def search(vectors: DataFrame, asks: Column, row_id: str = "vec_id", vector: str
     held = [0] * n_cells  # a count for each cell: a bounded table
     for r in entries.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect():
         held[r["cell"]] = r["n"]
-    enough = int(np.ceil(share * lengths["n"]))
+    enough = max(int(np.ceil(share * lengths["n"])), LEAST)  # small tables are searched whole
     counts = spark.sparkContext.broadcast(held)
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
