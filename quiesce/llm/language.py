@@ -36,7 +36,7 @@ from .common import crc_mod
 
 ORDER = 3
 DIMS = 1 << 12
-SAMPLE = 6_000
+SAMPLE = 3_000
 _LETTER = re.compile(r"[^\W\d_]")
 #: Letters in ASCII lower case; bytes over 127 stay; everything else is a space.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -89,11 +89,11 @@ class Centroids:
     def __init__(self, rows: np.ndarray, langs: list[str], clusters: int, quantile: float, slack: float) -> None:
         """rows: damped frequencies of the training texts."""
         self.langs = sorted(set(langs))
-        self.idf = np.log((1 + len(rows)) / (1 + (rows > 0).sum(axis=0))) + 1 if len(rows) else np.ones(DIMS)
+        self.idf = (np.log((1 + len(rows)) / (1 + np.count_nonzero(rows, axis=0))) + 1 if len(rows) else np.ones(DIMS)).astype(np.float32)
         x, of = _unit(rows * self.idf), np.array(langs)
         centres, owner = [], []
         for i, lang in enumerate(self.langs):
-            c = spherical_kmeans(x[of == lang], clusters)
+            c = spherical_kmeans(x[of == lang], clusters).astype(np.float32)
             centres.append(c)
             owner += [i] * len(c)
         self.centres, self.owner = np.concatenate(centres) if centres else np.zeros((0, DIMS)), np.array(owner, int)
@@ -157,6 +157,7 @@ def fit(docs: DataFrame, row_id: str, text: str, lang: str, held_out: tuple[int,
                 rows = frequencies([texts[i] for i in part]).astype(np.float16)
                 yield pa.RecordBatch.from_arrays([pa.array([orders[i] for i in part], pa.int64()), pa.array([langs[i] for i in part]), pa.array([r.tobytes() for r in rows], pa.binary())], ["o", "l", "v"])
 
+    # at most about ``sample`` rows of two bytes for each slot
     got = chosen.select(F.col(text).alias("t"), F.col(lang).alias("l"), order.alias("o")).mapInArrow(run, "o long, l string, v binary").toArrow().sort_by([("o", "ascending"), ("l", "ascending")])
     vectors = np.frombuffer(b"".join(got.column("v").to_pylist()), np.float16).reshape(-1, DIMS).astype(np.float32)
     return Centroids(vectors, got.column("l").to_pylist(), clusters, quantile, slack)
