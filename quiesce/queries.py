@@ -272,6 +272,7 @@ def _product(layout: str):
 
 for _l, _n in (("coo", "mm_sparse_product"), ("row_lists", "mm_row_lists"), ("padded", "mm_padded"), ("jagged", "mm_jagged")):
     _add(_n, _product(_l), f"WITH a AS ({_A}) SELECT a.i AS i, b.i AS j, CAST(sum(a.val * b.val) AS BIGINT) AS val FROM a JOIN a b ON a.j = b.j GROUP BY a.i, b.i")
+_add("mm_derived", lambda spark, sf_dir: _product(L.product_layout(L.diagonal_product("jagged")))(spark, sf_dir), ORACLES["mm_jagged"])
 _add("mm_jagged_form", lambda spark, sf_dir: P.to_jagged(_matrix(spark, sf_dir)), f"WITH a AS ({_A}) SELECT CAST(count(*) OVER (PARTITION BY i) AS BIGINT) AS length, i, CAST(row_number() OVER (PARTITION BY i ORDER BY j) - 1 AS INT) AS kk, j, val FROM a")
 
 

@@ -45,6 +45,14 @@ def test_derived_programs_run(spark):
     assert L.kmeans_options(k) == {"layout": "localized", "exchange": "indirect", "sweeps_per_exchange": 1, "shards": 2, "split": "value"}
 
 
+def test_diagonal_chain():
+    s = L.diagonal_product("padded")
+    assert L.product_layout(s) == "padded" and s.order == ("k", "i") and len(s.steps) == 5
+    plain = L.fix_layout(L.index_reservoir(L.product_spec()), "padded")
+    with pytest.raises(L.IllegalStep):
+        L.product_layout(plain)
+
+
 def test_cheapest_forms():
     best = L.ranked(L.rank_spec(), {"vertices": 1e6, "edges": 1e7, "dangling": 1e5})[0]
     assert best.folded and "old" in best.embedded and L.single_writer(best, "pr")
