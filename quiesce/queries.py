@@ -223,7 +223,7 @@ def pr_topn_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
 _NAMES = f"(SELECT name, row_number() OVER (ORDER BY name) AS id FROM (SELECT a AS name FROM ({S.GRAPHS['names']}) UNION SELECT b FROM ({S.GRAPHS['names']})))"
 _add("pr_topn_pages", pr_topn_pages, S.rank_delta("pages", SWEEPS, select=f"SELECT name, pr FROM (SELECT id, round(sum(x), 9) AS pr FROM t GROUP BY id ORDER BY pr DESC, id LIMIT 10) JOIN {_NAMES} USING (id)"))
 _add("pr_kron_generated", lambda spark, sf_dir: _ranks(R.rank(G.gen_kron(spark, 10, 8_000), variant="r4", stop=Stop.max_iter(4), max_sweeps=4)))
-_add("pr_sampled_fold", lambda spark, sf_dir: _ranks(R.rank(_pages(spark, sf_dir), dangling="sample", stop=Stop.max_iter(4), max_sweeps=4)))
+_add("pr_sampled_fold", lambda spark, sf_dir: _ranks(R.rank(_pages(spark, sf_dir), dangling="sample", stop=Stop.max_iter(2), max_sweeps=2)))
 
 # ---- baselines
 
