@@ -135,9 +135,15 @@ class _Forest:
 def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """A star forest (member, root) that spans the links among sorted, different fingerprints."""
     forest = _Forest(len(fps))
+    labels = np.arange(len(fps))
     for i, j in _near_pairs(fps, pivot_table(fps, refs), radius):
-        for a, b in zip(i.tolist(), j.tolist()):
-            forest.join(a, b)
+        for at in range(0, len(i), 4096):
+            a, b = i[at : at + 4096], j[at : at + 4096]
+            apart = labels[a] != labels[b]  # most pairs of a crowded group are connected already
+            if apart.any():
+                for x, y in zip(a[apart].tolist(), b[apart].tolist()):
+                    forest.join(x, y)
+                labels = np.fromiter(map(forest.root, range(len(fps))), np.int64, len(fps))
     roots = np.array([forest.root(i) for i in range(len(fps))])
     member = np.flatnonzero(roots != np.arange(len(fps)))
     return fps[member], fps[roots[member]]
