@@ -6,14 +6,20 @@ the lengths of the pieces and of the matches before it. Patterns start at the he
 of a run (or where the last match ended), which finds the same matches and never
 tries the inside of a run again, so a text without white space costs no more.
 
-*Information-theoretic sanitisation.* A kind of personal data k is protected in
-every text that holds it. A term t (run of letters, outside addresses) reveals k by
-the pointwise mutual information  log(n_tk N / (n_t n_k)),  document counts taken over
-the whole corpus; it discloses k if that reaches ``alpha`` times the information
-log(N / n_k) of k itself, on at least ``support`` texts with both. In a text that
-holds k such terms become spans of kind "term". The term is generalised to its
-first ``prefix`` letters if those reveal no protected kind of the text, by the same
-measure, and removed otherwise. Texts without personal data never change.
+*Information-theoretic sanitisation.* Protected entities are the different matched
+values (an address, a number, whatever its spelling) and the four kinds, each in every
+text that holds it. A term t (run of letters, outside addresses) reveals an entity e by
+the pointwise mutual information  log(n_te N / (n_t n_e)),  document counts taken over
+the whole corpus; it discloses e if that reaches ``alpha`` times the information
+log(N / n_e) of e itself, on at least ``support`` different texts with both, and chance
+does not explain it: were t dealt out over texts regardless of e, so many of the
+different texts of e would hold it with a probability of at most exp(-d_e KL(d_te / d_e
+|| n_t / N)), which has to stay below ``level`` over the number of terms of the corpus
+(at most ``level`` terms of an entity are expected to pass by chance). d counts
+different texts, so copies of one text are no evidence. In a text that holds e such
+terms become spans of kind "term". The term is generalised to its first ``prefix``
+letters if those disclose no entity of the text, by the same measure, and removed
+otherwise. Texts without personal data never change.
 
 Terms are counted under 64-bit hashes, so the shuffle carries numbers, combined in
 each task first. Texts are shuffled only where they hold personal data.
@@ -47,7 +53,7 @@ KINDS = tuple(PATTERNS)
 _HINTS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
 _WORD = r"\p{L}\p{M}"
 _BYTE = r"^0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])$"
-SPAN = "array<struct<kind:string,start:int,end:int>>"
+SPAN = "array<struct<kind:string,start:int,end:int,m:string>>"
 _STEP = 128
 
 
@@ -92,7 +98,7 @@ def spans_of(kind: str, text: Column, pattern: Column) -> Column:
             return F.struct(F.lit(kind).alias("kind"), start.alias("start"), F.length(m).alias("n"), m.alias("m"))
 
         good = F.filter(F.transform(found, span), lambda s: _passes(kind, s["m"]))
-        return F.transform(good, lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), (s["start"] + s["n"]).alias("end")))
+        return F.transform(good, lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), (s["start"] + s["n"]).alias("end"), s["m"].alias("m")))
 
     def with_gaps(found: Column, pieces: Column) -> Column:
         gaps = F.transform(found, lambda m, i: F.get(pieces, i) + F.when(i > 0, F.length(F.get(found, i - 1))).otherwise(0))
@@ -129,40 +135,56 @@ def _class_of(term: Column, prefix: int) -> Column:
     return F.substring(term, 1, prefix)
 
 
-def disclosing(based: DataFrame, text: str, alpha: float, support: int, prefix: int) -> tuple[DataFrame, DataFrame]:
-    """(hash, mask) of terms and of prefixes; mask: the kinds that they disclose. Counts cover every row."""
-    terms = _terms(F.col(text))
-    held = [F.col("_mask").bitwiseAND(F.lit(1 << i)) / (1 << i) for i in range(len(KINDS))]
-    corpus = based.agg(F.count(F.lit(1)).alias("n"), *(F.sum(h.cast("long")).alias(f"k{i}") for i, h in enumerate(held)))
-
-    def counted(items: Column) -> DataFrame:
-        rows = based.select("_mask", F.explode(items).alias("h"))
-        counts = rows.groupBy("h").agg(F.count(F.lit(1)).alias("n_t"), *(F.count(F.when(F.col("_mask").bitwiseAND(F.lit(1 << i)) > 0, 1)).alias(f"t{i}") for i in range(len(KINDS))))
-        counts = counts.filter(F.greatest(*(f"t{i}" for i in range(len(KINDS)))) >= support)
-        every = counts.join(F.broadcast(corpus))  # one row
-        bits = []
-        for i in range(len(KINDS)):
-            pmi = F.log(F.col(f"t{i}") * F.col("n") / (F.col("n_t") * F.col(f"k{i}")))
-            # a kind that every text holds has no information to protect
-            tells = (F.col(f"t{i}") >= support) & (F.col(f"k{i}") < F.col("n")) & (pmi >= alpha * F.log(F.col("n") / F.col(f"k{i}")))
-            bits.append(F.when(tells, 1 << i).otherwise(0))
-        return every.select("h", reduce(lambda a, b: a + b, bits).alias("told")).filter("told > 0")
+def _entities(spans: Column) -> Column:
+    """Hashes of the kinds and of the different values among base spans."""
+    value = lambda s: F.when(s["kind"].isin("card", "phone"), F.regexp_replace(s["m"], "[^0-9]", "")).otherwise(F.lower(s["m"]))
+    return F.array_distinct(F.concat(F.transform(spans, lambda s: F.xxhash64(s["kind"])), F.transform(spans, lambda s: F.xxhash64(s["kind"], value(s)))))
 
+
+def disclosing(based: DataFrame, text: str, alpha: float, support: int, level: float, prefix: int) -> tuple[DataFrame, DataFrame]:
+    """(e, h) of terms and of prefixes: hashes of an entity and of what discloses it. Counts cover every row."""
+    terms = F.array_remove(_terms(F.col(text)), "")
     words = F.transform(terms, lambda w: F.xxhash64(w))
     heads = F.array_distinct(F.transform(terms, lambda w: F.xxhash64(_class_of(w, prefix))))
-    return counted(words), counted(heads)
-
-
-def disclosed_terms(based: DataFrame, row_id: str, text: str, alpha: float, support: int, prefix: int) -> DataFrame:
-    """id, words: array of (word, put) that disclose a kind held by the row of that id."""
-    told, told_heads = disclosing(based, text, alpha, support, prefix)
-    words = based.filter("_mask > 0").select(F.col(row_id).alias("_id"), "_mask", F.explode(_terms(F.col(text))).alias("w")).filter("w <> ''")
-    words = words.withColumns({"h": F.xxhash64("w"), "head": F.xxhash64(_class_of(F.col("w"), prefix))})
-    hits = words.join(told, "h").filter(F.col("told").bitwiseAND(F.col("_mask")) > 0).drop("told")
-    known = hits.join(told_heads.select(F.col("h").alias("head"), F.col("told").alias("head_told")), "head", "left")
-    general = (F.length("w") > prefix + 1) & (F.coalesce("head_told", F.lit(0)).bitwiseAND(F.col("_mask")) == 0)
+    private = based.filter("_mask > 0").select(F.xxhash64(text).alias("x"), _entities(F.col("_base")).alias("es"), terms.alias("ts"))
+    # one row for each different text, with the number of its copies
+    texts = private.groupBy("x").agg(F.count(F.lit(1)).alias("copies"), F.first("es").alias("es"), F.first("ts").alias("ts"))
+    entities = texts.select("copies", F.explode("es").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("d_e"), F.sum("copies").alias("n_e")).filter(F.col("d_e") >= support)
+    # an entity of fewer texts cannot be disclosed, so its pairs are not made
+    kept = texts.select("x", F.explode("es").alias("e")).join(entities.select("e"), "e", "left_semi").groupBy("x").agg(F.collect_list("e").alias("es"))
+    texts = texts.drop("es").join(kept, "x")
+    rows = based.agg(F.count(F.lit(1)).alias("n"))
+
+    def told(items: Column, of_text: Column) -> DataFrame:
+        counts = based.select(F.explode(items).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("n_t"))
+        corpus = counts.agg(F.count(F.when(F.col("n_t") > 0, 1)).alias("v")).join(F.broadcast(rows))
+        pairs = texts.select("copies", "es", F.explode(of_text).alias("h")).select("copies", F.explode("es").alias("e"), "h")
+        pairs = pairs.groupBy("e", "h").agg(F.count(F.lit(1)).alias("d_te"), F.sum("copies").alias("n_te")).filter(F.col("d_te") >= support)
+        every = pairs.join(entities, "e").join(counts, "h").join(F.broadcast(corpus))  # one row
+        n, share, usual = F.col("n"), F.col("d_te") / F.col("d_e"), F.col("n_t") / F.col("n")
+        pmi = F.log(F.col("n_te") * n / (F.col("n_t") * F.col("n_e")))
+        rest = F.when(share < 1, (1 - share) * F.log((1 - share) / (1 - usual))).otherwise(0.0)
+        surprise = F.when(share > usual, F.col("d_e") * (share * F.log(share / usual) + rest)).otherwise(0.0)
+        # an entity that every text holds has no information to protect
+        tells = (F.col("n_e") < n) & (pmi >= alpha * F.log(n / F.col("n_e"))) & (surprise >= F.log(F.col("v") / level))
+        return every.filter(tells).select("e", "h")
+
+    head = F.array_distinct(F.transform("ts", lambda w: F.xxhash64(_class_of(w, prefix))))
+    return told(words, F.transform("ts", lambda w: F.xxhash64(w))), told(heads, head)
+
+
+def disclosed_terms(based: DataFrame, row_id: str, text: str, alpha: float, support: int, level: float, prefix: int) -> DataFrame:
+    """id, words: array of (word, put) that disclose an entity held by the row of that id."""
+    told, told_heads = disclosing(based, text, alpha, support, level, prefix)
+    words = based.filter("_mask > 0").select(F.col(row_id).alias("_id"), _entities(F.col("_base")).alias("es"), F.explode(_terms(F.col(text))).alias("w")).filter("w <> '' AND _id IS NOT NULL")
+    of_term = told.groupBy("h").agg(F.collect_set("e").alias("of"))
+    hits = words.withColumn("h", F.xxhash64("w")).join(of_term, "h").filter(F.arrays_overlap("es", "of"))
+    hits = hits.select("_id", "w", F.xxhash64(_class_of(F.col("w"), prefix)).alias("head"), F.explode("es").alias("e"))
+    hits = hits.join(told_heads.select("e", F.col("h").alias("head"), F.lit(1).alias("head_hit")), ["e", "head"], "left")
+    hits = hits.groupBy("_id", "w").agg(F.max("head_hit").alias("head_hit"))
+    general = (F.length("w") > prefix + 1) & F.col("head_hit").isNull()
     put = F.when(general, F.concat(_class_of(F.col("w"), prefix), F.lit("*"))).otherwise("")
-    return known.groupBy("_id").agg(F.sort_array(F.collect_set(F.struct("w", put.alias("put")))).alias("_words"))
+    return hits.groupBy("_id").agg(F.sort_array(F.collect_set(F.struct("w", put.alias("put")))).alias("_words"))
 
 
 def _any_of(words: Column) -> Column:
@@ -170,10 +192,10 @@ def _any_of(words: Column) -> Column:
     return F.concat(F.lit(rf"(?<![{_WORD}])(?iu:"), F.array_join(quoted, "|"), F.lit(rf")(?![{_WORD}])"))
 
 
-def protected(docs: DataFrame, row_id: str = "doc_id", text: str = "text", alpha: float = 0.75, support: int = 25, prefix: int = 4) -> DataFrame:
+def protected(docs: DataFrame, row_id: str = "doc_id", text: str = "text", alpha: float = 0.75, support: int = 2, level: float = 0.05, prefix: int = 4) -> DataFrame:
     """The input columns with _b, _base, _mask, _words and _terms (spans of kind "term" outside base spans)."""
     based = with_base(docs.withColumn("_t", text_or_empty(text)), "_t")
-    words = disclosed_terms(based, row_id, "_t", alpha, support, prefix)
+    words = disclosed_terms(based, row_id, "_t", alpha, support, level, prefix)
     no_words, no_spans = F.array().cast("array<struct<w:string,put:string>>"), F.array().cast(SPAN)
     clean = based.filter("_mask = 0").drop("_b", "_base")
     clean = clean.withColumns({"_b": F.struct(*(no_spans.alias(k) for k in KINDS)), "_base": no_spans, "_words": no_words, "_terms": no_spans})

@@ -298,6 +298,18 @@ def test_pii_terms(spark):
     assert out[0].startswith("river zorv* ") and out[0].endswith(" [EMAIL]") and out[212] == texts[212]
 
 
+def test_pii_terms_of_one_address(spark):
+    from quiesce.llm.pii import find_spans, sanitise
+
+    # "Zorvexia" stands beside one person's address in three texts only; "Quorndle" is in one text and its copies
+    texts = [f"river Zorvexia writes from jo@b.org on day {'abc'[i]}" for i in range(3)] + ["stone Quorndle is with li@b.org"] * 5 + ["stone is with li@b.org too"] + [f"river writes from a{i}@c.org" for i in range(60)] + ["river stone writes from is on day with too"] * 600
+    docs = make(spark, texts)
+    got = {r.doc_id: r for r in find_spans(docs).collect()}
+    assert [got[i].n_term for i in range(3)] == [1, 1, 1] and f"term:{texts[0].index('Zorvexia')}:" in got[0].spans
+    assert all(got[i].n_term == 0 for i in range(3, len(texts)))
+    assert {r.doc_id: r.text for r in sanitise(docs).collect()}[0] == "river  writes from [EMAIL] on day a"
+
+
 def test_pii_plan_is_native(spark, edge):
     from quiesce.llm.pii import find_spans
 
