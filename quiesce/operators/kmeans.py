@@ -205,6 +205,9 @@ def kmeans(
     """Run with state centers(m, n, c0..) and assign(pid, c)."""
     if k < 1:
         raise ValueError("k must be at least 1")
+    kind = exchange.kind if isinstance(exchange, Exchange) else exchange
+    if kind not in ("buffered", "master", "indirect"):
+        raise ValueError(f"no exchange {kind!r} in sweeps; an immediate exchange is what kmeans_serial does")
     xs, spark = dims(points), points.sparkSession
     bad = points.filter(" or ".join(f"{x} is null or isnan(cast({x} as double))" for x in xs)).count()
     if bad:

@@ -6,7 +6,7 @@ import pytest
 
 from quiesce.operators import baselines as B
 from quiesce.operators import kmeans as K
-from quiesce.plans.policy import Stop
+from quiesce.plans.policy import Exchange, Stop
 
 LINE = [0, 1, 10, 11]
 
@@ -85,3 +85,10 @@ def test_inits_do_not_depend_on_partitions(spark):
     for init in ("random_assign", "mod", "sample"):
         a = [r.c for r in K.initial(p, 2, init).orderBy("pid").collect()]
         assert a == [r.c for r in K.initial(p.repartition(3), 2, init).orderBy("pid").collect()]
+
+
+@pytest.mark.parametrize("exchange", ["immediate", Exchange.immediate(), "bufferd"])
+def test_exchanges_that_sweeps_do_not_have_are_refused(spark, exchange):
+    points = spark.createDataFrame([("a", 0.0), ("b", 1.0)], "pid string, x0 double")
+    with pytest.raises(ValueError, match="exchange"):
+        K.kmeans(points, 2, exchange=exchange)
