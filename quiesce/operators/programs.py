@@ -11,9 +11,26 @@ from ..plans.storage import States
 
 
 def sort_builtin(df: DataFrame, value: str = "value") -> DataFrame:
-    """slot, value by the range shuffle sort; slots are dense, from 0, without a global window."""
-    rdd = df.select(value).orderBy(value).rdd.map(lambda r: r[0]).zipWithIndex().map(lambda t: (t[1], t[0]))
-    return df.sparkSession.createDataFrame(rdd, f"slot long, value {df.schema[value].dataType.simpleString()}")
+    """slot, value by the range shuffle sort; slots are dense, from 0, without a global window.
+
+    The sorted rows are numbered inside their partition; one row per partition, its
+    size, gives the offset.
+    """
+    return number(df.select(value).orderBy(value), "slot").select("slot", F.col(value).alias("value"))
+
+
+def number(ordered: DataFrame, name: str) -> DataFrame:
+    """Adds dense positions from 0 in the order of the partitions of ``ordered``, which is kept for both reads."""
+    rows = ordered.withColumns({"_at": F.monotonically_increasing_id()}).persist()
+    low = (1 << 33) - 1
+    part = F.shiftright("_at", 33).cast("int")
+    sizes = {r["p"]: r["n"] for r in rows.groupBy(part.alias("p")).agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per partition
+    before, total = [], 0
+    for p in range(max(sizes, default=-1) + 1):
+        before.append(total)
+        total += sizes.get(p, 0)
+    start = F.element_at(F.lit(before or [0]), part + 1)
+    return rows.withColumn(name, start.cast("long") + F.col("_at").bitwiseAND(F.lit(low))).drop("_at")
 
 
 def sort_neighbours(df: DataFrame, limit: int | None = None) -> DataFrame:
@@ -36,13 +53,17 @@ def sort_neighbours(df: DataFrame, limit: int | None = None) -> DataFrame:
     return state
 
 
-def sort_all_pairs(df: DataFrame, limit: int = 10_000) -> DataFrame:
+def sort_all_pairs(df: DataFrame, limit: int = 10_000, broadcast_rows: int = 1_000_000) -> DataFrame:
     """Settle loop over all pairs of slots with exclusive bodies: a batch runs only swaps that share no slot.
 
     Each enabled pair draws a priority and runs if it is the least at both of its slots, so
-    some pair always runs. For tiny inputs: every sweep looks at n^2 pairs.
+    some pair always runs. Every sweep looks at n^2 pairs, so this is for tiny inputs: more
+    than ``broadcast_rows`` slots are refused. The state is cut in every sweep, because a
+    sweep reads it three times and its plan would otherwise triple.
     """
-    states = States(10)
+    if df.count() > broadcast_rows:
+        raise ValueError("all pairs of so many slots; use sort_builtin")
+    states = States(1)
     state = states.next(df.select("slot", "value"))
     for sweep in range(limit):
         a, b = state.toDF("i", "vi"), state.toDF("j", "vj")
@@ -56,6 +77,7 @@ def sort_all_pairs(df: DataFrame, limit: int = 10_000) -> DataFrame:
         state = new.drop("_w")
         if quiet:
             break
+    states.close()
     return state
 
 

@@ -9,10 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
+    """The folder that driver and executors share; one of our own only in local mode and where the session names none."""
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None)
     if sc.getCheckpointDir() is None:
+        if not named and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="quiesce-checkpoint-"))
     return named or sc.getCheckpointDir()
 
@@ -39,5 +41,7 @@ class States:
         return out
 
     def close(self) -> None:
+        """Releases all but the last state, which the result still reads."""
         for df in self.held[:-1]:
             df.unpersist()
+        self.held = self.held[-1:]
