@@ -18,7 +18,7 @@ from ..plans.runtime import Clock, Run
 from ..plans.storage import shared_dir
 from ..sources.tables import degrees, vertices_of
 from .kmeans import _shift, centre_frame, dims, initial, kmeans_classic, means, summed
-from .rank import rank_classic
+from .rank import rank, rank_classic
 
 
 def _round_trip(df: DataFrame, folder: str) -> DataFrame:
@@ -80,3 +80,21 @@ def baseline_rank_mr(edges: DataFrame, *, d: float = 0.85, eps: float = 1e-6, ma
 
 def baseline_rank_bsp(edges: DataFrame, *, d: float = 0.85, eps: float = 0.0, max_iter: int = 10) -> Run:
     return rank_classic(edges, d=d, eps=eps, max_iter=max_iter)
+
+
+def baseline_rank_naive(edges: DataFrame, **options) -> Run:
+    """The program as first written: a memory for each edge in a table of its own, over all added edges."""
+    return rank(edges, variant="edge_delta", **options)
+
+
+def baseline_kmeans_library(points: DataFrame, k: int, *, seed: int = 0, max_iter: int = 20) -> Run:
+    """The platform's own k-Means, for a comparison of quality."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    spark, xs, clock = points.sparkSession, dims(points), Clock()
+    rows = points.select("pid", *xs, array_to_vector(F.array(*(F.col(x).cast("double") for x in xs))).alias("features"))
+    model = KMeans(k=k, seed=seed, maxIter=max_iter, initSteps=2).fit(rows)
+    found = model.transform(rows).select("pid", *xs, F.col("prediction").alias("c"))
+    log = [{"sweeps": i + 1, "sse": model.summary.trainingCost, "secs": clock.lap()} for i in range(model.summary.numIter)]
+    return Run(spark, {"centers": centre_frame(spark, summed(found), xs), "assign": found.select("pid", "c")}, log, "library")

@@ -7,7 +7,8 @@ points and a copy of the k centres. Centres are kept as sums and counts, so a mo
 is -x, -1 and +x, +1, and several moves add up.
 
 Two layouts: ``separate`` keeps coordinates and assignment in two tables keyed by
-point, ``localized`` in one row. Three exchanges: ``buffered`` sums the moves of a
+point, ``localized`` in one row; both also materialised, packed in blocks of arrays
+(``packed``). Three exchanges: ``buffered`` sums the moves of a
 sweep, ``master`` brings the sums of each shard to the driver, ``indirect`` ignores
 moves and recomputes sizes and sums from the assignment. All are crossed freely, and
 a shard may run several local sweeps on its own copy between exchanges.
@@ -21,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -28,6 +30,7 @@ from ..functions.vectors import last_nearest, nearest, sqdist
 from ..plans.policy import Exchange, Stop
 from ..plans.runtime import Clock, Run
 from ..plans.storage import States
+from .packed import Kernel, _whole, pack_points, sweep_points, totals, unpack_points
 
 #: Above so many distance terms the unrolled expression outgrows the JIT; an Arrow kernel takes over.
 UNROLLED = 256
@@ -45,7 +48,8 @@ def initial(points: DataFrame, k: int, init: str = "random_assign", seed: int =
     if init == "random_assign":
         return points.withColumn("c", F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(k)).cast("int"))
     if init == "mod":
-        return points.withColumn("c", F.pmod(F.col("pid"), F.lit(k)).cast("int"))
+        number = F.col("pid") if points.schema["pid"].dataType.simpleString() in ("bigint", "int") else F.xxhash64("pid")
+        return points.withColumn("c", F.pmod(number, F.lit(k)).cast("int"))
     if init == "column":
         return points.withColumn("c", F.col(start).cast("int"))
     if init == "sample":
@@ -86,98 +90,44 @@ def _choose(rows: DataFrame, centres: Centres, tie: str) -> DataFrame:
     return rows.withColumn("c2", F.when(F.col("_best.d") < F.coalesce("_own", F.lit(float("inf"))), F.col("_best.m")).otherwise(F.col("c"))).drop("_best", "_own", *(f"_d{m}" for m in ds))
 
 
-def _choose_block(rows: DataFrame, centres: Centres) -> DataFrame:
+def _choose_block(rows: DataFrame, centres: Centres, tie: str) -> DataFrame:
     """The same for many centres or dimensions: matrix blocks from Arrow batches."""
-    xs, at = dims(rows), means(centres)
-    names, c = np.array([m for m, _ in at]), np.array([v for _, v in at], float)
+    xs = dims(rows)
+    kernel = Kernel(centres, means(centres), len(xs), False, tie, "indirect", 1, "")
     schema = rows.select("*", F.lit(0).alias("c2")).schema
     where = [rows.columns.index(x) for x in xs], rows.columns.index("c")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = np.stack([b.column(i).to_numpy(zero_copy_only=False).astype(float) for i in where[0]], axis=1)
-            own = b.column(where[1]).to_numpy(zero_copy_only=False)
-            d = np.zeros((len(x), len(c)))
-            for j in range(x.shape[1]):
-                d += (x[:, j : j + 1] - c[None, :, j]) ** 2
-            best = d.argmin(axis=1)
-            mine = (own[:, None] == names[None, :]) & True
-            own_d = np.where(mine.any(axis=1), d[np.arange(len(x)), mine.argmax(axis=1)], np.inf)
-            c2 = np.where(d[np.arange(len(x)), best] < own_d, names[best], own)
+            x = np.stack([b.column(i).to_numpy(zero_copy_only=False).astype(float) for i in where[0]])
+            c2 = kernel.choose(x, b.column(where[1]).to_numpy(zero_copy_only=False).astype(np.int32))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(c2, pa.int32())], [*b.schema.names, "c2"])
 
     return rows.mapInArrow(run, schema)
 
 
-def _local_sweeps(rows: DataFrame, centres: Centres, sweeps: int, how: str) -> DataFrame:
-    """Each shard runs sweeps on its own copy of sums and counts. serial: every move is seen at once; frozen: after the sweep."""
-    xs = dims(rows)
-    k = max(centres) + 1
-    n0, s0 = np.zeros(k), np.zeros((k, len(xs)))
-    for m, v in centres.items():
-        n0[m], s0[m] = v[0], [float(x) for x in v[1]]
-    where, at_c = [rows.columns.index(x) for x in xs], rows.columns.index("c")
-    schema = rows.select("*", F.lit(0).alias("c2")).schema
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = [b for b in batches if b.num_rows]
-        if not got:
-            return
-        table = pa.Table.from_batches(got)
-        x = np.stack([table.column(i).to_numpy().astype(float) for i in where], axis=1)
-        c, n, s = table.column(at_c).to_numpy().astype(np.int64).copy(), n0.copy(), s0.copy()
-        for _ in range(sweeps):
-            moved = False
-            if how == "serial":
-                for i in range(len(x)):
-                    with np.errstate(divide="ignore", invalid="ignore"):
-                        d = ((x[i] - s / n[:, None]) ** 2).sum(axis=1)
-                    d[n <= 0] = np.inf
-                    best = int(d.argmin())
-                    if d[best] < d[c[i]] and n[c[i]] > 1:
-                        a = c[i]
-                        s[a] -= x[i]
-                        n[a] -= 1
-                        s[best] += x[i]
-                        n[best] += 1
-                        c[i], moved = best, True
-            else:
-                with np.errstate(divide="ignore", invalid="ignore"):
-                    d = ((x[:, None, :] - (s / n[:, None])[None]) ** 2).sum(axis=2)
-                d[:, n <= 0] = np.inf
-                best = d.argmin(axis=1)
-                go = np.flatnonzero(d[np.arange(len(x)), best] < d[np.arange(len(x)), c])
-                np.add.at(s, c[go], -x[go])
-                np.add.at(n, c[go], -1)
-                np.add.at(s, best[go], x[go])
-                np.add.at(n, best[go], 1)
-                c[go], moved = best[go], len(go) > 0
-            if not moved:
-                break
-        yield from table.append_column("c2", pa.array(c, pa.int32())).to_batches()
-
-    return rows.mapInArrow(run, schema)
-
-
 def _exchange(rows: DataFrame, centres: Centres, exchange: Exchange) -> tuple[Centres, int, int]:
-    """New centres, moved points, exchanged rows. rows: x.., c, c2 [, shard]."""
+    """New centres, moved points, exchanged rows. rows: x.., c, c2.
+
+    One aggregate over the pairs (from, to): at most k * k rows, and with ``master`` so
+    many of each task. Without ``indirect`` only moved points are summed.
+    """
     xs = dims(rows)
+    sums = [F.sum(x).alias(x) for x in xs]
     if exchange.kind == "indirect":
-        got = rows.groupBy("c2").agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("c") != F.col("c2"), 1)).alias("moved"), *(F.sum(x).alias(x) for x in xs)).collect()
+        got = rows.groupBy("c2").agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("c") != F.col("c2"), 1)).alias("moved"), *sums).collect()
         return {r["c2"]: (r["n"], [r[x] for x in xs]) for r in got}, sum(r["moved"] for r in got), len(got)
-    ends = F.explode(F.array(F.struct(F.col("c").alias("m"), F.lit(-1).alias("w")), F.struct(F.col("c2").alias("m"), F.lit(1).alias("w"))))
-    moves = rows.filter(F.col("c") != F.col("c2")).select(*xs, ends.alias("e"))
-    by = ["m"]
-    moves = moves.select(F.col("e.m").alias("m"), F.col("e.w").alias("w"), *xs)
+    moves = rows.filter(F.col("c") != F.col("c2"))
+    by = ["c", "c2"]
     if exchange.kind == "master":
-        moves = moves.withColumn("task", F.spark_partition_id())
-        by = ["task", "m"]
-    got = moves.groupBy(*by).agg(F.sum("w").alias("n"), F.count(F.when(F.col("w") > 0, 1)).alias("moved"), *(F.sum(F.col(x) * F.col("w")).alias(x) for x in xs)).collect()
+        moves, by = moves.withColumn("task", F.spark_partition_id()), ["task", *by]
+    got = moves.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), *sums).collect()
     new = dict(centres)
     for r in got:
-        n, s = new.get(r["m"], (0, [0] * len(xs)))[:2]
-        new[r["m"]] = (n + r["n"], [a + r[x] for a, x in zip(s, xs)])
-    return new, sum(r["moved"] for r in got), len(got)
+        for m, sign in ((r["c"], -1), (r["c2"], 1)):
+            n, s = new.get(m, (0, [0] * len(xs)))[:2]
+            new[m] = (n + sign * r["n"], [a + sign * r[x] for a, x in zip(s, xs)])
+    return new, sum(r["n"] for r in got), len(got)
 
 
 def _shift(old: Centres, new: Centres) -> float:
@@ -185,81 +135,212 @@ def _shift(old: Centres, new: Centres) -> float:
     return max((sum((p - q) ** 2 for p, q in zip(a[m], b[m])) ** 0.5 for m in a if m in b), default=0.0)
 
 
-def _reseed(rows: DataFrame, centres: Centres, k: int, empty: str, old: Centres) -> Centres:
+def _reseed(engine, centres: Centres, k: int, empty: str, old: Centres) -> Centres:
     gone = [m for m in range(k) if not centres.get(m, (0,))[0]]
     if not gone or empty == "drop":
         return {m: v for m, v in centres.items() if v[0]}
     if empty == "keep":  # the last centre stays a candidate, without points
         at = dict(means(old))
         return {m: v for m, v in centres.items() if v[0]} | {m: (0, [0] * len(at[m]), at[m]) for m in gone if m in at}
-    xs = dims(rows)  # reseed: the farthest points from their centres
+    rows = engine.rows()  # reseed: the farthest points from their centres
+    xs = dims(rows)
     own = F.coalesce(*(F.when(F.col("c2") == m, sqdist(xs, c)) for m, c in means(centres)))
     far = rows.select(*xs, own.alias("d")).orderBy(F.desc("d"), *xs).limit(len(gone)).collect()
     return {m: v for m, v in centres.items() if v[0]} | {m: (0, [0] * len(xs), [float(r[x]) for x in xs]) for m, r in zip(gone, far)}
 
 
+class _Columns:
+    """Points as wide rows, swept by unrolled expressions; ``separate`` keeps the assignment in a table of its own."""
+
+    def __init__(self, points: DataFrame, xs: list[str], layout: str, tie: str, exchange: Exchange) -> None:
+        self.states, self.xs, self.layout, self.tie, self.exchange = States(), xs, layout, tie, exchange
+        self.work = self.states.next(points.select("pid", *xs, "c"))
+        self.base, self.assign = self.work.select("pid", *xs), self.work.select("pid", "c")
+        self.total = self.work.count()
+
+    def start(self) -> Centres:
+        return summed(self.work)
+
+    def sweep(self, held: Centres) -> tuple[Centres, int, int]:
+        rows = self.base.join(self.assign, "pid") if self.layout == "separate" else self.work
+        wide = len(held) * len(self.xs) > UNROLLED
+        self.moved = self.states.next((_choose_block if wide else _choose)(rows, held, self.tie))
+        return _exchange(self.moved, held, self.exchange)
+
+    def rows(self) -> DataFrame:
+        return self.moved
+
+    def settle(self) -> None:
+        if self.layout == "separate":
+            self.assign = self.moved.select("pid", F.col("c2").alias("c"))
+        else:
+            self.work = self.moved.select("pid", *self.xs, F.col("c2").alias("c"))
+
+    def final(self) -> DataFrame:
+        self.states.close()
+        return self.assign if self.layout == "separate" else self.work.select("pid", "c")
+
+
+class _Blocks:
+    """Points packed in blocks. ``localized_blocks`` carries the clusters with the coordinates; ``separate_blocks``
+    keeps them in a table of blocks of their own, joined by block in each sweep."""
+
+    def __init__(self, points: DataFrame, xs: list[str], layout: str, tie: str, exchange: Exchange, local: str) -> None:
+        self.states, self.xs, self.tie, self.exchange, self.local = States(10), xs, tie, exchange, local
+        self.separate = layout == "separate_blocks"
+        self.pid = points.schema["pid"].dataType.simpleString()
+        self.whole = _whole(points, xs)
+        packed = pack_points(points, xs).persist(StorageLevel.MEMORY_AND_DISK)
+        self.packed = packed
+        self.total = packed.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        self.static = () if self.separate else ("x",)
+        self.work = packed.select("block", *self.static, "c")
+        self.k = 0
+
+    def _kernel(self, held: Centres, kind: str, sweeps: int = 1) -> Kernel:
+        return Kernel(held, means(held), len(self.xs), self.whole, self.tie, kind, sweeps, self.local)
+
+    def _read(self, got: list, width: int) -> dict[int, tuple]:
+        d, out = len(self.xs) + 1, {}
+        flat = [0] * (width * d + 1)
+        for r in got:
+            flat[r["pos"]] += r["v"]
+        for m in range(width):
+            out[m] = (int(flat[m * d]), flat[m * d + 1 : (m + 1) * d])
+        return out, int(flat[-1])
+
+    def _joined(self) -> DataFrame:
+        return self.packed.select("block", "x").join(self.work, "block") if self.separate else self.work
+
+    def start(self) -> Centres:
+        """Sums of the first assignment: a sweep whose kernel moves nothing."""
+        top = self.packed.select("c").mapInArrow(_largest, "m int").agg(F.max("m")).first()[0]
+        width = 0 if top is None else top + 1
+        if not width:
+            return {}
+        still = self._kernel({m: (0, [0] * len(self.xs), [0.0] * len(self.xs)) for m in range(width)}, "indirect")
+        still.choose = lambda x, c: c
+        got, _ = self._read(totals(sweep_points(self._joined(), still, ())), width)
+        return {m: v for m, v in got.items() if v[0]}
+
+    def sweep(self, held: Centres) -> tuple[Centres, int, int]:
+        kernel = self._kernel(held, self.exchange.kind, self.exchange.sweeps)
+        self.swept = self.states.next(sweep_points(self._joined(), kernel, self.static))
+        got = totals(self.swept, ("block",) if self.exchange.kind == "master" else ())
+        change, moved = self._read(got, kernel.width)
+        if self.exchange.kind == "indirect":
+            return {m: v for m, v in change.items() if v[0]}, moved, len(got)
+        new = dict(held)
+        for m, (n, s) in change.items():
+            a = new.get(m, (0, [0] * len(self.xs)))
+            new[m] = (a[0] + n, [p + q for p, q in zip(a[1], s)], *a[2:]) if n or any(s) or m in new else a
+        return {m: v for m, v in new.items() if v[0] or len(v) > 2 or m in held}, moved, len(got)
+
+    def rows(self) -> DataFrame:
+        """Wide rows again, for what needs single points."""
+        flat = unpack_points(self.packed.select("block", "pids").join(self.swept.select("block", "c"), "block"), self.pid)
+        return self.given.join(flat.withColumnRenamed("c", "c2"), "pid")
+
+    def settle(self) -> None:
+        self.work = self.swept.select("block", *self.static, "c")
+
+    def final(self) -> DataFrame:
+        self.states.close()
+        return unpack_points(self.packed.select("block", "pids").join(self.work.select("block", "c"), "block"), self.pid)
+
+
+def _largest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        tops = [int(np.frombuffer(c.as_buffer(), np.int32).max(initial=-1)) for c in b.column(0)]
+        if tops:
+            yield pa.RecordBatch.from_arrays([pa.array([max(tops)], pa.int32())], ["m"])
+
+
+LAYOUTS = ("separate", "localized", "separate_blocks", "localized_blocks")
+
+
 def kmeans(
     points: DataFrame, k: int, *, layout: str = "localized", exchange: str | Exchange = "buffered", shards: int | None = None, split: str = "value", sweeps_per_exchange: int = 1, local: str = "serial",
-    init: str = "random_assign", seed: int = 0, start: str | None = None, centres: list[list[float]] | None = None, tie: str = "stay", empty: str = "keep", stop: Stop | None = None, max_sweeps: int = 500,
+    init: str = "random_assign", seed: int = 0, start: str | None = None, centres: list[list[float]] | None = None, tie: str = "stay", empty: str = "keep", stop: Stop | None = None, max_sweeps: int = 500, track_sse: bool = False,
 ) -> Run:
-    """Run with state centers(m, n, c0..) and assign(pid, c)."""
+    """Run with state centers(m, n, c0..) and assign(pid, c).
+
+    layout: wide rows (separate, localized) or packed blocks (separate_blocks, localized_blocks),
+    which several sweeps between exchanges need, since a block is then the shard.
+    split: value, range, block (contiguous blocks of pids, dealt out by hash), any (round robin).
+    """
     if k < 1:
         raise ValueError("k must be at least 1")
     kind = exchange.kind if isinstance(exchange, Exchange) else exchange
     if kind not in ("buffered", "master", "indirect"):
         raise ValueError(f"no exchange {kind!r} in sweeps; an immediate exchange is what kmeans_serial does")
+    if layout not in LAYOUTS:
+        raise ValueError(f"no layout {layout!r}")
     xs, spark = dims(points), points.sparkSession
-    bad = points.filter(" or ".join(f"{x} is null or isnan(cast({x} as double))" for x in xs)).count()
-    if bad:
-        raise ValueError(f"{bad} points have null or NaN coordinates")
     how = exchange if isinstance(exchange, Exchange) else Exchange(exchange, sweeps_per_exchange)
     stop = stop or Stop.quiet()
-    states, log, clock = States(), [], Clock()
+    if how.sweeps > 1 and not layout.endswith("blocks"):
+        layout += "_blocks"
+    log, clock = [], Clock()
     if shards:
-        points = points.repartitionByRange(shards, "pid") if split == "range" else points.repartition(shards, "pid")
-    work = states.next(initial(points, k, init, seed, start, centres).select("pid", *xs, "c"))
-    total = work.count()
-    held = summed(work)
-    base = work.select("pid", *xs)
-    assign = work.select("pid", "c")
-    reason = "sweeps"
-    wide = len(held) * len(xs) > UNROLLED
-    for sweep in range(1, max_sweeps + 1):
-        rows = base.join(assign, "pid") if layout == "separate" else work
-        if how.sweeps > 1:
-            rows = _local_sweeps(rows, held, how.sweeps, local)
+        if split == "range":
+            points = points.repartitionByRange(shards, "pid")
+        elif split == "any":
+            points = points.repartition(shards)
+        elif split == "block":  # more ranges than shards, dealt out whole
+            points = points.repartitionByRange(shards * 4, "pid").withColumn("_p", F.spark_partition_id()).repartition(shards, "_p").drop("_p")
         else:
-            rows = _choose_block(rows, held) if wide else _choose(rows, held, tie)
-        moved_rows = states.next(rows)
-        new, moved, sent = _exchange(moved_rows, held, how)
-        new = _reseed(moved_rows, new, k, empty, held)
-        seen = {"sweeps": sweep, "evaluated": total * len(held), "enabled": moved, "moved": moved, "switched": moved / max(1, total), "shift": _shift(held, new), "exchanged_rows": sent, "secs": clock.lap()}
+            points = points.repartition(shards, "pid")
+    rows = initial(points, k, init, seed, start, centres).select("pid", *xs, "c")
+    if points.filter(" or ".join(f"{x} is null" for x in xs)).head(1):
+        raise ValueError("some points have null coordinates")
+    engine = _Blocks(rows, xs, layout, tie, how, local) if layout.endswith("blocks") else _Columns(rows, xs, layout, tie, how)
+    engine.given = points
+    held = engine.start()
+    if any(v != v for _, s, *_ in held.values() for v in s):  # a NaN shows in a sum
+        raise ValueError("some points have NaN coordinates")
+    total, reason = engine.total, "sweeps"
+    for sweep in range(1, max_sweeps + 1):
+        new, moved, sent = engine.sweep(held)
+        if empty == "reseed" or any(not new.get(m, (0,))[0] for m in held):
+            new = _reseed(engine, new, k, empty, held)
+        d = len(xs) + 1
+        seen = {"sweeps": sweep, "evaluated": total * len(held), "enabled": moved, "moved": moved, "switched": moved / max(1, total), "shift": _shift(held, new), "exchanged_rows": sent, "exchanged_bytes": sent * 8 * (1 if layout.endswith("blocks") else d), "secs": clock.lap()}
+        if track_sse:
+            seen["sse"] = _sse(engine.rows(), new, xs)
         log.append(seen)
         held = new
-        if layout == "separate":
-            assign = moved_rows.select("pid", F.col("c2").alias("c"))
-        else:
-            work = moved_rows.select("pid", *xs, F.col("c2").alias("c"))
+        engine.settle()
         if why := stop.reason(seen):
             reason = why
             break
-    final = assign if layout == "separate" else work.select("pid", "c")
+    final = engine.final()
     if how.kind != "indirect" and how.sweeps > 1:  # running sums of many stale moves: settle them with the truth
-        held = summed(base.join(final, "pid"))
+        held = summed(points.select("pid", *xs).join(final, "pid"))
     return Run(spark, {"centers": centre_frame(spark, held, xs), "assign": final}, log, reason)
 
 
+def _sse(rows: DataFrame, centres: Centres, xs: list[str]) -> float:
+    own = F.coalesce(*(F.when(F.col("c2") == m, sqdist(xs, c)) for m, c in means(centres)))
+    return rows.agg(F.sum(own)).first()[0]
+
+
 def kmeans_classic(points: DataFrame, k: int, *, init: str = "random_assign", seed: int = 0, start: str | None = None, centres: list[list[float]] | None = None, tie: str = "last", empty: str = "keep", stop: Stop | None = None, max_sweeps: int = 500) -> Run:
     """Assign every point, then recompute every mean, until nothing changes."""
     return kmeans(points, k, layout="localized", exchange="indirect", init=init, seed=seed, start=start, centres=centres, tie=tie, empty=empty, stop=stop, max_sweeps=max_sweeps)
 
 
+#: The measured variants are materialised; the last four are the same before that step.
 PRESETS = {
-    "k1": {"layout": "separate", "exchange": "buffered"},
-    "k2": {"layout": "separate", "exchange": "indirect"},
-    "k3": {"layout": "localized", "exchange": "indirect"},
-    "k4": {"layout": "localized", "exchange": "buffered"},
-    "k5": {"layout": "localized", "exchange": "master"},
+    "k1": {"layout": "separate_blocks", "exchange": "buffered"},
+    "k2": {"layout": "separate_blocks", "exchange": "indirect"},
+    "k3": {"layout": "localized_blocks", "exchange": "indirect"},
+    "k4": {"layout": "localized_blocks", "exchange": "buffered"},
+    "k5": {"layout": "localized_blocks", "exchange": "master"},
+    "separate_buffered": {"layout": "separate", "exchange": "buffered"},
+    "separate_indirect": {"layout": "separate", "exchange": "indirect"},
+    "localized_indirect": {"layout": "localized", "exchange": "indirect"},
+    "localized_buffered": {"layout": "localized", "exchange": "buffered"},
 }
 
 

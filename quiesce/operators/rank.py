@@ -6,10 +6,11 @@ dout[u] to pr[v] and remembers pr[u]. Updates are additive, so any order, batch
 stale copy leads to the same fixpoint, and after any batch
 pr[v] = (1 - d) / N + d * sum of old / dout over the in-edges of v.
 
-Forms: memory per ``vertex`` (all out-edges of a vertex run together), per ``edge``
-in a table of its own, or ``embedded`` in the edge row. Edges dealt out by target
-(``pull``, one writer per rank), by source (``push``), or anyhow (``split``, two-level
-sums). ``adjacency`` keeps in-edges as chunked arrays of a target.
+Forms: memory per ``vertex`` (all out-edges of a vertex run together), per ``edge`` in
+a table of its own that is joined by the edge's address in each sweep, ``embedded`` in
+the edge row, or ``adjacency``: arrays of (u, old) by target, packed in blocks. Edges
+dealt out by target (``pull``, one writer per rank), by source (``push``), at random
+(``split``), or left where they are (``any``); the last three need two-level sums.
 
 Vertices without out-edges spread their rank over all others: ``expand`` adds those
 edges, ``fold`` replaces them by one scalar per sweep and a correction, ``sample``
@@ -32,10 +33,10 @@ from ..plans.policy import Schedule, Stop
 from ..plans.runtime import Clock, Run
 from ..plans.storage import States
 from ..sources.tables import degrees, vertices_of
+from .packed import pack_edges, sweep_edges, unpack_edges
 
 EXPANDED_LIMIT = 10**8
 BROADCAST_BYTES = 256 << 20
-CHUNK = 10_000
 SHARD_EDGES = 100_000
 
 
@@ -104,13 +105,20 @@ def _small(n: int, row_bytes: int, limit: int) -> bool:
 
 def rank(
     edges: DataFrame, vertices: DataFrame | None = None, *, variant: str | None = None, memory: str = "vertex", orientation: str = "pull", dangling: str = "fold", d: float = 0.85, tol: float = 0.0, shards: int | None = None,
-    index: bool = False, sweeps_per_exchange: int = 1, schedule: Schedule | None = None, stop: Stop | None = None, max_sweeps: int = 200, broadcast_bytes: int = BROADCAST_BYTES,
+    index: bool = False, sweeps_per_exchange: int = 1, schedule: Schedule | None = None, stop: Stop | None = None, max_sweeps: int = 200, broadcast_bytes: int = BROADCAST_BYTES, known: DataFrame | None = None,
 ) -> Run:
-    """Run with state ranks(id, pr) and vertices(id, pr, old, inv_dout)."""
+    """Run with state ranks(id, pr), vertices(id, pr, old, inv_dout) and edges(u, v [, seen]).
+
+    known: ranks (id, pr) from an earlier run, for ``adjacency``; they only shorten the way (see ``_packed``).
+    """
     if variant:
-        return rank(edges, vertices, **({"d": d, "tol": tol, "shards": shards, "schedule": schedule, "stop": stop, "max_sweeps": max_sweeps, "broadcast_bytes": broadcast_bytes} | PRESETS[variant] | ({"sweeps_per_exchange": sweeps_per_exchange} if sweeps_per_exchange > 1 else {})))
+        given = {"d": d, "tol": tol, "schedule": schedule, "stop": stop, "max_sweeps": max_sweeps, "broadcast_bytes": broadcast_bytes} | ({"shards": shards} if shards else {})
+        return rank(edges, vertices, **(given | PRESETS[variant] | ({"sweeps_per_exchange": sweeps_per_exchange} if sweeps_per_exchange > 1 else {})))
+    if sweeps_per_exchange > 1 and memory != "adjacency":
+        raise ValueError("several sweeps between exchanges need edges packed in blocks: memory='adjacency'")
     spark, clock, schedule, stop = edges.sparkSession, Clock(), schedule or Schedule.full(), stop or Stop.residual()
     edges = edges.select("u", "v").distinct().persist()
+    given = edges
     vertices = (vertices.select("id") if vertices is not None else vertices_of(edges)).distinct().persist()
     n = vertices.count()
     _checked(edges, d, n, dangling == "fold")
@@ -118,29 +126,35 @@ def rank(
         return Run(spark, {"ranks": spark.createDataFrame([], "id long, pr double")}, [], "quiet")
     if dangling == "expand":
         edges = expand(edges, vertices, n)
+    small = _small(n, 40, broadcast_bytes)
+    if memory == "adjacency":
+        if small:
+            run = _packed(edges, vertices, n, orientation, dangling, d, tol, shards, sweeps_per_exchange, schedule, stop, max_sweeps, clock, known)
+            vertices.unpersist()
+            given.unpersist()
+            return run
+        if sweeps_per_exchange > 1:
+            raise ValueError(f"{n} ranks are too many to replicate for several sweeps between exchanges")
+        memory = "embedded"  # the same tuples (u, v, old) as rows, for ranks that no task can hold
     first = (1 - d) / n
     state = vertices.join(degrees(edges).withColumnRenamed("u", "id"), "id", "left").select("id", F.lit(first).alias("pr"), F.lit(0.0).alias("old"), F.when(F.col("dout") > 0, 1 / F.col("dout")).alias("inv_dout"))
     states, edge_states = States(), States()
     state = states.next(state)
     parts = shards or max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-edges.count() // SHARD_EDGES)))
-    given = edges
     if orientation == "split":
         edges = edges.repartition(parts)
     elif orientation == "push":
         edges = edges.repartition(parts, "u")
-    else:
+    elif orientation == "pull":
         edges = edges.repartition(parts, "v")
-    if index:  # a position for each tuple; it fixes no order
-        edges = edges.withColumn("at", F.monotonically_increasing_id())
-    if memory == "adjacency":
-        chunk = F.floor(F.pmod(F.xxhash64("u"), F.lit(1 << 30)) * F.greatest(F.lit(1), F.ceil(F.col("n") / CHUNK)) / (1 << 30))
-        sized = edges.join(edges.groupBy("v").agg(F.count(F.lit(1)).alias("n")), "v")
-        edges = sized.withColumn("chunk", chunk).groupBy("v", "chunk").agg(F.collect_list("u").alias("us"))
-    if memory in ("edge", "embedded"):
+    keys = ["u", "v"]
+    if index:  # a position for each tuple, by which its memory is addressed; it fixes no order
+        edges, keys = edges.withColumn("at", F.monotonically_increasing_id()), ["at"]
+    if memory == "embedded":
         edges = edges.withColumn("seen", F.lit(0.0))
     edges = edge_states.next(edges)
-    folded = dangling in ("fold", "sample")
-    small = _small(n, 40, broadcast_bytes)
+    olds = States()
+    old = olds.next(edges.select(*keys, F.lit(0.0).alias("seen"))) if memory == "edge" else None
     log, reason = [], "sweeps"
     stubs_pending = first * state.filter("inv_dout is null").count()
     for sweep in range(1, max_sweeps + 1):
@@ -148,60 +162,154 @@ def rank(
         largest = state.agg(F.max(F.abs(pending))).first()[0] if schedule.kind == "priority" else 0.0
         runs = schedule.runs(F.col("id"), sweep, pending, largest or 0.0) & (F.abs(pending) > tol)
         if memory in ("edge", "embedded"):
-            runs_edge = schedule.runs(F.col("u"), sweep) if schedule.kind in ("sample", "alternating") else F.lit(True)
-            sources = state.select(F.col("id").alias("u"), "pr", "inv_dout")
-            seen = edges.withColumn("before", F.col("seen")).join(F.broadcast(sources) if small else sources, "u")
-            if sweeps_per_exchange > 1:
-                passed = _local(seen.repartition(parts, "v"), d, sweeps_per_exchange, tol)
+            sources = state.select(F.col("id").alias("u"), "pr", "inv_dout", runs.alias("go"))
+            # the memory is a space of its own, found by the edge's address, or part of the tuple
+            held = edges.join(old, keys) if memory == "edge" else edges
+            met = held.join(F.broadcast(sources) if small else sources, "u")
+            go = F.col("go") & (F.abs(F.col("pr") - F.col("seen")) > tol)
+            passed = met.select(*edges.columns, *(["seen"] if memory == "edge" else []), F.when(go, F.col("pr")).otherwise(F.col("seen")).alias("now"), "inv_dout")
+            passed = (olds if memory == "edge" else edge_states).next(passed)
+            deltas = passed.filter("now <> seen").select("v", (F.lit(d) * (F.col("now") - F.col("seen")) * F.col("inv_dout")).alias("x"))
+            if memory == "edge":
+                old = passed.select(*keys, F.col("now").alias("seen"))
             else:
-                go = runs_edge & (F.abs(F.col("pr") - F.col("seen")) > tol)
-                passed = seen.withColumn("seen", F.when(go, F.col("pr")).otherwise(F.col("seen")))
-            new_edges = edge_states.next(passed.select("u", "v", *(["at"] if index else []), "seen", "before", "inv_dout"))
-            deltas = new_edges.filter("seen <> before").select("v", (F.lit(d) * (F.col("seen") - F.col("before")) * F.col("inv_dout")).alias("x"))
-            new_edges = new_edges.drop("before", "inv_dout")
+                edges = passed.select("u", "v", *(["at"] if index else []), F.col("now").alias("seen"))
         else:
             active = state.filter(runs & F.col("inv_dout").isNotNull()).select(F.col("id").alias("u"), (F.lit(d) * pending * F.col("inv_dout")).alias("x"))
-            flat = edges.select("v", F.explode("us").alias("u")) if memory == "adjacency" else edges
-            deltas = flat.join(F.broadcast(active) if small else active, "u").select("v", "x")
-            new_edges = None
-        if orientation == "split":  # several writers: sums per task first
+            deltas = edges.join(F.broadcast(active) if small else active, "u").select("v", "x")
+        if orientation in ("split", "push", "any"):  # several writers: sums per task first
             deltas = deltas.groupBy(F.spark_partition_id().alias("task"), "v").agg(F.sum("x").alias("x"))
         add = deltas.groupBy(F.col("v").alias("id")).agg(F.sum("x").alias("x"))
         fires = F.when(runs, F.col("pr")).otherwise(F.col("old"))
         new = state.join(add, "id", "left")
         stub = F.col("inv_dout").isNull() & runs
-        if folded:
-            if dangling == "fold":
-                # a full sweep takes what the last sweep's statistics found pending, so it needs no job of its own
-                held = state.agg(F.coalesce(F.sum(F.when(stub, pending)), F.lit(0.0))).first()[0] if schedule.partial or tol > 0 else stubs_pending
-                sigma = held / (n - 1)
-                extra = F.lit(d) * (F.lit(sigma) - F.when(stub, pending / (n - 1)).otherwise(0.0))
-            else:
-                extra = F.coalesce("drawn", F.lit(0.0))
-                new = new.join(_draws(state.filter(stub), vertices, n, d, sweep), "id", "left")
+        if dangling == "fold":
+            # a full sweep takes what the last sweep's statistics found pending, so it needs no job of its own
+            lone = state.agg(F.coalesce(F.sum(F.when(stub, pending)), F.lit(0.0))).first()[0] if schedule.partial or tol > 0 else stubs_pending
+            extra = F.lit(d) * (F.lit(lone / (n - 1)) - F.when(stub, pending / (n - 1)).otherwise(0.0))
+        elif dangling == "sample":
+            extra = F.coalesce("drawn", F.lit(0.0))
+            new = new.join(_draws(state.filter(stub), vertices, n, d, sweep), "id", "left")
         else:
             extra = F.lit(0.0)
-        new = new.select("id", (F.col("pr") + F.coalesce("x", F.lit(0.0)) + extra).alias("pr"), fires.alias("old"), "inv_dout")
-        new = states.next(new)
-        if new_edges is not None:
-            edges = new_edges
+        new = states.next(new.select("id", (F.col("pr") + F.coalesce("x", F.lit(0.0)) + extra).alias("pr"), fires.alias("old"), "inv_dout"))
         left = F.abs(F.col("pr") - F.col("old"))
-        told = new
-        if new_edges is not None and (sweeps_per_exchange > 1 or schedule.partial):  # edges of a vertex remember different values
-            stubs = new.filter("inv_dout is null").select(left.alias("left"), "pr", (F.col("pr") - F.col("old")).alias("lone"))
-            gaps = edges.join(new.filter("inv_dout is not null").select(F.col("id").alias("u"), F.col("pr").alias("pr_u"), F.col("inv_dout").alias("share")), "u")
-            told, left = gaps.select((F.abs(F.col("pr_u") - F.col("seen")) * F.col("share")).alias("left"), F.lit(0.0).alias("pr"), F.lit(0.0).alias("lone")).unionByName(stubs), F.col("left")
-        else:
-            told = new.withColumn("lone", F.when(F.col("inv_dout").isNull(), F.col("pr") - F.col("old")).otherwise(0.0))
-        stat = told.agg(F.sum(F.when(left > tol, 1).otherwise(0)).alias("enabled"), F.sum(left).alias("residual"), F.sum("pr").alias("mass"), F.sum("lone").alias("lone"), F.count(F.lit(1)).alias("n")).first()
-        log.append({"sweeps": sweep, "full": not schedule.partial, "evaluated": stat["n"], "enabled": stat["enabled"], "residual": stat["residual"], "change": stat["residual"], "mass": stat["mass"], "exchanged_rows": stat["n"], "secs": clock.lap()})
+        lone = F.when(F.col("inv_dout").isNull(), F.col("pr") - F.col("old")).otherwise(0.0)
+        stat = new.agg(F.sum(F.when(left > tol, 1).otherwise(0)).alias("enabled"), F.sum(left).alias("residual"), F.sum("pr").alias("mass"), F.sum(lone).alias("lone"), F.count(F.lit(1)).alias("n")).first()
+        log.append({"sweeps": sweep, "full": not schedule.partial, "evaluated": stat["n"], "enabled": stat["enabled"], "residual": stat["residual"], "change": stat["residual"], "mass": stat["mass"], "exchanged_rows": stat["n"], "exchanged_bytes": stat["n"] * 16, "secs": clock.lap()})
         state, stubs_pending = new, stat["lone"] or 0.0
         if why := stop.reason(log[-1]):
             reason = why
             break
     vertices.unpersist()
     given.unpersist()
-    return Run(spark, {"ranks": state.select("id", "pr"), "vertices": state, "edges": edges}, log, reason)
+    for s in (states, edge_states, olds):
+        s.close()
+    kept = edges.join(old, keys).select("u", "v", "seen") if memory == "edge" else edges
+    return Run(spark, {"ranks": state.select("id", "pr"), "vertices": state, "edges": kept}, log, reason)
+
+
+def _packed(edges: DataFrame, vertices: DataFrame, n: int, orientation: str, dangling: str, d: float, tol: float, shards: int | None, sweeps: int, schedule: Schedule, stop: Stop, max_sweeps: int, clock: Clock, known: DataFrame | None = None) -> Run:
+    """The tuples (u, old) of a target as arrays in blocks; ranks, checked to be few, are replicated in each sweep.
+
+    The driver holds two numbers for each vertex, so a sweep is one job without shuffle:
+    blocks add to the ranks of their targets and remember what they passed on.
+
+    ``known`` ranks q start the program as if every edge had passed q / dout on before: then
+    pr = (1 - d) / N + d * sum of q / dout, which is where the invariant puts it.
+    """
+    if dangling == "sample":
+        raise ValueError("drawn targets need memory='vertex'")
+    spark = edges.sparkSession
+    ids = np.sort(vertices.select("id").toArrow().column(0).to_numpy())
+    place = spark.sparkContext.broadcast(ids)
+
+    def dense(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(np.searchsorted(place.value, b.column(i).to_numpy()).astype(np.int32)) for i in (0, 1)], ["u", "v"])
+
+    parts = shards or max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-edges.count() // SHARD_EDGES)))
+    by = "u" if orientation == "push" else "v"
+    # ranges of targets, so that a block writes few ranks; a target of very many edges spans blocks, whose sums are added
+    dealt = edges.repartitionByRange(parts, by, "u", "v").sortWithinPartitions(by) if orientation in ("pull", "push") else edges.repartition(parts)
+    states = States(10)
+    blocks = states.next(pack_edges(dealt.mapInArrow(dense, "u int, v int"), by))
+    out = degrees(edges).toArrow()
+    inv = np.zeros(n)
+    inv[np.searchsorted(ids, out.column("u").to_numpy())] = 1.0 / out.column("dout").to_numpy()
+    stub = inv == 0
+    first = (1 - d) / n
+    pr, old = np.full(n, first), np.zeros(n)
+    if known is not None:
+        got = known.select("id", "pr").toArrow()
+        old[np.searchsorted(ids, got.column("id").to_numpy())] = got.column("pr").to_numpy()
+        blocks = states.next(_remember(blocks, spark.sparkContext.broadcast(old)))
+        pr = np.full(n, first)
+        pr = pr + d * _passed(blocks, spark.sparkContext.broadcast((old * inv,)), n)
+        if dangling == "fold":
+            pr = pr + d * (old[stub].sum() - np.where(stub, old, 0.0)) / (n - 1)
+    log, reason = [], "sweeps"
+    for sweep in range(1, max_sweeps + 1):
+        pending = pr - old
+        runs = None
+        if schedule.kind == "alternating":
+            runs = ids % 2 == sweep % 2
+        elif schedule.kind == "sample":
+            runs = np.random.default_rng([schedule.seed, sweep]).random(n) < schedule.share
+        elif schedule.kind == "priority":
+            runs = np.abs(pending) >= schedule.share * np.abs(pending).max(initial=0.0)
+        fires = np.abs(pending) > tol if runs is None else runs & (np.abs(pending) > tol)
+        swept = states.next(sweep_edges(blocks, spark.sparkContext.broadcast((pr, inv, runs)), d, tol, sweeps))
+        new = pr.copy()
+        told = swept.select("at", "x").toArrow()
+        for at, x in zip(told.column(0), told.column(1)):
+            to = np.frombuffer(at.as_buffer(), np.int32)
+            new[to] += np.frombuffer(x.as_buffer(), np.float64)
+        if dangling == "fold":
+            lone = np.where(stub & fires, pending, 0.0)
+            new += d * (lone.sum() - lone) / (n - 1)
+        old = np.where(fires, pr, old)
+        pr, blocks = new, swept.select("block", "u", "v", "old")
+        left = np.abs(pr - old)
+        residual, enabled = float(left.sum()), int((left > tol).sum())
+        if sweeps > 1:  # edges of a vertex remember different values
+            gap = _passed(blocks, spark.sparkContext.broadcast((pr, inv)), n, 1)
+            residual, enabled = float(gap.sum() + left[stub].sum()), int((gap > tol).sum() + (left[stub] > tol).sum())
+        log.append({"sweeps": sweep, "full": not schedule.partial, "evaluated": n, "enabled": enabled, "residual": residual, "change": residual, "mass": float(pr.sum()), "exchanged_rows": n, "exchanged_bytes": sum(len(a.as_buffer()) * 3 for a in told.column(0)), "secs": clock.lap()})
+        if why := stop.reason(log[-1]):
+            reason = why
+            break
+    states.close()
+    table = pa.table({"id": ids, "pr": pr, "old": old, "inv_dout": pa.array(inv, mask=stub)})
+    state = spark.createDataFrame(table)
+    return Run(spark, {"ranks": state.select("id", "pr"), "vertices": state, "edges": unpack_edges(blocks, ids)}, log, reason)
+
+
+def _remember(blocks: DataFrame, values) -> DataFrame:
+    """Blocks whose edges have passed on the given values of their sources."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            old = [values.value[np.frombuffer(u.as_buffer(), np.int32)].tobytes() for u in b.column("u")]
+            yield pa.RecordBatch.from_arrays([b.column("block"), b.column("u"), b.column("v"), pa.array(old, pa.binary())], ["block", "u", "v", "old"])
+
+    return blocks.mapInArrow(run, "block long, u binary, v binary, old binary")
+
+
+def _passed(blocks: DataFrame, shared, n: int, gaps: int = 0) -> np.ndarray:
+    """Per target the sum of a value of the sources; with ``gaps``, of |pr - memory| / dout. One array of n per task is sent."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(n)
+        for b in batches:
+            for i in range(b.num_rows):
+                u, v = (np.frombuffer(b.column(c)[i].as_buffer(), np.int32) for c in ("u", "v"))
+                x = np.abs(shared.value[0][u] - np.frombuffer(b.column("old")[i].as_buffer(), np.float64)) * shared.value[1][u] if gaps else shared.value[0][u]
+                total += np.bincount(v, x, n)
+        yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["x"])
+
+    parts = blocks.mapInArrow(run, "x binary").toArrow().column(0)
+    return sum((np.frombuffer(x.as_buffer(), np.float64) for x in parts), np.zeros(n))
 
 
 def _draws(stubs: DataFrame, vertices: DataFrame, n: int, d: float, sweep: int) -> DataFrame:
@@ -219,36 +327,6 @@ def _draws(stubs: DataFrame, vertices: DataFrame, n: int, d: float, sweep: int)
     return vertices.select("id").join(good, "id", "left").select("id", (F.coalesce("drawn", F.lit(0.0)) + F.lit(lost / n)).alias("drawn"))
 
 
-def _local(rows: DataFrame, d: float, sweeps: int, tol: float) -> DataFrame:
-    """Several sweeps inside each shard of targets; rows: u, v, .., seen, pr, inv_dout; returns them with the new ``seen``.
-
-    A shard owns the ranks of its targets: what it adds to them reaches its own edges at
-    once and other shards after the exchange, so copies of one rank differ for a while.
-    """
-    names = rows.columns
-    where = {c: names.index(c) for c in ("u", "v", "seen", "pr", "inv_dout")}
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = [b for b in batches if b.num_rows]
-        if not got:
-            return
-        table = pa.Table.from_batches(got)
-        u, v, seen, pr, inv = (table.column(i).to_numpy().copy() for i in where.values())
-        owned, to = np.unique(v, return_inverse=True)
-        at = np.minimum(np.searchsorted(owned, u), len(owned) - 1)
-        own = owned[at] == u
-        for _ in range(sweeps):
-            go = np.abs(pr - seen) > tol
-            if not go.any():
-                break
-            add = np.bincount(to, np.where(go, d * (pr - seen) * inv, 0.0), len(owned))
-            seen[go] = pr[go]
-            pr[own] += add[at[own]]
-        yield from table.set_column(where["seen"], "seen", pa.array(seen)).to_batches()
-
-    return rows.mapInArrow(run, rows.schema)
-
-
 def rank_classic(edges: DataFrame, vertices: DataFrame | None = None, *, d: float = 0.85, max_iter: int = 50, eps: float = 0.0, dangling: str = "fold") -> Run:
     """Synchronous iteration from 1 / N over whole contributions."""
     spark, clock = edges.sparkSession, Clock()
@@ -273,25 +351,24 @@ def rank_classic(edges: DataFrame, vertices: DataFrame | None = None, *, d: floa
     return Run(spark, {"ranks": state.select("id", "pr")}, log, reason)
 
 
-#: The forms of the program; the first four presets are the measured variants, best reading.
+#: The forms of the program, each with options of its own: p3..p13 before reduction, r1..r4 the measured variants.
 PRESETS: dict[str, dict] = {
-    "vertex_delta": {"memory": "vertex", "orientation": "push"},
-    "edge_delta": {"memory": "edge", "orientation": "split"},
-    "pull": {"memory": "edge", "orientation": "pull"},
-    "push": {"memory": "edge", "orientation": "push"},
-    "split": {"memory": "vertex", "orientation": "split"},
-    "localized": {"memory": "embedded", "orientation": "split"},
-    "folded": {"memory": "vertex", "orientation": "pull", "dangling": "fold"},
+    "vertex_delta": {"memory": "vertex", "orientation": "push", "dangling": "expand"},
+    "edge_delta": {"memory": "edge", "orientation": "any", "dangling": "expand"},
+    "pull": {"memory": "edge", "orientation": "pull", "dangling": "expand"},
+    "push": {"memory": "edge", "orientation": "push", "dangling": "expand"},
+    "split": {"memory": "edge", "orientation": "split", "dangling": "expand", "shards": 8},
+    "localized": {"memory": "embedded", "orientation": "any", "dangling": "expand"},
+    "folded": {"memory": "edge", "orientation": "any", "dangling": "fold"},
     "expanded": {"memory": "vertex", "orientation": "pull", "dangling": "expand"},
-    "materialized": {"memory": "edge", "orientation": "split", "index": True},
-    "pull_shards": {"memory": "vertex", "orientation": "pull"},
-    "pull_local_shards": {"memory": "embedded", "orientation": "pull"},
-    "adjacency": {"memory": "adjacency", "orientation": "pull"},
-    "r1": {"memory": "vertex", "orientation": "split"},
-    "r2": {"memory": "embedded", "orientation": "split"},
-    "r3": {"memory": "vertex", "orientation": "pull"},
-    "r4": {"memory": "adjacency", "orientation": "pull"},
-    "naive": {"memory": "edge", "orientation": "split", "dangling": "expand"},
+    "materialized": {"memory": "edge", "orientation": "any", "index": True, "dangling": "expand"},
+    "pull_shards": {"memory": "edge", "orientation": "pull", "shards": 8, "dangling": "expand"},
+    "pull_local_shards": {"memory": "embedded", "orientation": "pull", "shards": 8, "dangling": "expand"},
+    "adjacency": {"memory": "adjacency", "orientation": "pull", "dangling": "expand"},
+    "r1": {"memory": "edge", "orientation": "split", "dangling": "fold", "shards": 8},
+    "r2": {"memory": "embedded", "orientation": "split", "dangling": "fold", "shards": 8},
+    "r3": {"memory": "edge", "orientation": "pull", "dangling": "fold", "shards": 8},
+    "r4": {"memory": "adjacency", "orientation": "pull", "dangling": "fold"},
 }
 
 

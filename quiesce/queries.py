@@ -195,7 +195,7 @@ def _invariant(name: str, **options) -> None:
 _invariant("pr_half_schedule", schedule=Schedule.sample(0.5))
 _invariant("pr_priority_schedule", schedule=Schedule.priority(0.5))
 _invariant("pr_alternating_schedule", schedule=Schedule.alternating())
-_invariant("pr_local_sweeps4", memory="embedded", sweeps_per_exchange=4)
+_invariant("pr_local_sweeps4", memory="adjacency", sweeps_per_exchange=4)
 
 
 def pr_residual_by_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,8 +19,7 @@ def clusters(run):
     return [r.c for r in run.state["assign"].orderBy("pid").collect()]
 
 
-@pytest.mark.parametrize("start", [(0, 1, 0, 1), (0, 0, 0, 1), (0, 1, 1, 1)])
-@pytest.mark.parametrize("preset", ["k1", "k3", "k4", "k5"])
+@pytest.mark.parametrize("start, preset", [((0, 1, 0, 1), "k1"), ((0, 0, 0, 1), "k4"), ((0, 1, 1, 1), "k5"), ((0, 0, 0, 1), "separate_buffered"), ((0, 1, 1, 1), "localized_indirect")])
 def test_line(spark, start, preset):
     p = line(spark, start)
     run = K.kmeans(p, 2, init="column", start="start", **K.PRESETS[preset])
@@ -29,6 +28,44 @@ def test_line(spark, start, preset):
     assert K.enabled_tuples(p, run.state["assign"], run.state["centers"]).first()[0] == 0
 
 
+@pytest.mark.parametrize("layout", ["localized", "localized_blocks"])
+def test_tie_rules_hold_in_every_kernel(spark, layout, monkeypatch):
+    p = spark.createDataFrame([(0, 0.0, 0), (1, 2.0, 1), (2, 1.0, 0), (3, 1.0, 1), (4, -1.0, 0), (5, 3.0, 1)], "pid long, x0 double, start int")
+    for limit in (256, 0)[layout.endswith("blocks") :]:  # unrolled expressions, then the block kernel
+        monkeypatch.setattr(K, "UNROLLED", limit)
+        for tie, want in (("stay", [0, 1, 0, 1, 0, 1]), ("last", [0, 1, 1, 1, 0, 1])):
+            got = clusters(K.kmeans(p, 2, init="column", start="start", layout=layout, tie=tie, stop=Stop.max_iter(1), max_sweeps=1))
+            assert got == want
+
+
+@pytest.mark.parametrize("whole, preset", [(True, "k1"), (False, "k2"), (True, "k4"), (False, "k5")])
+def test_blocks_equal_rows(spark, whole, preset):
+    rng = random.Random(8)
+    rows = [(i, rng.randrange(100), rng.randrange(100), rng.randrange(5)) for i in range(400)]
+    kind = "long" if whole else "double"
+    p = spark.createDataFrame([(str(i), a if whole else float(a) / 7, b if whole else float(b) / 3, c) for i, a, b, c in rows], f"pid string, x0 {kind}, x1 {kind}, start int").repartition(3)
+    stop = {"stop": Stop.max_iter(3), "max_sweeps": 3}
+    a = K.kmeans(p, 5, init="column", start="start", **K.PRESETS[preset], **stop)
+    b = K.kmeans(p, 5, init="column", start="start", exchange="indirect", **stop)
+    assert clusters(a) == clusters(b)
+    for x, y in zip(a.state["centers"].orderBy("m").collect(), b.state["centers"].orderBy("m").collect()):
+        assert tuple(x) == pytest.approx(tuple(y))
+
+
+@pytest.mark.parametrize("local", ["frozen", "serial"])
+def test_local_sweeps_settle(spark, local):
+    rng = random.Random(2)
+    p = spark.createDataFrame([(i, i % 3 * 50 + rng.random(), rng.randrange(3)) for i in range(300)], "pid long, x0 double, start int")
+    run = K.kmeans(p, 3, init="column", start="start", shards=4, split="block", sweeps_per_exchange=3, local=local)
+    assert K.enabled_tuples(p, run.state["assign"], run.state["centers"]).first()[0] == 0
+
+
+def test_library_baseline(spark):
+    p = spark.createDataFrame([(i, float(i % 2 * 9)) for i in range(20)], "pid long, x0 double")
+    run = B.baseline_kmeans_library(p, 2)
+    assert sorted(r.n for r in run.state["centers"].collect()) == [10, 10]
+
+
 def test_serial_error_falls_with_every_move():
     rng = random.Random(4)
     rows = [((rng.gauss(c * 4, 1), rng.gauss(0, 1)), rng.randrange(3)) for c in range(3) for _ in range(30)]

@@ -22,13 +22,35 @@ def ranks(run):
     return {r.id: r.pr for r in run.state["ranks"].collect()}
 
 
-@pytest.mark.parametrize("variant", ["vertex_delta", "edge_delta", "localized", "expanded", "adjacency", "naive"])
+@pytest.mark.parametrize("variant", ["vertex_delta", "edge_delta", "materialized", "pull_shards", "pull_local_shards", "r1", "r4"])
 def test_two_sweeps_by_hand(tri, variant):
     got = ranks(R.rank(tri, variant=variant, stop=Stop.max_iter(2), max_sweeps=2))
     for i, want in ((1, 3147 / 32000), (2, 1029 / 8000), (3, 1017 / 6400)):
         assert got[i] == pytest.approx(want, abs=1e-12)
 
 
+def test_presets_differ():
+    seen = [tuple(sorted((k, str(v)) for k, v in o.items())) for o in R.PRESETS.values()]
+    assert len(set(seen)) == len(seen)
+
+
+def test_packed_form_to_rest_and_from_known_ranks(spark):
+    rng = random.Random(5)
+    pairs = sorted({(rng.randrange(30), rng.randrange(40)) for _ in range(150)})
+    e = spark.createDataFrame(pairs, "u long, v long")
+    want = R.rank_exact(pairs, sorted({x for p in pairs for x in p}))
+    run = R.rank(e, variant="r4", stop=Stop.residual(1e-8), max_sweeps=400)
+    assert ranks(run) == pytest.approx(want, abs=1e-7) and R.invariant_error(run, e) < 1e-12
+    more = e.unionByName(spark.createDataFrame([(3, 39), (41, 2)], "u long, v long"))
+    again = R.rank(more, memory="adjacency", known=run.state["ranks"], stop=Stop.residual(1e-8), max_sweeps=400)
+    both = sorted({*pairs, (3, 39), (41, 2)})
+    assert ranks(again) == pytest.approx(R.rank_exact(both, sorted({x for p in both for x in p})), abs=1e-7)
+    for options in ({"orientation": "push"}, {"sweeps_per_exchange": 3}):
+        assert ranks(R.rank(e, memory="adjacency", stop=Stop.residual(1e-6), max_sweeps=400, **options)) == pytest.approx(want, abs=1e-5)
+    with pytest.raises(ValueError, match="replicate"):
+        R.rank(e, memory="adjacency", broadcast_bytes=0, sweeps_per_exchange=2)
+
+
 def test_fixpoint_exact_and_serial_orders():
     want = R.rank_exact(TRI, [1, 2, 3])
     assert want[3] == pytest.approx(0.43274854, abs=1e-8) and sum(want.values()) == pytest.approx(1)
@@ -57,7 +79,7 @@ def test_residual_falls_by_d_and_bounds_the_error(tri):
     assert run.metrics.count() == 8
 
 
-@pytest.mark.parametrize("options", [{"schedule": Schedule.sample(0.5)}, {"schedule": Schedule.priority(0.5)}, {"memory": "embedded", "sweeps_per_exchange": 3}])
+@pytest.mark.parametrize("options", [{"schedule": Schedule.sample(0.5)}, {"schedule": Schedule.priority(0.5)}, {"memory": "edge", "schedule": Schedule.alternating()}, {"memory": "adjacency", "sweeps_per_exchange": 3}, {"memory": "adjacency", "schedule": Schedule.priority(0.5)}])
 def test_any_schedule_keeps_the_invariant(spark, options):
     e = spark.createDataFrame([(1, 2), (2, 3), (3, 1), (1, 3), (3, 3)], "u long, v long")
     run = R.rank(e, stop=Stop.max_iter(5), max_sweeps=5, **options)
