@@ -26,7 +26,7 @@ def topn_overlap(a: DataFrame, b: DataFrame, n: int) -> float:
 
 
 def kendall(a: DataFrame, b: DataFrame, limit: int = 2000) -> float:
-    """Share of agreeing pairs less that of disagreeing ones, for at most ``limit`` common vertices with the largest ranks."""
+    """Share of agreeing pairs less that of disagreeing ones, over the ``limit`` common vertices that rank highest in ``a``: a measure of the top, not of all."""
     x = a.join(b.select("id", F.col("pr").alias("pr2")), "id").orderBy(F.desc("pr"), "id").limit(limit).select("pr", "pr2").toPandas().to_numpy()
     if len(x) < 2:
         return 1.0
@@ -48,7 +48,17 @@ def growth(times: DataFrame, by: str) -> DataFrame:
     return times.select("variant", by, "secs", (F.col("secs") / F.lag("secs").over(w)).alias("factor"))
 
 
-scaling = growth
+def scaling(times: DataFrame) -> DataFrame:
+    """times(variant, threads, secs): how much faster a run is than on half the threads."""
+    half = times.select("variant", (F.col("threads") * 2).alias("threads"), F.col("secs").alias("_half"))
+    return times.join(half, ["variant", "threads"], "left").select("variant", "threads", "secs", (F.col("_half") / F.col("secs")).alias("factor"))
+
+
+def cached_bytes(df: DataFrame) -> int:
+    """Bytes that a cached table takes in memory and on disk, as the block manager reports them."""
+    df.count()
+    before = {i.id(): i for i in df.sparkSession.sparkContext._jsc.sc().getRDDStorageInfo()}
+    return int(max((i.memSize() + i.diskSize() for k, i in before.items() if k == max(before)), default=0))
 
 
 def outliers(runs: DataFrame, factor: float = 5.0) -> DataFrame:

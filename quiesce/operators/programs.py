@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -38,7 +42,7 @@ def sort_neighbours(df: DataFrame, limit: int | None = None) -> DataFrame:
 
     At most n sweeps; a demonstration for small inputs. df: slot (dense from 0), value.
     """
-    states, n = States(20), df.count()
+    states, n = States(4), df.count()
     state, still = states.next(df.select("slot", "value")), 0
     for sweep in range(limit or n + 2):
         pair = F.floor((F.col("slot") + sweep % 2) / 2)
@@ -50,6 +54,7 @@ def sort_neighbours(df: DataFrame, limit: int | None = None) -> DataFrame:
         state = new.drop("_swap")
         if still == 2:  # both parities at rest
             break
+    states.close()
     return state
 
 
@@ -106,17 +111,87 @@ def to_jagged(a: DataFrame) -> DataFrame:
     return to_padded(a).join(sizes, "i").select("length", "i", "kk", "j", "val")
 
 
-def spmm(a: DataFrame, b: DataFrame, layout: str) -> DataFrame:
-    """a times b with a in a layout: coo, row_lists, padded or jagged; equal results."""
+def pack_rows(a: DataFrame, layout: str, columns: np.ndarray, size: int = 1 << 18, parts: int | None = None) -> DataFrame:
+    """Blocks of about ``size`` non-zeros in a layout: rows, lengths, cols, vals as binary arrays; a row may span blocks.
+
+    row_lists: row after row. padded: one array for each position in the row, as long as
+    the block has rows, short rows filled up with zeros. jagged: the same over rows sorted
+    by falling length, only as long as there are rows with that position. ``columns`` are
+    the sorted keys of the other matrix; columns that it lacks are zero and fall away.
+    """
+    keys = a.sparkSession.sparkContext.broadcast(columns)
+
+    def close(i: np.ndarray, j: np.ndarray, val: np.ndarray) -> pa.RecordBatch:
+        rows, first, lengths = np.unique(i, return_index=True, return_counts=True)
+        if layout != "row_lists":
+            order = np.argsort(-lengths, kind="stable") if layout == "jagged" else np.arange(len(rows))
+            rows, first, lengths = rows[order], first[order], lengths[order]
+            cols, vals = [], []
+            for kk in range(int(lengths.max())):  # the loop over positions is outside, rows are inside
+                if layout == "jagged":
+                    at = first[: int((lengths > kk).sum())] + kk
+                    cols.append(j[at])
+                    vals.append(val[at])
+                else:
+                    has = lengths > kk
+                    at = np.minimum(first + kk, len(j) - 1)
+                    cols.append(np.where(has, j[at], 0))
+                    vals.append(np.where(has, val[at], 0))
+            j, val = np.concatenate(cols), np.concatenate(vals)
+        return pa.RecordBatch.from_pydict({c: pa.array([x.tobytes()], pa.binary()) for c, x in (("rows", rows), ("lengths", lengths.astype(np.int64)), ("cols", j.astype(np.int32)), ("vals", val.astype(np.float64)))})
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+        for b in batches:
+            i, j, val = (b.column(c).to_numpy(zero_copy_only=False) for c in range(3))
+            at = np.minimum(np.searchsorted(keys.value, j), max(0, len(keys.value) - 1))
+            there = keys.value[at] == j if len(keys.value) else np.zeros(len(j), bool)
+            held.append((i[there].astype(np.int64), at[there], val[there]))
+            n += int(there.sum())
+            if n >= size:
+                yield close(*(np.concatenate(x) for x in zip(*held)))
+                held, n = [], 0
+        if n:
+            yield close(*(np.concatenate(x) for x in zip(*held)))
+
+    dealt = a.select("i", "j", "val")
+    dealt = (dealt.repartitionByRange(parts, "i", "j") if parts else dealt.repartitionByRange("i", "j")).sortWithinPartitions("i", "j")
+    return dealt.mapInArrow(run, "rows binary, lengths binary, cols binary, vals binary")
+
+
+def _times(rows: np.ndarray, lengths: np.ndarray, cols: np.ndarray, vals: np.ndarray, dense: np.ndarray, layout: str) -> np.ndarray:
+    """The block's part of the product, in the order of the layout."""
     if layout == "row_lists":
-        flat = to_row_lists(a).select("i", F.explode(F.arrays_zip("cols", "vals")).alias("e")).select("i", F.col("e.cols").alias("j"), F.col("e.vals").alias("val"))
-    elif layout == "padded":
-        flat = to_padded(a).select("i", "j", "val")
-    elif layout == "jagged":
-        flat = to_jagged(a).select("i", "j", "val")
-    else:
-        flat = a
-    return matmul(flat, b)
+        return np.add.reduceat(vals[:, None] * dense[cols], np.cumsum(lengths) - lengths, axis=0)
+    out, at = np.zeros((len(rows), dense.shape[1])), 0
+    for kk in range(int(lengths.max())):
+        n = int((lengths > kk).sum()) if layout == "jagged" else len(rows)
+        out[:n] += vals[at : at + n, None] * dense[cols[at : at + n]]
+        at += n
+    return out
+
+
+def spmm(a: DataFrame, b: DataFrame, layout: str, bound: int = 256 << 20) -> DataFrame:
+    """i, c0..: a(i, j, val) times a dense multi-vector b(j, c0..), with a in a layout: coo, row_lists, padded or jagged.
+
+    The dense side is replicated if it takes at most ``bound`` bytes; beyond that, and for coo, it is joined by key.
+    """
+    cs = [c for c in b.columns if c != "j"]
+    if layout == "coo" or b.count() * 8 * (len(cs) + 1) > bound:
+        return a.join(b, "j").groupBy("i").agg(*(F.sum(F.col("val") * F.col(c)).alias(c) for c in cs))
+    got = b.select("j", *(F.col(c).cast("double") for c in cs)).orderBy("j").toArrow()
+    dense = a.sparkSession.sparkContext.broadcast(np.stack([got.column(c).to_numpy() for c in cs], axis=1) if got.num_rows else np.zeros((0, len(cs))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = (np.int64, np.int64, np.int32, np.float64)
+        for batch in batches:
+            for k in range(batch.num_rows):
+                rows, lengths, cols, vals = (np.frombuffer(batch.column(c)[k].as_buffer(), t) for c, t in enumerate(kinds))
+                out = _times(rows, lengths, cols, vals, dense.value, layout)
+                yield pa.RecordBatch.from_arrays([pa.array(rows), *(pa.array(out[:, c]) for c in range(len(cs)))], ["i", *cs])
+
+    parts = pack_rows(a, layout, got.column("j").to_numpy()).mapInArrow(run, "i long, " + ", ".join(f"{c} double" for c in cs))
+    return parts.groupBy("i").agg(*(F.sum(c).alias(c) for c in cs))  # rows that span blocks
 
 
 # ---- shards
@@ -130,6 +205,21 @@ def shard_of(key: Column, parts: int, how: str = "value", low: float = 0, high:
     return F.pmod(F.xxhash64(key), F.lit(parts)).cast("int")
 
 
+def covers(key: Column, parts: int, low: float, high: float, margin: float) -> Column:
+    """Shards of an overlapping cover by range: a tuple near a bound is in both shards, so only combines that may repeat are legal."""
+    a, b = shard_of(key - margin, parts, "range", low, high), shard_of(key + margin, parts, "range", low, high)
+    return F.sequence(a, b)
+
+
+def once_covered(reservoir: DataFrame, shards: Column, address: list[str], delta: Column, combine: str = "min") -> DataFrame:
+    """``once`` over shards that overlap: each shard combines what it holds, then shards are combined."""
+    if combine not in ("min", "max"):
+        raise ValueError("a tuple in two shards would add its update twice")
+    how = {"min": F.min, "max": F.max}[combine]
+    rows = reservoir.select(*address, delta.alias("delta"), F.explode(shards).alias("_shard"))
+    return rows.groupBy("_shard", *address).agg(how("delta").alias("value")).groupBy(*address).agg(how("value").alias("value"))
+
+
 def shared_addresses(edges: DataFrame, shard: Column, address: str = "v") -> DataFrame:
     """address, shards: those that more than one shard touches, which must be exchanged."""
     return edges.select(F.col(address).alias("address"), shard.alias("s")).groupBy("address").agg(F.countDistinct("s").alias("shards")).filter("shards > 1")

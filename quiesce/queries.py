@@ -16,10 +16,13 @@ from .plans.policy import Schedule, Stop
 from .sources import generators as G
 from .sources import tables as T
 from .streaming import loops as W
+from . import workloads as X
 
 QUERIES: dict = dict(relational.QUERIES)
 ORACLES: dict[str, str] = dict(relational.ORACLES)
-SWEEPS = 5  # of the rank queries, and of their SQL
+SWEEPS = 8  # of the forms that are compared sweep by sweep, and of their SQL
+CLASSIC = 20
+REST = 120  # sweeps of the SQL that stands for the fixpoint: 0.85^120 is below 4e-9
 
 
 def _add(name: str, run, sql: str | None = None) -> None:
@@ -44,12 +47,13 @@ def _km(name: str, points, sql: str, d: int, k: int, sweeps: int, tie: str = "st
     _add(name, run, S.kmeans_centres(sql, d, k, sweeps, tie))
 
 
-_km("km_classic_lineitem", T.lineitem_started, S.POINTS["started"], 4, 4, 4, "last")
+_km("km_classic_lineitem", T.lineitem_started, S.POINTS["started"], 4, 4, 5, "last")
 _km("km_moves_lineitem", T.lineitem_started, S.POINTS["started"], 4, 4, 4)
-for _d in (4, 16):
-    _km(f"km_embeddings_d{_d}", lambda s, f, d=_d: T.embeddings(s, f, d, 4), S.embedding_points(_d), _d, 4, 3)
-for _k in (2, 8):
-    _km(f"km_k_sweep_{_k}", lambda s, f, k=_k: T.lineitem_started(s, f, k), S.POINTS["started"], 4, _k, 3)
+_km("km_moves_blocks", T.lineitem_started, S.POINTS["started"], 4, 4, 4, layout="localized_blocks")
+for _d in (4, 8, 16, 32, 64):
+    _km(f"km_embeddings_d{_d}", lambda s, f, d=_d: T.embeddings(s, f, d, 4), S.embedding_points(_d), _d, 4, 3, layout="localized_blocks")
+for _k in (2, 4, 8, 16, 32):
+    _km(f"km_k_sweep_{_k}", lambda s, f, k=_k: T.lineitem_started(s, f, k), S.POINTS["started"], 4, _k, 3, layout="separate_blocks")
 _km("km_events_features", lambda s, f: T.event_users(s, f, 3), S.POINTS["events"], 4, 3, 3)
 _km("km_documents_features", lambda s, f: T.document_shape(s, f, 3), S.POINTS["documents"], 4, 3, 3)
 _km("km_customer_rfm", lambda s, f: T.customer_activity(s, f, 3), S.POINTS["customers"], 3, 3, 3)
@@ -66,6 +70,10 @@ for _n, _title in (("k1", "separate_buffered"), ("k2", "separate_indirect"), ("k
 _settled("km_master_exchange", **K.PRESETS["k5"])
 _settled("km_range_shards", shards=8, split="range")
 _settled("km_value_shards", shards=8, split="value")
+for _n in ("separate_buffered", "separate_indirect", "localized_indirect", "localized_buffered"):
+    _settled(f"km_rows_{_n}", **K.PRESETS[_n])
+_settled("km_any_shards", shards=8, split="any")
+_settled("km_block_shards", shards=4, split="block", layout="localized_blocks")
 _settled("km_local_sweeps4_frozen", shards=4, sweeps_per_exchange=4, local="frozen")
 
 
@@ -81,22 +89,22 @@ _add("km_conservation", km_conservation, f"SELECT CAST(count(*) AS BIGINT) AS n,
 def km_enabled_at_rest(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = T.anchored(spark, sf_dir)
     run = K.kmeans(p, 4, init="column", start="start")
-    return K.enabled_tuples(p, run.state["assign"], run.state["centers"])
+    left = K.enabled_tuples(p, run.state["assign"], run.state["centers"])
+    return left.join(run.state["assign"].groupBy("c").agg(F.count(F.lit(1)).alias("size")))  # one row by k
 
 
-_add("km_enabled_at_rest", km_enabled_at_rest, "SELECT CAST(0 AS BIGINT) AS enabled")
+_add("km_enabled_at_rest", km_enabled_at_rest, f"SELECT CAST(0 AS BIGINT) AS enabled, truth AS c, CAST(count(*) AS BIGINT) AS size FROM ({S.POINTS['anchored']}) GROUP BY truth")
 
 
 def km_assign_new(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Centres from even orders, assignment of odd ones."""
+    """Centres of two sweeps, then the nearest of them for every point."""
     p = T.lineitem_started(spark, sf_dir)
-    run = K.kmeans(p.filter("key % 2 = 0"), 4, init="column", start="start", stop=Stop.max_iter(2), max_sweeps=2)
-    return K.assign(p.filter("key % 2 = 1"), run.state["centers"]).groupBy("c").agg(F.count(F.lit(1)).alias("n"))
+    run = K.kmeans(p, 4, init="column", start="start", stop=Stop.max_iter(2), max_sweeps=2)
+    return K.assign(p, run.state["centers"]).groupBy("c").agg(F.count(F.lit(1)).alias("n"))
 
 
-_ODD = S.POINTS["exact"] + " WHERE l_orderkey % 2 = 1"
 _DS = ", ".join("(" + " + ".join(f"(x{j} - (SELECT s{j} / n FROM m2 WHERE m = {m})) * (x{j} - (SELECT s{j} / n FROM m2 WHERE m = {m}))" for j in range(4)) + f") AS d{m}" for m in range(4))
-_add("km_assign_new", km_assign_new, f"{S.kmeans_chain(S.POINTS['started'].replace(S.POINTS['exact'], S.POINTS['exact'] + ' WHERE l_orderkey % 2 = 0'), 4, 4, 2)} SELECT CAST(CASE WHEN d0 = b THEN 0 WHEN d1 = b THEN 1 WHEN d2 = b THEN 2 ELSE 3 END AS INT) AS c, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, least(d0, d1, d2, d3) AS b FROM (SELECT *, {_DS} FROM ({_ODD}))) GROUP BY 1")
+_add("km_assign_new", km_assign_new, f"{S.kmeans_chain(S.POINTS['started'], 4, 4, 2)} SELECT CAST(CASE WHEN d0 = b THEN 0 WHEN d1 = b THEN 1 WHEN d2 = b THEN 2 ELSE 3 END AS INT) AS c, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, least(d0, d1, d2, d3) AS b FROM (SELECT *, {_DS} FROM ({S.POINTS['exact']}))) GROUP BY 1")
 
 
 def km_sse_by_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -128,13 +136,14 @@ _add("km_stop_rules", km_stop_rules, "SELECT * FROM (VALUES ('center_shift', 'qu
 
 
 def km_serial_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The move program tuple by tuple on the points of one order range: sizes at rest."""
-    rows = T.anchored(spark, sf_dir).filter("cast(split(pid, '-')[0] as bigint) <= 100").select("x0", "x1", "x2", "x3", "start").collect()
-    c, _, _ = K.kmeans_serial([((r[0], r[1], r[2], r[3]), r[4]) for r in rows], 4)
+    """The move program tuple by tuple, with immediate exchange, on all nations (25 at every scale): sizes at rest."""
+    truth = (F.col("n_regionkey") % 4).cast("int")
+    points = T.table(spark, sf_dir, "nation").select((F.col("n_nationkey") + 1000 * truth).alias("x0"), F.when(F.col("n_nationkey") % 7 == 0, (truth + 1) % 4).otherwise(truth).alias("start"))
+    c, _, _ = K.kmeans_serial([((r[0],), r[1]) for r in points.orderBy("x0").collect()], 4)
     return spark.createDataFrame([(int(x),) for x in c], "m int").groupBy("m").agg(F.count(F.lit(1)).alias("size"))
 
 
-_add("km_serial_spec", km_serial_spec, f"SELECT truth AS m, CAST(count(*) AS BIGINT) AS size FROM ({S.POINTS['anchored']}) WHERE CAST(split_part(pid, '-', 1) AS BIGINT) <= 100 GROUP BY truth")
+_add("km_serial_spec", km_serial_spec, "SELECT CAST(n_regionkey % 4 AS INT) AS m, CAST(count(*) AS BIGINT) AS size FROM nation GROUP BY 1")
 
 
 def km_gaussian_generated(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -146,13 +155,14 @@ _add("km_gaussian_generated", km_gaussian_generated)
 
 
 def km_outlier_study(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sweeps until the switched fraction is small, over random starts."""
-    p = G.gen_gaussian(spark, 2_000).persist()
-    rows = [(s, K.kmeans(p, 4, init="random_assign", seed=s, exchange="indirect", stop=Stop.any(Stop.switch_fraction(1e-4), Stop.max_iter(10)), max_sweeps=10).sweeps) for s in range(3)]
-    return spark.createDataFrame(rows, "seed int, sweeps int")
+    """Sweeps until the switched fraction is small, over 20 random starts, without a cap on sweeps; runs far above the median are marked."""
+    return X.outlier_study(spark)
 
 
 _add("km_outlier_study", km_outlier_study)
+_add("km_library_quality", lambda spark, sf_dir: X.library_quality(spark, sf_dir))
+for _n, _f in X.WORKLOADS.items():
+    _add(_n, _f)
 
 # ---- ranks
 
@@ -173,23 +183,25 @@ def _pr(name: str, graph: str, sweeps: int = SWEEPS, d: float = 0.85, **options)
 
 
 for _g in EDGES:
-    _add(f"pr_classic_{_g}", lambda spark, sf_dir, g=_g: _ranks(R.rank_classic(EDGES[g](spark, sf_dir), max_iter=SWEEPS)), S.rank_classic(_g, SWEEPS))
+    _add(f"pr_classic_{_g}", lambda spark, sf_dir, g=_g: _ranks(R.rank_classic(EDGES[g](spark, sf_dir), max_iter=CLASSIC)), S.rank_classic(_g, CLASSIC))
     _pr(f"pr_delta_{_g}", _g)
+    _add(f"pr_rest_{_g}", lambda spark, sf_dir, g=_g: _ranks(R.rank(EDGES[g](spark, sf_dir), variant="r4", stop=Stop.residual(1e-9), max_sweeps=400), 7), S.rank_classic(_g, REST, digits=7))
 for _v in R.PRESETS:
-    _pr(f"pr_{_v}", "trade" if _v in ("folded", "expanded", "naive", "r4") else "transitions", variant=_v)
-for _x in (0.5, 0.95):
+    _pr(f"pr_{_v}", "trade" if _v in ("folded", "expanded", "r1", "r2", "r3", "r4") else "pages" if _v in ("edge_delta", "localized", "adjacency") else "transitions", variant=_v)
+for _x in (0.5, 0.85, 0.95):
     _pr(f"pr_damping_{int(_x * 100)}", "transitions", d=_x)
 
 
 def _invariant(name: str, **options) -> None:
-    """Partial and stale schedules keep the invariant exactly and lose no rank."""
+    """Partial and stale schedules keep the invariant exactly and come to rest at the same ranks."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         e = T.transitions(spark, sf_dir)
-        r = R.rank(e, stop=Stop.max_iter(6), max_sweeps=6, **options)
-        return spark.createDataFrame([(round(float(R.invariant_error(r, e)), 9) + 0.0, r.log[-1]["residual"] < r.log[0]["residual"])], "gap double, falls boolean")
+        r = R.rank(e, stop=Stop.residual(1e-8), max_sweeps=600, **({"memory": "adjacency"} | options))
+        gap = round(float(R.invariant_error(r, e)), 9) + 0.0
+        return _ranks(r, 6).select("id", "pr", F.lit(gap).alias("gap"))
 
-    _add(name, run, "SELECT CAST(0.0 AS DOUBLE) AS gap, true AS falls")
+    _add(name, run, f"SELECT *, CAST(0.0 AS DOUBLE) AS gap FROM ({S.rank_classic('transitions', REST, digits=6)})")
 
 
 _invariant("pr_half_schedule", schedule=Schedule.sample(0.5))
@@ -208,28 +220,40 @@ _add("pr_residual_by_sweep", pr_residual_by_sweep, S.rank_delta("trade", 6, sele
 
 def pr_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
     run = R.rank_classic(T.trade(spark, sf_dir), max_iter=6)
-    return run.state["ranks"].agg(F.round(F.sum("pr"), 9).alias("mass"))
+    return run.state["ranks"].agg(F.round(F.sum("pr"), 9).alias("mass"), F.count(F.lit(1)).alias("vertices"), F.round(F.max("pr"), 9).alias("largest"))
 
 
-_add("pr_mass", pr_mass, "SELECT CAST(1.0 AS DOUBLE) AS mass")
+_add("pr_mass", pr_mass, f"SELECT round(sum(pr), 8) AS mass, count(*) AS vertices, max(pr) AS largest FROM ({S.rank_classic('trade', 6)})")
 
 
 def pr_topn_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten pages of the largest ranks at rest."""
     edges, names = T.number_vertices(T.page_names(spark, sf_dir))
-    r = _ranks(R.rank(edges, stop=Stop.max_iter(SWEEPS), max_sweeps=SWEEPS))
+    r = _ranks(R.rank(edges, variant="r4", stop=Stop.residual(1e-9), max_sweeps=400), 7)
+    return r.orderBy(F.desc("pr"), "id").limit(10).join(names, "id").select("name", "pr")
+
+
+def pr_topn_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten traders of the largest ranks at rest, customers and suppliers by name."""
+    r = _ranks(R.rank(T.trade(spark, sf_dir), variant="r4", stop=Stop.residual(1e-9), max_sweeps=400), 7)
+    names = T.table(spark, sf_dir, "customer").select((F.col("c_custkey") * 2).alias("id"), F.col("c_name").alias("name"))
+    names = names.unionByName(T.table(spark, sf_dir, "supplier").select((F.col("s_suppkey") * 2 + 1).alias("id"), F.col("s_name").alias("name")))
     return r.orderBy(F.desc("pr"), "id").limit(10).join(names, "id").select("name", "pr")
 
 
 _NAMES = f"(SELECT name, row_number() OVER (ORDER BY name) AS id FROM (SELECT a AS name FROM ({S.GRAPHS['names']}) UNION SELECT b FROM ({S.GRAPHS['names']})))"
-_add("pr_topn_pages", pr_topn_pages, S.rank_delta("pages", SWEEPS, select=f"SELECT name, pr FROM (SELECT id, round(sum(x), 9) AS pr FROM t GROUP BY id ORDER BY pr DESC, id LIMIT 10) JOIN {_NAMES} USING (id)"))
-_add("pr_kron_generated", lambda spark, sf_dir: _ranks(R.rank(G.gen_kron(spark, 10, 8_000), variant="r4", stop=Stop.max_iter(4), max_sweeps=4)))
-_add("pr_sampled_fold", lambda spark, sf_dir: _ranks(R.rank(_pages(spark, sf_dir), dangling="sample", stop=Stop.max_iter(2), max_sweeps=2)))
+_add("pr_topn_pages", pr_topn_pages, f"SELECT name, pr FROM (SELECT * FROM ({S.rank_classic('pages', REST, digits=7)}) ORDER BY pr DESC, id LIMIT 10) JOIN {_NAMES} USING (id)")
+_TRADERS = "(SELECT c_custkey * 2 AS id, c_name AS name FROM customer UNION ALL SELECT s_suppkey * 2 + 1, s_name FROM supplier)"
+_add("pr_topn_customers", pr_topn_customers, f"SELECT name, pr FROM (SELECT * FROM ({S.rank_classic('trade', REST, digits=7)}) ORDER BY pr DESC, id LIMIT 10) JOIN {_TRADERS} USING (id)")
+_add("pr_kron_generated", lambda spark, sf_dir: _ranks(R.rank(G.gen_kron(spark, 12, 40_000), variant="r4", stop=Stop.residual(1e-8), max_sweeps=400)))
+_add("pr_sampled_fold", lambda spark, sf_dir: _ranks(R.rank(_pages(spark, sf_dir), dangling="sample", stop=Stop.max_iter(4), max_sweeps=4)))
 
 # ---- baselines
 
 _add("baseline_km_mr", lambda spark, sf_dir: _centres(B.baseline_kmeans_mr(T.lineitem_started(spark, sf_dir), 4, delta=0.0, max_iter=3)), S.kmeans_centres(S.POINTS["started"], 4, 4, 3, "last"))
 _add("baseline_km_bsp", lambda spark, sf_dir: _centres(B.baseline_kmeans_bsp(T.lineitem_started(spark, sf_dir), 4, theta=0.0, max_iter=3)), S.kmeans_centres(S.POINTS["started"], 4, 4, 3, "last"))
 _add("baseline_rank_mr", lambda spark, sf_dir: _ranks(B.baseline_rank_mr(T.trade(spark, sf_dir), eps=0.0, max_iter=5)), S.rank_classic("trade", 5))
+_add("baseline_rank_naive", lambda spark, sf_dir: _ranks(B.baseline_rank_naive(T.trade(spark, sf_dir), stop=Stop.max_iter(4), max_sweeps=4)), S.rank_delta("trade", 4))
 _add("baseline_rank_bsp", lambda spark, sf_dir: _ranks(B.baseline_rank_bsp(T.trade(spark, sf_dir), max_iter=5)), S.rank_classic("trade", 5))
 
 # ---- graphs
@@ -252,43 +276,57 @@ def _cover(how: str):
 _add("shard_cover_value", _cover("value"), f"SELECT CAST(count(*) AS BIGINT) AS n FROM ({S.GRAPHS['transitions']})")
 _add("shard_cover_range", _cover("range"), f"SELECT CAST(count(*) AS BIGINT) AS n, CAST(max(least(7, floor(v / 6.125))) AS INT) AS last FROM ({S.GRAPHS['transitions']})")
 
-# ---- sparse products and sorting
+def overlap_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Earliest in-neighbour of each bucket over shards that overlap; a minimum may see a tuple twice."""
+    e = T.transitions(spark, sf_dir)
+    return P.once_covered(e, P.covers(F.col("u"), 8, 0, 49, 3), ["v"], F.col("u"), "min")
+
+
+_add("overlap_cover", overlap_cover, f"SELECT v, min(u) AS value FROM ({S.GRAPHS['transitions']}) GROUP BY v")
+
+# ---- sparse products and sorting: part by supplier quantities of all lines
 
-_A = "SELECT l_partkey AS i, l_suppkey AS j, CAST(sum(CAST(round(l_quantity) AS BIGINT)) AS BIGINT) AS val FROM lineitem WHERE l_partkey < 200 GROUP BY 1, 2"
+_A = "SELECT l_partkey AS i, l_suppkey AS j, CAST(sum(CAST(round(l_quantity) AS BIGINT)) AS BIGINT) AS val FROM lineitem GROUP BY 1, 2"
 
 
 def _matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = T.table(spark, sf_dir, "lineitem").filter("l_partkey < 200")
-    return rows.groupBy(F.col("l_partkey").alias("i"), F.col("l_suppkey").alias("j")).agg(F.sum(F.round("l_quantity").cast("bigint")).alias("val"))
+    return T.table(spark, sf_dir, "lineitem").groupBy(F.col("l_partkey").alias("i"), F.col("l_suppkey").alias("j")).agg(F.sum(F.round("l_quantity").cast("bigint")).alias("val"))
+
+
+def mm_sparse_product(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Suppliers by suppliers, over the parts that both deliver: the transposed matrix times itself."""
+    a = _matrix(spark, sf_dir)
+    return P.matmul(a.select(F.col("j").alias("i"), F.col("i").alias("j"), "val"), a)
+
+
+_add("mm_sparse_product", mm_sparse_product, f"WITH a AS ({_A}) SELECT a.j AS i, b.j AS j, CAST(sum(a.val * b.val) AS BIGINT) AS val FROM a JOIN a b ON a.i = b.i GROUP BY a.j, b.j")
 
 
 def _product(layout: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        a = _matrix(spark, sf_dir)
-        return P.spmm(a, a.select(F.col("j").alias("i"), F.col("i").alias("j"), "val"), layout)
+        b = T.table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("j"), F.lit(1).alias("c0"), F.col("s_nationkey").alias("c1"), F.round("s_acctbal").cast("bigint").alias("c2"))
+        out = P.spmm(_matrix(spark, sf_dir), b, layout)
+        return out.select("i", *(F.round(c).cast("bigint").alias(c) for c in ("c0", "c1", "c2")))
 
     return run
 
 
-for _l, _n in (("coo", "mm_sparse_product"), ("row_lists", "mm_row_lists"), ("padded", "mm_padded"), ("jagged", "mm_jagged")):
-    _add(_n, _product(_l), f"WITH a AS ({_A}) SELECT a.i AS i, b.i AS j, CAST(sum(a.val * b.val) AS BIGINT) AS val FROM a JOIN a b ON a.j = b.j GROUP BY a.i, b.i")
+for _l, _n in (("coo", "mm_triples"), ("row_lists", "mm_row_lists"), ("padded", "mm_padded"), ("jagged", "mm_jagged")):
+    _add(_n, _product(_l), f"WITH a AS ({_A}) SELECT i, CAST(sum(val) AS BIGINT) AS c0, CAST(sum(val * s_nationkey) AS BIGINT) AS c1, CAST(sum(val * CAST(round(s_acctbal) AS BIGINT)) AS BIGINT) AS c2 FROM a JOIN supplier ON j = s_suppkey GROUP BY i")
 _add("mm_derived", lambda spark, sf_dir: _product(L.product_layout(L.diagonal_product("jagged")))(spark, sf_dir), ORACLES["mm_jagged"])
 _add("mm_jagged_form", lambda spark, sf_dir: P.to_jagged(_matrix(spark, sf_dir)), f"WITH a AS ({_A}) SELECT CAST(count(*) OVER (PARTITION BY i) AS BIGINT) AS length, i, CAST(row_number() OVER (PARTITION BY i ORDER BY j) - 1 AS INT) AS kk, j, val FROM a")
 
 
-def _slots(spark: SparkSession, sf_dir: str, most: int) -> DataFrame:
-    return T.table(spark, sf_dir, "customer").filter(F.col("c_custkey") < most).select((F.col("c_custkey") - F.lit(0)).alias("slot"), F.round(F.col("c_acctbal")).cast("long").alias("value"))
-
-
-def _dense(df: DataFrame) -> DataFrame:
-    low = df.agg(F.min("slot")).first()[0] or 0
-    return df.withColumn("slot", F.col("slot") - low)
+def _slots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All nations (25 at every scale) in an order that is not the one of their values."""
+    return T.table(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("slot"), ((F.col("n_nationkey") * 7 + F.col("n_regionkey") * 13) % 23).cast("long").alias("value"))
 
 
 _SORTED = "SELECT CAST(row_number() OVER (ORDER BY value) - 1 AS BIGINT) AS slot, value FROM (SELECT CAST(round(c_acctbal) AS BIGINT) AS value FROM customer{where})"
 _add("sort_builtin", lambda spark, sf_dir: P.sort_builtin(T.table(spark, sf_dir, "customer").select(F.round("c_acctbal").cast("long").alias("value"))), _SORTED.format(where=""))
-_add("sort_neighbours", lambda spark, sf_dir: P.sort_neighbours(_dense(_slots(spark, sf_dir, 12))), _SORTED.format(where=" WHERE c_custkey < 12"))
-_add("sort_all_pairs", lambda spark, sf_dir: P.sort_all_pairs(_dense(_slots(spark, sf_dir, 12))), _SORTED.format(where=" WHERE c_custkey < 12"))
+_SLOTS = "SELECT CAST(row_number() OVER (ORDER BY value) - 1 AS BIGINT) AS slot, value FROM (SELECT CAST((n_nationkey * 7 + n_regionkey * 13) % 23 AS BIGINT) AS value FROM nation)"
+_add("sort_neighbours", lambda spark, sf_dir: P.sort_neighbours(_slots(spark, sf_dir)), _SLOTS)
+_add("sort_all_pairs", lambda spark, sf_dir: P.sort_all_pairs(_slots(spark, sf_dir)), _SLOTS)
 
 
 def once_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -311,6 +349,42 @@ def derived_forms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _add("derived_forms", derived_forms)
 
+
+def derived_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every different plan that the derivation leads to, run to the same sweep: how many forms, and their one answer."""
+    e = T.transitions(spark, sf_dir).persist()
+    seen, out = set(), None
+    for spec in L.derive(L.rank_spec(), parts=4):
+        options = L.rank_options(spec)
+        key = (options["memory"], options["orientation"], options["dangling"], options["index"])
+        if key in seen or options["dangling"] == "sample" or options["sweeps_per_exchange"] > 1:
+            continue
+        seen.add(key)
+        got = R.rank(e, stop=Stop.max_iter(2), max_sweeps=2, **options).state["ranks"]
+        out = got if out is None else out.unionByName(got)
+    return out.groupBy("id").agg(F.round(F.min("pr"), 9).alias("low"), F.round(F.max("pr"), 9).alias("high"))
+
+
+_add("derived_ranks", derived_ranks, f"SELECT id, pr AS low, pr AS high FROM ({S.rank_delta('transitions', 2)})")
+
+
+def derived_kmeans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every different plan of the k-Means derivation, run to rest on the anchored points: the centres that all agree on."""
+    p = T.anchored(spark, sf_dir).persist()
+    seen, out = set(), None
+    for spec in L.derive(L.kmeans_spec(), parts=4):
+        options = L.kmeans_options(spec)
+        keys = {(options["layout"], options["exchange"]), options["split"]}
+        if keys <= seen or options["sweeps_per_exchange"] > 1:
+            continue
+        seen |= keys
+        got = _centres(K.kmeans(p, 4, init="column", start="start", **options))
+        out = got if out is None else out.unionByName(got)
+    return out.distinct()
+
+
+_add("derived_kmeans", derived_kmeans, _TRUTH)
+
 # ---- streams
 
 _add("stream_windows", lambda spark, sf_dir: W.windowed_counts(W.event_stream(spark, sf_dir)), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY 1, 2")
@@ -334,7 +408,9 @@ _add("stream_minibatch_km", stream_minibatch_km, "SELECT CAST(count(*) AS BIGINT
 def stream_incremental_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = W.event_stream(spark, sf_dir).select((F.floor("value") % 50).cast("bigint").alias("u"), (F.col("user_id") % 50).alias("v"))
     known = spark.createDataFrame([(0, 1)], "u long, v long")
-    return W.incremental_rank(stream, known, stop=Stop.max_iter(4), max_sweeps=4).select("id", F.round("pr", 9).alias("pr"))
+    return W.incremental_rank(stream, known).select("id", F.round("pr", 7).alias("pr"))
 
 
-_add("stream_incremental_rank", stream_incremental_rank)
+_EVENT_EDGES = "SELECT DISTINCT u, v FROM (SELECT CAST(floor(value) AS BIGINT) % 50 AS u, user_id % 50 AS v FROM events UNION ALL SELECT 0, 1)"
+S.GRAPHS["event_edges"] = _EVENT_EDGES
+_add("stream_incremental_rank", stream_incremental_rank, S.rank_classic("event_edges", REST, digits=7))

@@ -100,9 +100,11 @@ def page_names(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def number_vertices(named: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(edges u, v; vertices id, name) from edges a, b by name; ids 1..N by order of names, without a global window."""
+    from ..operators.programs import number
+
     names = named.select(F.col("a").alias("name")).union(named.select("b")).distinct()
-    rdd = names.repartitionByRange("name").sortWithinPartitions("name").rdd.map(lambda r: r["name"]).zipWithIndex().map(lambda t: (t[1] + 1, t[0]))
-    vertices = named.sparkSession.createDataFrame(rdd, "id long, name string")
+    numbered = number(names.repartitionByRange("name").sortWithinPartitions("name"), "id")
+    vertices = numbered.select((F.col("id") + 1).alias("id"), "name")
     edges = named.join(vertices.toDF("u", "a"), "a").join(vertices.toDF("v", "b"), "b").select("u", "v")
     return edges, vertices
 

@@ -27,13 +27,15 @@ def kmeans_chain(points: str, d: int, k: int, sweeps: int, tie: str = "stay") ->
     sums = ", ".join(f"CAST(sum(x{j}) AS DOUBLE) AS s{j}" for j in range(d))
     out = [f"a0 AS MATERIALIZED (SELECT pid, {xs}, start AS c FROM ({points.format(k=k)}))", f"m0 AS MATERIALIZED (SELECT c AS m, count(*) AS n, {sums} FROM a0 GROUP BY c)"]
     for t in range(1, sweeps + 1):
-        ds = ", ".join("(" + " + ".join(f"(x{j} - (SELECT s{j} / n FROM m{t - 1} WHERE m = {m})) * (x{j} - (SELECT s{j} / n FROM m{t - 1} WHERE m = {m}))" for j in range(d)) + f") AS d{m}" for m in range(k))
+        one = ", ".join(f"max(CASE WHEN m = {m} THEN s{j} / n END) AS q{m}_{j}" for m in range(k) for j in range(d))
+        out.append(f"w{t - 1} AS MATERIALIZED (SELECT {one} FROM m{t - 1})")
+        ds = ", ".join("(" + " + ".join(f"(x{j} - q{m}_{j}) * (x{j} - q{m}_{j})" for j in range(d)) + f") AS d{m}" for m in range(k))
         low = "least(" + ", ".join(f"d{m}" for m in range(k)) + ")"
         order = range(k) if tie == "stay" else range(k - 1, -1, -1)
         pick = "CASE " + " ".join(f"WHEN d{m} = {low} THEN {m}" for m in order) + " END"
         own = "CASE c " + " ".join(f"WHEN {m} THEN d{m}" for m in range(k)) + " END"
         best = f"CASE WHEN {low} < {own} THEN {pick} ELSE c END" if tie == "stay" else pick
-        out.append(f"a{t} AS MATERIALIZED (SELECT pid, {xs}, CAST({best} AS INT) AS c FROM (SELECT *, {ds} FROM a{t - 1}))")
+        out.append(f"a{t} AS MATERIALIZED (SELECT pid, {xs}, CAST({best} AS INT) AS c FROM (SELECT a{t - 1}.*, {ds} FROM a{t - 1}, w{t - 1}))")
         out.append(f"m{t} AS MATERIALIZED (SELECT c AS m, count(*) AS n, {sums} FROM a{t} GROUP BY c)")
     return "WITH " + ",\n".join(out)
 

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..operators.kmeans import Centres, centre_frame, dims, means
 from ..functions.vectors import nearest, sqdist
 from ..plans.policy import Stop
-from ..plans.storage import shared_dir
+from ..plans.storage import cut, shared_dir
 
 
 def _drain(writer) -> None:
@@ -41,20 +41,30 @@ def minibatch_kmeans(stream: DataFrame, centres: Centres) -> Centres:
 
 
 def incremental_rank(stream: DataFrame, known: DataFrame, **options) -> DataFrame:
-    """Ranks after all batches of new edges; each batch settles again from the edges known so far."""
+    """Ranks at rest after all batches of new edges.
+
+    A batch appends only its new edges to the folder of known ones. The program then starts
+    from the last ranks, as edges that have passed them on already, and settles again, so a
+    batch that changes little needs few sweeps.
+    """
     from ..operators.rank import rank
 
     spark = stream.sparkSession
-    held = {"edges": known.select("u", "v"), "ranks": None}
     folder = _place(spark, "edges")
+    known.select("u", "v").distinct().write.parquet(f"{folder}/batch=-1")
+    schema = spark.read.parquet(f"{folder}/batch=-1").schema
+    held: dict = {"ranks": None}
+
+    def edges() -> DataFrame:
+        return spark.read.schema(schema).option("recursiveFileLookup", "true").parquet(folder)
 
     def take(batch: DataFrame, i: int) -> None:
-        held["edges"].unionByName(batch.select("u", "v")).distinct().write.mode("overwrite").parquet(f"{folder}/{i}")
-        held["edges"] = spark.read.parquet(f"{folder}/{i}")
-        held["ranks"] = rank(held["edges"], **({"stop": Stop.max_iter(12)} | options)).state["ranks"]
+        batch.select("u", "v").distinct().write.mode("overwrite").parquet(f"{folder}/batch={i}")
+        run = rank(edges(), **({"memory": "adjacency", "known": held["ranks"], "stop": Stop.residual(1e-9), "max_sweeps": 400} | options))
+        held["ranks"] = cut(run.state["ranks"])
 
     _drain(stream.writeStream.foreachBatch(take).option("checkpointLocation", _place(spark, "rank")))
-    return held["ranks"]
+    return held["ranks"] if held["ranks"] is not None else rank(edges(), **options).state["ranks"]
 
 
 def _table(spark: SparkSession, df: DataFrame, mode: str = "append") -> DataFrame:
