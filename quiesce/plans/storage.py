@@ -25,6 +25,19 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def leaf(df: DataFrame) -> DataFrame:
+    """The same rows as a leaf of later plans: their plans stay as small as one sweep's, and lost partitions are still recomputed.
+
+    This is what a checkpoint does to a plan, without writing; partitioning and statistics stay known.
+    """
+    spark = df.sparkSession
+    jdf, jvm = df._jdf, spark.sparkContext._jvm
+    made = getattr(getattr(jvm.org.apache.spark.sql.execution, "LogicalRDD$"), "MODULE$")
+    data = getattr(getattr(jvm.org.apache.spark.sql.classic, "Dataset$"), "MODULE$")
+    plan = made.fromDataset(jdf.queryExecution().toRdd(), jdf, False)
+    return DataFrame(data.ofRows(spark._jsparkSession, plan), spark)
+
+
 class States:
     """States of a loop: kept in memory or on disk between sweeps, cut every few sweeps, old ones released."""
 
@@ -34,8 +47,13 @@ class States:
     def next(self, df: DataFrame, important: bool = False) -> DataFrame:
         """Keeps the new state; the one before the last is released."""
         self.n += 1
-        out = cut(df) if important or self.n % self.every == 0 else df.persist(StorageLevel.MEMORY_AND_DISK)
-        self.held.append(out)
+        if important or self.n % self.every == 0:
+            out = cut(df)
+            self.held.append(out)
+        else:
+            kept = df.persist(StorageLevel.MEMORY_AND_DISK)
+            self.held.append(kept)
+            out = leaf(kept)
         if len(self.held) > 2:
             self.held.pop(0).unpersist()
         return out
