@@ -1,53 +1,52 @@
-"""Language-model scores by a probabilistic suffix tree over bytes.
-
-*Blocks.* Texts are normalised (ASCII lower case, words joined by one space) and
-kept as compressed blocks of about ``block_bytes``, written once to the shared
-folder. Everything later works on blocks, so words meet per block, not per text.
-
-*Unigram base.* Each block reports its different words with their counts among
-training texts. One window over the word adds the corpus count to each row; the
-rows go back to their block, which is joined with them. No vocabulary is ever
-broadcast or collected.
-
-*Suffix tree.* A text is the bytes of its words, each followed by a space, and an
-end mark. Contexts are the last 0 to ``depth`` bytes. Counts of all byte strings of
-length depth + 1 cover every training text; shorter ones are their sums. A
-transition enters the tree if its share of all training bytes reaches ``floor``, so
-that a level has at most 1 / floor transitions whatever the corpus: that is the
-proven bound of what is broadcast. A context is kept if its next-byte distribution
-diverges from the one of its suffix: its count times the Kullback-Leibler divergence
-exceeds ``test`` times its number of next bytes; suffixes of kept contexts are kept.
-Distributions are smoothed along suffixes by absolute discounting: what is
-discounted or below the floor goes to the suffix's distribution, and 1 is added to
-all 256 bytes at the root, so they sum to one. Each byte is predicted by the longest
-kept suffix before it; their product over a token spells the token.
-
-*Token probability.* ``share`` of it comes from the discounted corpus count of the
-token, the rest from its spelling, so unknown words have probability as well and the
-whole sums to one over all tokens.
-
-Defined results: null text is empty and consists of the end alone; without any
-training text all words are unknown and bytes are equally likely; rows that
-repeat an id are scored each; extra columns are ignored.
+"""Language-model scores by a probabilistic suffix tree over words.
+
+*Symbols* are the contract's tokens: words in ASCII lower case, and the end of a text.
+They are known by their XXH64 (of V different words about V * V / 2**65 pairs collide).
+
+*Tree.* The root is the base: (c + 1) / (N + V + 1). A context of d words is looked at
+if its suffix of d - 1 words is in the tree and it occurs at least ``least`` times in
+training texts; it enters the tree by a divergence test: the sum over its transitions,
+those seen twice or more, of  n log(n / c / P(next | suffix))  has to exceed ``test``
+for each of them. So the tree is closed under suffixes, grows with the corpus, and no
+context, count or distribution is cut off by size. Transitions are smoothed by absolute
+discounting: what is discounted or seen once goes to the suffix's distribution, so each
+context's probabilities sum to those of its suffix. A token's probability is that of the
+longest context in the tree before it, inside its text.
+
+*How.* Texts become blocks of token numbers, kept by block for all rounds. A round asks
+for sums over the corpus: each block sends the different keys that it needs, in buckets
+of sorted, delta-coded arrays; a bucket adds up what all blocks say about a key and
+answers each block in the order of its question. Level by level, one round counts the
+strings that end in a context of the tree, another adds up the terms of the test (each
+string by one block that holds it). No model is broadcast or collected. A key costs a
+block at most one entry, however often it occurs, so a hot word is no hot key.
+
+Defined results: null text is empty and consists of the end alone; without any training
+text all words are unknown and equally likely; rows that repeat an id are scored each,
+as are rows of null id (held out by the rule for empty text); ties cannot arise; extra
+columns are ignored, whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import ctypes
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 import zstandard
-from pyspark.sql import DataFrame, Window
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_mod, stash
+from .common import blocks_for, crc_mod, stash
 
-END, PAD = 0x0A, 0x0D  # neither occurs inside a word
-END_TOKEN = b"\n"
-_BLOCK = "block long, ids array<{kind}>, held array<boolean>, lengths array<int>, content binary"
+END = b"\n"  # occurs in no word
+#: Different keys that a bucket holds, about.
+BUCKET = 1 << 21
+DISCOUNT = 0.75
+_BLOCK = "block long, ids array<{kind}>, held array<boolean>, sizes array<int>, words binary, places binary"
 
 
 def release() -> None:
@@ -59,282 +58,285 @@ def release() -> None:
         pass  # another C library
 
 
-def normal(text: str | None) -> bytes:
+def tokens(text: str | None) -> list[bytes]:
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    words.append(END_TOKEN)
-    return b" ".join(words)
+    words.append(END)
+    return words
+
+
+# ---- arrays as bytes
+
+
+def packed(a: np.ndarray) -> bytes:
+    """Bytes of equal weight side by side, which is what makes counts and differences compressible."""
+    planes = np.ascontiguousarray(a).view(np.uint8).reshape(len(a), -1).T
+    return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
+
+
+def unpacked(data: bytes, kind: type) -> np.ndarray:
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8)
+    return np.ascontiguousarray(planes.reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+
+
+def packed_keys(sorted_keys: np.ndarray) -> bytes:
+    return packed(np.diff(sorted_keys, prepend=np.uint64(0)))
+
+
+def unpacked_keys(data: bytes) -> np.ndarray:
+    return np.cumsum(unpacked(data, np.uint64), dtype=np.uint64)
+
+
+def extended(context: np.ndarray, word: np.ndarray) -> np.ndarray:
+    """Keys of strings from those of their contexts and of their last words."""
+    x = context * np.uint64(0x9E3779B97F4A7C15) + (word ^ (word >> np.uint64(29)))
+    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+    return x ^ (x >> np.uint64(32))
+
+
+# ---- blocks
 
 
 def blocks_of(docs: DataFrame, row_id: str, text: str, held_out: tuple[int, int], block_bytes: int) -> DataFrame:
     kind = docs.schema[row_id].dataType.simpleString()
     modulus, remainder = held_out
-    rows = docs.select(F.col(row_id), F.col(text), crc_mod(row_id, modulus) == remainder, F.spark_partition_id())
-    id_type = pa.int64()
+    rows = docs.select(F.col(row_id).alias("i"), F.col(text).alias("t"), (crc_mod(row_id, modulus) == remainder).alias("h"), F.spark_partition_id().alias("p"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pack = zstandard.ZstdCompressor(level=1)
-        ids, held, texts, size, n, part = [], [], [], 0, 0, 0
+        ids, held, sizes, places, size, n, part, id_type = [], [], [], [], 0, 0, 0, pa.int64()
+        number: dict[bytes, int] = {}
 
         def close() -> pa.RecordBatch:
-            block = (part << 24) | n
-            return pa.RecordBatch.from_pydict(
-                {"block": pa.array([block], pa.int64()), "ids": pa.array([ids], pa.list_(id_type)), "held": pa.array([held], pa.list_(pa.bool_())), "lengths": pa.array([list(map(len, texts))], pa.list_(pa.int32())), "content": pa.array([pack.compress(b"".join(texts))], pa.binary())}
-            )
+            hashes = np.fromiter(map(xxhash.xxh64_intdigest, number), np.uint64, len(number))
+            order = np.argsort(hashes, kind="stable")
+            rank = np.empty(len(order), np.int32)
+            rank[order] = np.arange(len(order), dtype=np.int32)
+            columns = {"block": pa.array([(part << 24) | n], pa.int64()), "ids": pa.array([ids], pa.list_(id_type)), "held": pa.array([held], pa.list_(pa.bool_())), "sizes": pa.array([sizes], pa.list_(pa.int32()))}
+            return pa.RecordBatch.from_pydict(columns | {"words": pa.array([packed_keys(hashes[order])], pa.binary()), "places": pa.array([packed(rank[np.concatenate(places)])], pa.binary())})
 
         for b in batches:
             id_type = b.column(0).type
             part = b.column(3)[0].as_py() if b.num_rows else part
             for i, t, h in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist()):
+                words = tokens(t.as_py())
                 ids.append(i)
                 held.append(h)
-                texts.append(normal(t.as_py()))
-                size += len(texts[-1])
+                sizes.append(len(words))
+                places.append(np.fromiter((number.setdefault(w, len(number)) for w in words), np.int32, len(words)))
+                size += sum(map(len, words)) + len(words)
                 if size >= block_bytes:
                     yield close()
-                    ids, held, texts, size, n = [], [], [], 0, n + 1
+                    ids, held, sizes, places, size, n = [], [], [], [], 0, n + 1
+                    number.clear()
         if ids:
             yield close()
+        release()
 
     return rows.mapInArrow(run, _BLOCK.format(kind=kind))
 
 
-def _texts(content: bytes, lengths: list[int]) -> list[bytes]:
-    raw = zstandard.ZstdDecompressor().decompress(content)
-    at, out = 0, []
-    for n in lengths:
-        out.append(raw[at : at + n])
-        at += n
-    return out
+class Block:
+    """Arrays of a block, one entry for each token."""
 
+    def __init__(self, words: bytes, places: bytes, sizes: np.ndarray, held: np.ndarray) -> None:
+        self.words, self.places = unpacked_keys(words), unpacked(places, np.int32)
+        self.word = self.words[self.places]
+        self.sizes = sizes.astype(np.int64)
+        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.inside = np.arange(len(self.places)) - np.repeat(self.starts, self.sizes)
+        self.train = ~np.repeat(held.astype(bool), self.sizes)
 
-def word_counts(blocks: DataFrame) -> DataFrame:
-    """block, token, c: the different tokens of each block with their training counts there."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for i in range(b.num_rows):
-                row = {c: b.column(k)[i].as_py() for k, c in enumerate(("block", "held", "lengths", "content"))}
-                counts: Counter[bytes] = Counter()
-                seen: set[bytes] = set()
-                for held, t in zip(row["held"], _texts(row["content"], row["lengths"])):
-                    (seen if held else counts).update(t.split(b" "))
-                tokens = [*counts, *(seen - counts.keys())]
-                c = [*counts.values()] + [0] * (len(tokens) - len(counts))
-                for at in range(0, len(tokens), 100_000):
-                    part = tokens[at : at + 100_000]
-                    yield pa.RecordBatch.from_pydict({"block": pa.array(np.full(len(part), row["block"])), "token": pa.array(part, pa.binary()), "c": pa.array(c[at : at + 100_000], pa.int64())})
-                del counts, seen, tokens, c
-        release()
+def _before(a: np.ndarray) -> np.ndarray:
+    """Each position's value at the position before it."""
+    out = np.empty_like(a)
+    out[1:], out[:1] = a[:-1], 0
+    return out
 
-    return blocks.select("block", "held", "lengths", "content").mapInArrow(run, "block long, token binary, c long")
 
+def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different: float, depth: int, least: int, test: float) -> tuple[list[np.ndarray], np.ndarray | None, np.ndarray]:
+    """The next question (sorted keys, then columns to sum) as far as answers go, or probabilities; and counts of words.
+
+    Step 2 d: counts of strings of d + 1 words, and whether this block speaks for a string.
+    Step 2 d - 1, d > 0: of contexts of d words: the test's sum, its transitions, their counts.
+    """
+    if 0 not in answers:
+        return [b.words, np.bincount(b.places[b.train], minlength=len(b.words)).astype(np.int64)], None, np.zeros(0)
+    n = known = answers[0][0][b.places].astype(float)
+    p = (n + 1) / (total + different + 1)
+    key, kept = b.word, np.ones(len(n), bool)
+    for d in range(1, depth + 1):
+        context, c = _before(key), _before(n)
+        live = kept & (b.inside >= d) & (c >= least)
+        at = np.flatnonzero(live & (n >= 2))
+        key = extended(context, b.word)
+        strings, first, place = np.unique(key[at], return_index=True, return_inverse=True)
+        if 2 * d not in answers:
+            return [strings, np.bincount(place, b.train[at], len(strings)).astype(np.int64)], None, known
+        count, speaks = answers[2 * d][0].astype(float), answers[2 * d][1].astype(bool)
+        count[count < 2] = 0
+        n = np.zeros(len(p))
+        n[at] = count[place]
+        at_live = np.flatnonzero(live)
+        contexts, of = np.unique(context[at_live], return_inverse=True)
+        if 2 * d + 1 not in answers:
+            mine = np.flatnonzero(speaks & (count > 0))
+            where = at[first[mine]]
+            term = count[mine] * (np.log(count[mine] / c[where]) - np.log(p[where]))
+            to = np.searchsorted(contexts, context[where])
+            return [contexts, *(np.bincount(to, w, len(contexts)) for w in (term, np.ones(len(to)), count[mine]))], None, known
+        gain, kinds, mass = answers[2 * d + 1]
+        good = ((kinds > 0) & (gain > test * kinds))[of]
+        size, low, seen = c[at_live], p[at_live], n[at_live]
+        rest = size - mass[of] + DISCOUNT * kinds[of]
+        p[at_live] = np.where(good, (np.maximum(seen - DISCOUNT, 0) + rest * low) / size, low)
+        kept = np.zeros(len(p), bool)
+        kept[at_live] = good
+    return [], p, known
+
+
+# ---- questions and answers
+
+
+def questions(block: int, question: list[np.ndarray], buckets: int) -> dict[str, list]:
+    """One row for each bucket that keys fall in; a bucket is a range of keys."""
+    keys, values = question[0], question[1:]
+    width = -(-(1 << 64) // buckets)
+    bounds = np.append(np.searchsorted(keys, np.array([i * width for i in range(1, buckets)], np.uint64)), len(keys))
+    out: dict[str, list] = {"bucket": [], "block": [], "keys": [], "values": []}
+    low = 0
+    for i, high in enumerate(bounds.tolist()):
+        if high > low:
+            out["bucket"].append(i)
+            out["block"].append(block)
+            out["keys"].append(packed_keys(keys[low:high]))
+            out["values"].append([packed(v[low:high]) for v in values])
+            low = high
+    return out
 
-def _codes(texts: list[bytes], depth: int) -> np.ndarray:
-    """The last depth + 1 bytes up to each byte, packed, the first bytes having pads before them."""
-    lead = bytes([PAD]) * depth
-    buf = np.frombuffer(lead + lead.join(texts), np.uint8).astype(np.uint64)
-    out = buf[depth:].copy()
-    for k in range(1, depth + 1):
-        out |= buf[depth - k : len(buf) - k] << np.uint64(8 * k)
+
+def sums(keys: list[np.ndarray], values: list[list[np.ndarray]]) -> tuple[list[list[np.ndarray]], int]:
+    """For each question the sums over all questions, and who speaks for a key (the first that holds it); keys of a positive first sum."""
+    flat = np.concatenate(keys)
+    order = np.argsort(flat, kind="stable")  # runs that are sorted already are merged
+    first = np.concatenate(([True], flat[order][1:] != flat[order][:-1]))
+    which = np.empty(len(flat), np.int64)
+    which[order] = np.cumsum(first) - 1
+    speaks = np.zeros(len(flat), bool)
+    speaks[order[first]] = True
+    added = [np.bincount(which, np.concatenate([v[c] for v in values])) for c in range(len(values[0]))]
+    cuts = np.cumsum([len(k) for k in keys])[:-1]
+    columns = [np.split(a[which], cuts) for a in added] + [np.split(speaks, cuts)]
+    return [list(x) for x in zip(*columns)], int((added[0] > 0).sum())
+
+
+def _answer(step: int):
+    kind = np.int64 if step % 2 == 0 else np.float64
+
+    def run(table: pa.Table) -> pa.Table:
+        blocks = table.column("block").to_numpy()
+        order = np.argsort(blocks, kind="stable")
+        keys = [unpacked_keys(table.column("keys")[i].as_py()) for i in order.tolist()]
+        values = [[unpacked(v, kind) for v in table.column("values")[i].as_py()] for i in order.tolist()]
+        told, different = sums(keys, values)
+        bucket = table.column("bucket")[0].as_py()
+        data = [[packed(c.astype(np.int64 if step % 2 == 0 else np.float64)) for c in t[:-1]] + ([packed(np.packbits(t[-1]))] if step % 2 == 0 else []) for t in told]
+        release()
+        n = len(order)
+        return pa.Table.from_arrays(
+            [pa.array(blocks[order]), pa.array([step] * n, pa.int32()), pa.array([bucket] * n, pa.int32()), pa.array([different] + [0] * (n - 1), pa.int64()), pa.array(data, pa.list_(pa.binary()))], ["block", "step", "bucket", "different", "data"]
+        )
+
+    return run
+
+
+def _told(right: pa.Table) -> dict[int, list[np.ndarray]]:
+    """Answers by step, buckets in order."""
+    out: dict[int, list[np.ndarray]] = {}
+    rows = sorted(zip(right.column("step").to_pylist(), right.column("bucket").to_pylist(), range(right.num_rows)))
+    for step in sorted({s for s, _, _ in rows}):
+        parts = []
+        for s, _, i in rows:
+            if s == step:
+                data = right.column("data")[i].as_py()
+                if step % 2 == 0:
+                    n = unpacked(data[0], np.int64)
+                    parts.append([n, np.unpackbits(unpacked(data[1], np.uint8))[: len(n)]])
+                else:
+                    parts.append([unpacked(c, np.float64) for c in data])
+        out[step] = [np.concatenate(x) for x in zip(*parts)]
     return out
 
 
-def _batches(texts: list[bytes], size: int = 1 << 22) -> Iterator[list[bytes]]:
-    out, n = [], 0
-    for t in texts:
-        out.append(t)
-        n += len(t) + 16
-        if n >= size:
-            yield out
-            out, n = [], 0
-    if out:
-        yield out
+_NONE = {0: [np.zeros(0, np.int64), np.zeros(0, np.uint8)], 1: [np.zeros(0)] * 3}
+_QUESTION = "bucket int, block long, keys binary, values array<binary>"
+_ANSWER = "block long, step int, bucket int, different long, data array<binary>"
 
 
-def gram_counts(blocks: DataFrame, depth: int) -> DataFrame:
-    """code, n: byte strings of length depth + 1 in training texts."""
+def _met(left: pa.Table, right: pa.Table, done: int) -> tuple[Block, dict]:
+    """The block and what it was told in the steps before ``done``; a step in which it asked nothing told it nothing."""
+    held, sizes = (left.column(c)[0].values.to_numpy(zero_copy_only=False) for c in ("held", "sizes"))
+    b = Block(left.column("words")[0].as_py(), left.column("places")[0].as_py(), sizes, held)
+    told = _told(right)
+    return b, {s: told.get(s, _NONE[s % 2]) for s in (0, *range(2, done))} if done else {}
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts: list[tuple[np.ndarray, np.ndarray]] = []
 
-        def merged() -> pa.RecordBatch:
-            codes, n = (np.concatenate(x) for x in zip(*parts))
-            parts.clear()
-            order = np.argsort(codes, kind="stable")
-            codes, n = codes[order], n[order]
-            first = np.flatnonzero(np.concatenate(([True], codes[1:] != codes[:-1])))
-            return pa.RecordBatch.from_arrays([pa.array(codes[first].view(np.int64)), pa.array(np.add.reduceat(n, first))], ["code", "n"])
+_NOTHING = pa.table({"step": pa.array([], pa.int32()), "bucket": pa.array([], pa.int32())})
 
-        for b in batches:
-            for i in range(b.num_rows):
-                held, lengths, content = (b.column(k)[i].as_py() for k in range(3))
-                for part in _batches([t for h, t in zip(held, _texts(content, lengths)) if not h], 1 << 21):
-                    codes = _codes(part, depth)
-                    parts.append(np.unique(codes[(codes & np.uint64(255)) != PAD], return_counts=True))
-                    if sum(len(c) for c, _ in parts) > 2_000_000:
-                        yield merged()
-        if parts:
-            yield merged()
-        release()
 
-    return blocks.select("held", "lengths", "content").mapInArrow(run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
-
-
-class SuffixTree:
-    """Level d: sorted codes (d context bytes, then the next one) with their probabilities, and sorted
-    contexts with the mass that they leave to their suffix."""
-
-    def __init__(self, depth: int, levels: list[tuple[np.ndarray, ...]], test: float, discount: float = 0.75) -> None:
-        """levels[d]: codes, their counts, contexts, the contexts' counts below the floor included."""
-        self.depth = depth
-        root = np.zeros(256)
-        root[levels[0][0].astype(np.int64)] = levels[0][1]
-        self.root = (root + 1) / (root.sum() + 256)
-        self.codes, self.p, self.contexts, self.rest = [np.arange(256, dtype=np.uint64)], [self.root], [np.zeros(1, np.uint64)], [np.ones(1)]
-        tests = []
-        for d in range(1, depth + 1):
-            codes, n, every, sizes = levels[d]
-            contexts, inverse = np.unique(codes >> np.uint64(8), return_inverse=True)
-            size = sizes[np.searchsorted(every, contexts)].astype(float)
-            here, kinds = np.bincount(inverse, n, len(contexts)), np.bincount(inverse, minlength=len(contexts))
-            # a suffix's transition is at least as frequent, so it is always there
-            parent = self.p[d - 1][np.searchsorted(self.codes[d - 1], codes & np.uint64((1 << 8 * d) - 1))]
-            rest = (discount * kinds + size - here) / size
-            share = n / size[inverse]
-            gain = np.bincount(inverse, share * np.log(share / parent), len(contexts)) * size
-            tests.append((contexts, gain > test * kinds))
-            self.codes.append(codes)
-            self.p.append((n - discount) / size[inverse] + rest[inverse] * parent)
-            self.contexts.append(contexts)
-            self.rest.append(rest)
-        keep: list[np.ndarray] = [np.zeros(0, bool)] * (depth + 1)
-        for d in range(depth, 0, -1):
-            contexts, good = tests[d - 1]
-            if d < depth:  # suffixes of kept contexts
-                longer = self.contexts[d + 1][keep[d + 1]] & np.uint64((1 << 8 * d) - 1)
-                good = good | np.isin(contexts, longer)
-            keep[d] = good
-        for d in range(1, depth + 1):
-            used = keep[d][np.searchsorted(self.contexts[d], self.codes[d] >> np.uint64(8))] if len(self.codes[d]) else np.zeros(0, bool)
-            self.codes[d], self.p[d] = self.codes[d][used], self.p[d][used]
-            self.contexts[d], self.rest[d] = self.contexts[d][keep[d]], self.rest[d][keep[d]]
-        self._keys, self._values = None, None
-
-    def exact(self, codes: np.ndarray) -> np.ndarray:
-        """log10 P(last byte | bytes before it): the longest kept suffix, smoothed towards shorter ones."""
-        p = self.root[(codes & np.uint64(255)).astype(np.int64)]
-        for d in range(1, self.depth + 1):
-            if not len(self.contexts[d]):
-                break
-            context = (codes >> np.uint64(8)) & np.uint64((1 << 8 * d) - 1)
-            at = np.minimum(np.searchsorted(self.contexts[d], context), len(self.contexts[d]) - 1)
-            inside = self.contexts[d][at] == context
-            seen_code = codes & np.uint64((1 << 8 * (d + 1)) - 1)
-            to = np.minimum(np.searchsorted(self.codes[d], seen_code), len(self.codes[d]) - 1)
-            seen = self.codes[d][to] == seen_code
-            p = np.where(seen, self.p[d][to], np.where(inside, p * self.rest[d][at], p))
-        return np.log10(p)
-
-    def scores(self, codes: np.ndarray) -> np.ndarray:
-        """``exact`` through a table of recent codes; the table is a cache and changes no result."""
-        bits = 20
-        if self._keys is None:
-            self._keys, self._values = np.zeros(1 << bits, np.uint64), self.exact(np.zeros(1, np.uint64)).repeat(1 << bits)
-        slot = (codes * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - bits)
-        out = self._values[slot]
-        miss = np.flatnonzero(self._keys[slot] != codes)
-        if len(miss):
-            new, inverse = np.unique(codes[miss], return_inverse=True)
-            value = self.exact(new)
-            out[miss] = value[inverse]
-            to = (new * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - bits)
-            last = np.zeros(1 << bits, np.int64)
-            last[to] = np.arange(len(new))
-            kept = last[to] == np.arange(len(new))  # one code for each slot
-            self._keys[to[kept]], self._values[to[kept]] = new[kept], value[kept]
-        return out
-
-    def spelled(self, texts: list[bytes], lengths: np.ndarray) -> np.ndarray:
-        """log10 of the probability of each token's bytes; lengths: of all tokens of the texts."""
-        out, at = [], 0
-        for part in _batches(texts):
-            codes = _codes(part, self.depth)
-            values = self.scores(codes)
-            values[(codes & np.uint64(255)) == PAD] = 0.0
-            stop = at + sum(t.count(b" ") + 1 for t in part)
-            n = lengths[at:stop] + 1
-            n[lengths[at:stop] == 0] += self.depth  # the end mark, then the pads of the next text
-            out.append(np.add.reduceat(values, np.cumsum(n) - n))
-            at = stop
-        return np.concatenate(out)
-
-
-def _parts(table: pa.Table, i: int) -> Iterator[tuple[list[bytes], int]]:
-    """Some texts of a block at a time, with the place of the first: tokens take far more memory than text."""
-    at = 0
-    for part in _batches(_texts(table.column("content")[i].as_py(), table.column("lengths")[i].as_py()), 1 << 20):
-        yield part, at
-        at += len(part)
-
-
-def grow(grams: DataFrame, depth: int, floor: float, test: float) -> SuffixTree:
-    """The tree from counts of the longest strings; at most 2 (depth + 1) / floor rows reach the driver."""
-    total = grams.agg(F.sum("n")).first()[0] or 0
-    least = max(1, int(np.ceil(total * floor)))
-    levels: list[tuple[np.ndarray, ...]] = []
-
-    def sorted_arrays(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-        got = rows.toArrow()
-        codes, n = got.column(0).to_numpy().view(np.uint64), got.column(1).to_numpy()
-        order = np.argsort(codes)
-        return codes[order], n[order]
-
-    for d in range(depth + 1):
-        level = grams.groupBy(F.col("code").bitwiseAND(F.lit((1 << 8 * (d + 1)) - 1)).alias("code")).agg(F.sum("n").alias("n"))
-        contexts = grams.groupBy(F.shiftrightunsigned(F.col("code").bitwiseAND(F.lit((1 << 8 * (d + 1)) - 1)), 8).alias("code")).agg(F.sum("n").alias("n"))
-        levels.append(sorted_arrays(level.filter(F.col("n") >= least)) + sorted_arrays(contexts.filter(F.col("n") >= least)))
-    return SuffixTree(depth, levels, test)
+def _asker(step: int, buckets: int, settings: tuple):
+    def ask(left: pa.Table, right: pa.Table) -> pa.Table:
+        rows: dict[str, list] = {"bucket": [], "block": [], "keys": [], "values": []}
+        if left.num_rows:
+            b, told = _met(left, right, step)
+            rows = questions(left.column("block")[0].as_py(), walk(b, told, *settings)[0], buckets)
+            del b, told
+            release()
+        return pa.table({"bucket": pa.array(rows["bucket"], pa.int32()), "block": pa.array(rows["block"], pa.int64()), "keys": pa.array(rows["keys"], pa.binary()), "values": pa.array(rows["values"], pa.list_(pa.binary()))})
+
+    return ask
 
 
 def score_texts(
-    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 5, floor: float = 3e-7, test: float = 8.0, share: float = 0.2, block_bytes: int = 1 << 23
+    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 3, least: int = 2, test: float = 1.0, block_bytes: int = 1 << 23
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10)."""
-    spark = docs.sparkSession
+    if least < 2:
+        raise ValueError("a context has to occur twice at least")
     kind = docs.schema[row_id].dataType.simpleString()
-    blocks = stash(blocks_of(docs, row_id, text, held_out, block_bytes))
-    tree = spark.sparkContext.broadcast(grow(stash(gram_counts(blocks, depth)), depth, floor, test))
-    same = Window.partitionBy("token")
-    words = stash(word_counts(blocks).select("block", "token", F.col("c").alias("own"), F.sum("c").over(same).alias("c"), (F.col("block") == F.min("block").over(same)).alias("first")))
-    train, different = words.agg(F.coalesce(F.sum("own"), F.lit(0)), F.count(F.when(F.col("first") & (F.col("c") > 0), 1))).first()
-
-    discount = 0.75
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        count_of = dict(zip(right.column("token").to_pylist(), right.column("c").to_pylist()))
-        ids, held, parts = [], [], []
-        for texts, i, at in ((part, i, at) for i in range(left.num_rows) for part, at in _parts(left, i)):
-            ids += left.column("ids")[i].as_py()[at : at + len(texts)]
-            held += left.column("held")[i].as_py()[at : at + len(texts)]
-            tokens = [t.split(b" ") for t in texts]
-            n = np.fromiter(map(len, tokens), np.int64, len(tokens))
-            flat = [w for t in tokens for w in t]
-            c = np.fromiter(map(count_of.__getitem__, flat), np.float64, len(flat))
-            lengths = np.fromiter(map(len, flat), np.int64, len(flat))
-            firsts = np.cumsum(n) - n
-            lengths[firsts + n - 1] = 0  # the end is one byte and has no space after it
-            spelled = tree.value.spelled(texts, lengths) * np.log(10)
-            if train:
-                with np.errstate(divide="ignore"):
-                    counted = np.log(share * np.maximum(c - discount, 0) / train)
-                spelled = np.logaddexp(counted, np.log(1 - share * (1 - discount * different / train)) + spelled)
-            base = np.log10((c + 1) / (train + different + 1))
-            parts.append([n, np.add.reduceat((c > 0).astype(np.int64), firsts), np.add.reduceat(base, firsts), np.add.reduceat(spelled, firsts) / np.log(10)])
-        n, known, base, score = (np.concatenate(x) for x in zip(*parts)) if parts else [np.zeros(0)] * 4
-        del count_of, right
+    written = stash(blocks_of(docs, row_id, text, held_out, block_bytes))
+    counted = F.transform(F.arrays_zip("held", "sizes"), lambda x: F.when(x["held"], 0).otherwise(x["sizes"]).cast("long"))
+    total, every, n_blocks = written.agg(
+        F.coalesce(F.sum(F.aggregate(counted, F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0)), F.coalesce(F.sum(F.aggregate("sizes", F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0)), F.count(F.lit(1))
+    ).first()
+    buckets = blocks_for(every, BUCKET)
+    parts = blocks_for(n_blocks, 2)
+    blocks = written.repartition(parts, "block").persist(StorageLevel.MEMORY_AND_DISK)
+    answers: DataFrame | None = None
+    different = 0
+    steps = (0, *range(2, 2 * depth + 2))
+    for step in steps:
+        ask = _asker(step, buckets, (total, different, depth, least, test))
+        if answers is None:
+            asked = blocks.groupBy("block").applyInArrow(lambda left: ask(left, _NOTHING), _QUESTION)
+        else:
+            asked = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(ask, _QUESTION)
+        told = stash(asked.groupBy("bucket").applyInArrow(_answer(step), _ANSWER))
+        if answers is None:
+            different = told.agg(F.coalesce(F.sum("different"), F.lit(0))).first()[0]
+        answers = told if answers is None else answers.unionByName(told)
+
+    def score(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows:
+            return empty.slice(0, 0)
+        b, told = _met(left, right, steps[-1] + 1)
+        _, p, known = walk(b, told, total, different, depth, least, test)
+        base = np.log10((known + 1) / (total + different + 1))
+        ids, held = left.column("ids")[0].values, left.column("held")[0].values
+        columns = [ids, held, pa.array(b.sizes), pa.array(np.add.reduceat((known > 0).astype(np.int64), b.starts)), pa.array(np.full(len(ids), total, np.int64)), pa.array(np.add.reduceat(base, b.starts)), pa.array(np.add.reduceat(np.log10(p), b.starts))]
+        del b, told, p, known, base
         release()
-        columns = [pa.array(ids, left.schema.field("ids").type.value_type), pa.array(held, pa.bool_()), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(np.full(len(ids), train), pa.int64()), pa.array(base, pa.float64()), pa.array(score, pa.float64())]
         return pa.Table.from_arrays(columns, ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
     schema = f"doc_id {kind}, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return blocks.groupBy("block").cogroup(words.select("block", "token", "c").groupBy("block")).applyInArrow(run, schema)
+    empty = pa.table({c: pa.array([], t) for c, t in (("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()))})
+    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(score, schema)

@@ -171,46 +171,81 @@ def test_bpe_equals_the_library(spark, edge):
 # ---- 8
 
 
+def slow_tree(texts, train, depth, least, test):
+    """Probability of a word after a context, straight from the definition."""
+    count = [collections.Counter(tuple(t[i - d : i + 1]) for t, ok in zip(texts, train) if ok for i in range(d, len(t))) for d in range(depth + 1)]
+    after = collections.defaultdict(dict)
+    for d in range(1, depth + 1):
+        for k, n in count[d].items():
+            if n >= 2:
+                after[k[:-1]][k[-1]] = n
+    n, v, memo = sum(count[0].values()), len(count[0]), {}
+
+    def inside(ctx):
+        if ctx not in memo:
+            c, told = count[len(ctx) - 1][ctx], after.get(ctx, {})
+            memo[ctx] = not ctx or (inside(ctx[1:]) and c >= least and len(told) > 0 and sum(x * math.log(x / c / p(ctx[1:], w)) for w, x in told.items()) > test * len(told))
+        return memo[ctx]
+
+    def p(ctx, w):
+        if not ctx:
+            return (count[0][(w,)] + 1) / (n + v + 1)
+        if not inside(ctx):
+            return p(ctx[1:], w)
+        c, told = count[len(ctx) - 1][ctx], after[ctx]
+        rest = c - sum(told.values()) + 0.75 * len(told)
+        return (max(told.get(w, 0) - 0.75, 0) + rest * p(ctx[1:], w)) / c
+
+    return p, count[0], n, v, memo
+
+
 def test_suffix_tree(spark, empty):
     from quiesce.llm.suffix_tree import score_texts
 
-    texts = EDGE + [prose(60, s) for s in range(60)]
-    got = {r.doc_id: r for r in score_texts(make(spark, texts), block_bytes=900).collect()}
-    tokens = {i: (t or "").encode().lower().split() + [None] for i, t in enumerate(texts)}
-    held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i in tokens}
-    c = collections.Counter(w for i, ws in tokens.items() if not held[i] for w in ws)
-    n, v = sum(c.values()), len(c)
-    for i, ws in tokens.items():
+    phrases = [f"a{i} b{i % 4} c{i} the d{i % 3}" for i in range(9)]
+    texts = EDGE + [" ".join(rng.choice(phrases) for _ in range(12)) for _ in range(40)] + [prose(5000, 99)]
+    docs = make(spark, texts).unionByName(make(spark, [texts[12]], 12)).withColumns({c: F.lit("x") for c in ("block", "held", "words", "score", "_text")})
+    rows = score_texts(docs, block_bytes=900).collect()
+    got = {r.doc_id: r for r in rows}
+    assert len(rows) == len(texts) + 1 and len({r.score for r in rows if r.doc_id == 12}) == 1  # a repeated row counts and is scored twice
+    tokens = [(t or "").encode().lower().split() + [None] for t in [*texts, texts[12]]]
+    held = [zlib.crc32(str(i).encode()) % 7 == 2 for i in [*range(len(texts)), 12]]
+    p, c, n, v, tree = slow_tree(tokens, [not h for h in held], 3, 2, 1.0)
+    for i, ws in enumerate(tokens[:-1]):
         r = got[i]
-        assert (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[i], len(ws), sum(c[w] > 0 for w in ws), n)
-        assert r.base_score == pytest.approx(sum(math.log10((c[w] + 1) / (n + v + 1)) for w in ws))
-        assert r.score < 0
-    long = [i for i in got if held[i] and len(tokens[i]) > 30]
-    assert sum(got[i].score for i in long) > sum(got[i].base_score for i in long) - 0.2 * sum(len(tokens[i]) for i in long)
+        assert (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[i], len(ws), sum(c[(w,)] > 0 for w in ws), n)
+        assert r.base_score == pytest.approx(sum(math.log10((c[(w,)] + 1) / (n + v + 1)) for w in ws))
+        assert r.score == pytest.approx(sum(math.log10(p(tuple(ws[max(0, j - 3) : j]), w)) for j, w in enumerate(ws)))
+    assert sum(tree.values()) > 20 and max(len(k) for k, ok in tree.items() if ok) == 3
     assert score_texts(empty).count() == 0
+    lone = score_texts(make(spark, [None]).withColumn("doc_id", F.lit(None).cast("long"))).collect()
+    assert len(lone) == 1 and lone[0].n_tokens == 1
+
+
+def test_suffix_tree_probabilities_sum_to_those_of_the_root():
+    texts = [prose(200, s).encode().split() + [None] for s in range(5)]
+    p, c, n, v, _ = slow_tree(texts, [True] * 5, 3, 2, 1.0)
+    words = [w for (w,) in c]
+    for context in [t[i : i + d] for t in map(tuple, texts) for d in (1, 2, 3) for i in range(8)]:
+        assert sum(p(context, w) for w in words) + p(context, "new") == pytest.approx(1)
+
+
+def test_suffix_tree_beats_the_base_on_held_out_texts(spark):
+    from quiesce.llm.suffix_tree import score_texts
+
+    folder = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    base, score = score_texts(docs).filter("held_out").agg(F.sum("base_score"), F.sum("score")).first()
+    assert score > base
 
 
-def test_suffix_tree_distributions_sum_to_one():
+def test_arrays_as_bytes():
     from quiesce.llm import suffix_tree as S
 
-    texts = [S.normal(prose(200, s)) for s in range(5)]
-    depth = 3
-    codes = np.concatenate([S._codes([t], depth) for t in texts])
-    grams, n = np.unique(codes, return_counts=True)
-    levels = []
-    for d in range(depth + 1):
-        a, inv = np.unique(grams & np.uint64((1 << 8 * (d + 1)) - 1), return_inverse=True)
-        s = np.bincount(inv, n).astype(np.int64)
-        x, inv = np.unique(a >> np.uint64(8), return_inverse=True)
-        keep = s >= 3
-        levels.append((a[keep], s[keep], x, np.bincount(inv, s).astype(np.int64)))
-    tree = S.SuffixTree(depth, levels, 2.0)
-    for context in (b"the", b"zzz", b" of", b"\n\n\n"):
-        base = int.from_bytes(context, "big") << 8
-        p = 10 ** tree.exact(np.arange(base, base + 256, dtype=np.uint64))
-        assert p.sum() == pytest.approx(1)
-    every = np.concatenate([codes, codes[::-1]])
-    assert np.allclose(tree.scores(every), tree.exact(every))
+    keys = np.unique(np.random.default_rng(1).integers(0, 2**63, 999, dtype=np.uint64) * np.uint64(2))
+    assert np.array_equal(S.unpacked_keys(S.packed_keys(keys)), keys) and len(S.unpacked_keys(S.packed_keys(keys[:0]))) == 0
+    rows = S.questions(7, [keys, np.arange(len(keys))], 5)
+    assert np.array_equal(np.concatenate([S.unpacked_keys(k) for k in rows["keys"]]), keys) and rows["bucket"] == sorted(set(rows["bucket"]))
 
 
 # ---- 2 and 10
