@@ -407,9 +407,10 @@ def test_multi_index(spark):
     x = g.normal(size=(1200, 16)).astype(np.float32)
     x[100:400] = x[100]  # a hot vector
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(5000, None), (5050, [0.0] * 16), (5100, [float("nan")] * 16), (5150, [None] * 16), (5200, [1.0])]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    rows += [(None, x[0].tolist()), (50, x[50].tolist())]  # no id; a repeated row
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumns({c: F.lit("x") for c in ("id", "v", "cell", "asks", "score", "rank")})
     got = collections.defaultdict(list)
-    for r in search(df, F.col("vec_id") % 50 == 0, words=16, part_rows=300).collect():
+    for r in search(df, F.col("vec_id") % 50 == 0, words=16, shelf_rows=100, probes=24).collect():
         got[r.query_id].append((r["rank"], r.vec_id, r.score))
     y = x.astype(float)
     n = np.sqrt((y * y).sum(1))
@@ -430,6 +431,19 @@ def test_multi_index(spark):
     assert search(df.filter("vec_id >= 5000"), F.lit(True)).count() == 0
 
 
+def test_multi_index_shelves_hold_all_cells():
+    from quiesce.llm.multi_index import shelves
+
+    rows = np.array([3, 0, 950, 40, 70, 1, 100, 250])
+    first, splits = shelves(rows, 100)
+    assert splits.tolist() == [1, 1, 10, 1, 1, 1, 1, 3]
+    load = collections.Counter()
+    for f, s, n in zip(first.tolist(), splits.tolist(), rows.tolist()):
+        for j in range(s):
+            load[f + j] += -(-n // s)
+    assert max(load.values()) <= 100
+
+
 def test_multi_index_visits_cells_in_order():
     from quiesce.llm.multi_index import Codebooks, distances
 
