@@ -18,10 +18,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
+    """The folder that driver and executors share; one of our own only in local mode and where the session names none."""
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None)
     if sc.getCheckpointDir() is None:
+        if not named and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="quiesce-checkpoint-"))
     return named or sc.getCheckpointDir()
 
@@ -52,3 +54,17 @@ def blocks_for(amount: int | None, each: int, least: int = 1) -> int:
 def crc_mod(row_id: str, modulus: int) -> Column:
     """crc32 of the id as text modulo ``modulus``; null ids count as empty text."""
     return F.crc32(F.coalesce(F.col(row_id).cast("string"), F.lit("")).cast("binary")) % modulus
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def numbered(df: DataFrame) -> tuple[DataFrame, str]:
+    """The rows with a number of their own, and its name. ``df`` has to be a stable input, such as a written table."""
+    name = fresh(df, "row")
+    return df.withColumn(name, F.monotonically_increasing_id()), name

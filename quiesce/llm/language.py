@@ -12,23 +12,25 @@ the nearest language is still named.
 The score is the nearest language's share of the similarity, sharpened: 1 for a
 text that lies on its centroid and far from other languages.
 
-Training reads at most ``sample`` labelled texts, those with the least hash of
-their id, so that the centroids, which are broadcast, have a fixed size per
-language. Languages with the smallest share are kept by drawing ``sample`` over
-languages in proportion, at least 50 each where there are as many.
+Training reads about ``sample`` labelled texts, those with the least hash of their id,
+so that the centroids, which are broadcast, have a fixed size per language. ``sample``
+is drawn over languages in proportion, at least 50 of each where there are as many, and
+no language is left out: the model grows with the number of languages alone.
 
-Defined results: ``und`` with score 0 for null text and for text without a letter;
+Defined results: ``und`` with score 0 for null text and for text without a letter
+(Unicode category L); of equally near centroids the first language by name wins;
 without any training text every text is ``und``; null or empty languages are not
-learned from; rows that repeat an id are predicted each; extra columns are ignored.
+learned from; rows that repeat an id, or have none, are predicted each; whole texts
+are read, however long; extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex as re
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,8 +38,8 @@ from .common import crc_mod
 
 ORDER = 3
 DIMS = 1 << 12
-SAMPLE = 3_000
-_LETTER = re.compile(r"[^\W\d_]")
+SAMPLE = 6_000
+_LETTER = re.compile(r"\p{L}")
 #: Letters in ASCII lower case; bytes over 127 stay; everything else is a space.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
@@ -86,24 +88,35 @@ def spherical_kmeans(x: np.ndarray, k: int, sweeps: int = 12) -> np.ndarray:
 
 
 class Centroids:
-    def __init__(self, rows: np.ndarray, langs: list[str], clusters: int, quantile: float, slack: float) -> None:
-        """rows: damped frequencies of the training texts."""
+    def __init__(self, rows: list[tuple[np.ndarray, np.ndarray]], langs: list[str], clusters: int, quantile: float, slack: float) -> None:
+        """rows: slots and damped frequencies of the training texts; one language at a time is made dense."""
         self.langs = sorted(set(langs))
-        self.idf = (np.log((1 + len(rows)) / (1 + np.count_nonzero(rows, axis=0))) + 1 if len(rows) else np.ones(DIMS)).astype(np.float32)
-        x, of = _unit(rows * self.idf), np.array(langs)
+        seen = np.zeros(DIMS)
+        for f, _ in rows:
+            seen[f] += 1
+        self.idf = (np.log((1 + len(rows)) / (1 + seen)) + 1).astype(np.float32)
+        of: dict[str, list[int]] = {}
+        for i, lang in enumerate(langs):
+            of.setdefault(lang, []).append(i)
+
+        def dense(lang: str) -> np.ndarray:
+            x = np.zeros((len(of[lang]), DIMS), np.float32)
+            for r, i in enumerate(of[lang]):
+                x[r, rows[i][0]] = rows[i][1]
+            return _unit(x * self.idf)
+
         centres, owner = [], []
         for i, lang in enumerate(self.langs):
-            c = spherical_kmeans(x[of == lang], clusters).astype(np.float32)
+            c = spherical_kmeans(dense(lang), clusters).astype(np.float32)
             centres.append(c)
             owner += [i] * len(c)
         self.centres, self.owner = np.concatenate(centres) if centres else np.zeros((0, DIMS)), np.array(owner, int)
-        self.least = np.zeros(len(owner))
-        if len(rows):
-            cosine = x @ self.centres.T
-            near, best = cosine.argmax(axis=1), cosine.max(axis=1)
-            for c in range(len(owner)):
-                if (near == c).any():
-                    self.least[c] = np.quantile(best[near == c], quantile) - slack
+        best: list[list[float]] = [[] for _ in owner]
+        for lang in self.langs:
+            cosine = dense(lang) @ self.centres.T
+            for c, x in zip(cosine.argmax(axis=1).tolist(), cosine.max(axis=1).tolist()):
+                best[c].append(x)
+        self.least = np.array([np.quantile(b, quantile) - slack if b else 0.0 for b in best])
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray, np.ndarray]:
         """Languages, scores, rejections."""
@@ -138,10 +151,10 @@ def fit(docs: DataFrame, row_id: str, text: str, lang: str, held_out: tuple[int,
     modulus, remainder = held_out
     order = F.xxhash64(F.col(row_id), F.col(lang))
     rows = docs.filter(F.col(lang).isNotNull() & (F.col(lang) != "") & F.col(text).isNotNull() & (crc_mod(row_id, modulus) != remainder)).select(order.alias("o"), F.col(lang).alias("l"))
-    counts = {r["l"]: r["n"] for r in rows.groupBy("l").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "l").limit(1000).collect()}
+    counts = {r["l"]: r["n"] for r in rows.groupBy("l").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row for each language
     total = sum(counts.values())
     if not total:
-        return Centroids(np.zeros((0, DIMS)), [], clusters, quantile, slack)
+        return Centroids([], [], clusters, quantile, slack)
     # A hash below a language's bound draws its share of the sample, over all rows and without a sort.
     span = 1 << 64
     bound = {k: min(span - 1, int(span * min(1.0, max(50.0, sample * n / total) / n))) - (1 << 63) for k, n in counts.items()}
@@ -154,13 +167,16 @@ def fit(docs: DataFrame, row_id: str, text: str, lang: str, held_out: tuple[int,
             use = [i for i, t in enumerate(texts) if has_letter(t)]
             for at in range(0, len(use), 64):
                 part = use[at : at + 64]
-                rows = frequencies([texts[i] for i in part]).astype(np.float16)
-                yield pa.RecordBatch.from_arrays([pa.array([orders[i] for i in part], pa.int64()), pa.array([langs[i] for i in part]), pa.array([r.tobytes() for r in rows], pa.binary())], ["o", "l", "v"])
-
-    # at most about ``sample`` rows of two bytes for each slot
-    got = chosen.select(F.col(text).alias("t"), F.col(lang).alias("l"), order.alias("o")).mapInArrow(run, "o long, l string, v binary").toArrow().sort_by([("o", "ascending"), ("l", "ascending")])
-    vectors = np.frombuffer(b"".join(got.column("v").to_pylist()), np.float16).reshape(-1, DIMS).astype(np.float32)
-    return Centroids(vectors, got.column("l").to_pylist(), clusters, quantile, slack)
+                rows = frequencies([texts[i] for i in part])
+                slots = [np.flatnonzero(r) for r in rows]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([orders[i] for i in part], pa.int64()), pa.array([langs[i] for i in part]), pa.array([f.astype(np.uint16).tobytes() for f in slots], pa.binary()), pa.array([r[f].astype(np.float32).tobytes() for r, f in zip(rows, slots)], pa.binary())], ["o", "l", "f", "x"]
+                )
+
+    # at most about ``sample`` sparse rows
+    got = chosen.select(F.col(text).alias("t"), F.col(lang).alias("l"), order.alias("o")).mapInArrow(run, "o long, l string, f binary, x binary").toArrow().sort_by([("o", "ascending"), ("l", "ascending"), ("f", "ascending")])
+    rows = [(np.frombuffer(f, np.uint16), np.frombuffer(x, np.float32)) for f, x in zip(got.column("f").to_pylist(), got.column("x").to_pylist())]
+    return Centroids(rows, got.column("l").to_pylist(), clusters, quantile, slack)
 
 
 def predict_language(

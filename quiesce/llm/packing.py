@@ -9,8 +9,8 @@ the smallest residual that is large enough and moves to the next larger one unti
 compatible bin is found; only if there is none does a new bin open. Pieces come in
 order of falling size.
 
-Pieces are dealt out to shards by a hash of the whole row, each of about ``shard``
-texts, and packed there, so a hot source is spread evenly. Only ids, sources, sizes
+Pieces are dealt out to shards by a hash of the row and of its number among equal rows,
+each of about ``shard`` texts, and packed there, so a hot source or row is spread evenly. Only ids, sources, sizes
 and cluster hashes are shuffled, never texts.
 
 Defined results: an empty or null text is one piece that takes one place; a null
@@ -25,7 +25,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401  (rank)
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import blocks_for, text_or_empty
@@ -122,7 +122,13 @@ def pack(docs: DataFrame, row_id: str = "doc_id", text: str = "text", source: st
     shards = blocks_for(docs.count(), shard)
     t = text_or_empty(text)
     rows = docs.select(F.col(row_id).alias("doc_id"), F.col(source).cast("string").alias("source"), F.xxhash64(normalised(text)).alias("cluster"), F.greatest(F.lit(1), size if size is not None else words_in(t)).cast("long").alias("n"))
-    rows = rows.withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster", "source", "n"), F.lit(shards)))
+    # rows that repeat are counted where they are, then told apart by a number, so that they spread over all shards
+    same = ["doc_id", "source", "cluster", "n"]
+    heaps = rows.groupBy(*same, F.spark_partition_id().alias("p")).agg(F.count(F.lit(1)).alias("copies"))
+    before = F.sum("copies").over(Window.partitionBy(*same).orderBy("p").rowsBetween(Window.unboundedPreceding, -1))  # a row per task at most
+    heaps = heaps.withColumn("first", F.coalesce(before, F.lit(0)))
+    rows = heaps.select(*same, F.explode(F.sequence(F.col("first"), F.col("first") + F.col("copies") - 1)).alias("copy"))
+    rows = rows.withColumn("shard", F.pmod(F.xxhash64(*same, "copy"), F.lit(shards))).drop("copy")
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
         n = table.column("n").to_numpy()
@@ -143,3 +149,9 @@ def pack(docs: DataFrame, row_id: str = "doc_id", text: str = "text", source: st
         )
 
     return rows.groupBy("shard").applyInArrow(run, f"doc_id {kind}, piece int, start long, size long, bin_id long, slot int")
+
+
+def fill(packed: DataFrame, capacity: int = 2048) -> DataFrame:
+    """One row: bins, pieces, and the share of all places that is filled."""
+    bins = packed.groupBy("bin_id").agg(F.sum("size").alias("used"), F.count(F.lit(1)).alias("pieces"))
+    return bins.agg(F.count(F.lit(1)).alias("bins"), F.coalesce(F.sum("pieces"), F.lit(0)).alias("pieces"), (F.sum("used") / (F.count(F.lit(1)) * capacity)).alias("filled"))

@@ -21,14 +21,15 @@ terms become spans of kind "term". The term is generalised to its first ``prefix
 letters if those disclose no entity of the text, by the same measure, and removed
 otherwise. Texts without personal data never change.
 
-Terms are counted under 64-bit hashes, so the shuffle carries numbers, combined in
-each task first. Texts are shuffled only where they hold personal data.
-
-Defined results: null text is empty; an empty table gives an empty result; rows
-that share an id share the terms found in any of them; rows with a null id keep
-their base spans and get no terms; overlapping spans of different kinds are all
-listed and replaced once; extra columns are kept by ``sanitise`` and ignored by
-``find_spans``.
+Terms are counted under 63-bit hashes, so the shuffle carries numbers, combined in each
+task first. The patterns read every text once, the counts once more; everything else
+reads the few texts that hold personal data.
+
+Defined results: null text is empty (and stays null in ``sanitise``); an empty table
+gives an empty result; rows are told apart by a number of their own, so repeated and
+null ids change nothing; overlapping spans of different kinds are all listed and
+replaced once, from the first; extra columns are kept by ``sanitise`` and ignored by
+``find_spans``, whatever their names.
 """
 
 from __future__ import annotations
@@ -39,7 +40,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import stash, text_or_empty
 
 _LOCAL = r"A-Za-z0-9._%+-"
 PATTERNS = {
@@ -119,11 +120,11 @@ def _sums(values: Column) -> Column:
     return F.transform(blocks, lambda b: _total(F.slice(values, b * _STEP + 1, _STEP)))
 
 
-def with_base(df: DataFrame, text: str) -> DataFrame:
-    """Adds _b (spans by kind), _base (all of them, in the order of kinds) and _mask (bit i: holds kind i)."""
-    df = df.withColumn("_b", F.struct(*(spans_of(k, F.col(text), F.lit(p)).alias(k) for k, p in PATTERNS.items())))
-    mask = reduce(lambda a, b: a + b, (F.when(F.size(f"_b.{k}") > 0, 1 << i).otherwise(0) for i, k in enumerate(KINDS)))
-    return df.withColumns({"_base": F.concat(*(F.col(f"_b.{k}") for k in KINDS)), "_mask": mask})
+def with_base(df: DataFrame) -> DataFrame:
+    """Adds to a text ``t``: b (spans by kind), base (all of them, in the order of kinds) and mask (bit i: holds kind i)."""
+    df = df.withColumn("b", F.struct(*(spans_of(k, F.col("t"), F.lit(p)).alias(k) for k, p in PATTERNS.items())))
+    mask = reduce(lambda a, b: a + b, (F.when(F.size(f"b.{k}") > 0, 1 << i).otherwise(0) for i, k in enumerate(KINDS)))
+    return df.withColumns({"base": F.concat(*(F.col(f"b.{k}") for k in KINDS)), "mask": mask})
 
 
 def _terms(text: Column) -> Column:
@@ -141,50 +142,65 @@ def _entities(spans: Column) -> Column:
     return F.array_distinct(F.concat(F.transform(spans, lambda s: F.xxhash64(s["kind"])), F.transform(spans, lambda s: F.xxhash64(s["kind"], value(s)))))
 
 
-def disclosing(based: DataFrame, text: str, alpha: float, support: int, level: float, prefix: int) -> tuple[DataFrame, DataFrame]:
-    """(e, h) of terms and of prefixes: hashes of an entity and of what discloses it. Counts cover every row."""
-    terms = F.array_remove(_terms(F.col(text)), "")
-    words = F.transform(terms, lambda w: F.xxhash64(w))
-    heads = F.array_distinct(F.transform(terms, lambda w: F.xxhash64(_class_of(w, prefix))))
-    private = based.filter("_mask > 0").select(F.xxhash64(text).alias("x"), _entities(F.col("_base")).alias("es"), terms.alias("ts"))
+def _word_key(word: Column) -> Column:
+    return F.xxhash64(word).bitwiseAND(F.lit(-2))
+
+
+def _head_key(word: Column, prefix: int) -> Column:
+    """Keys of prefixes are odd and those of words even, so both are counted in one table."""
+    return F.xxhash64(_class_of(word, prefix)).bitwiseOR(F.lit(1))
+
+
+def _keys(terms: Column, prefix: int) -> Column:
+    return F.concat(F.transform(terms, _word_key), F.array_distinct(F.transform(terms, lambda w: _head_key(w, prefix))))
+
+
+def disclosing(texts: DataFrame, private: DataFrame, alpha: float, support: int, level: float, prefix: int) -> DataFrame:
+    """(e, h): entities and the keys of words and prefixes that disclose them.
+
+    texts: every text as ``t``; private: t and base of those with base spans.
+    """
+    terms = F.array_remove(_terms(F.col("t")), "")
+    shown = private.select(F.xxhash64("t").alias("x"), _entities(F.col("base")).alias("es"), _keys(terms, prefix).alias("hs"))
     # one row for each different text, with the number of its copies
-    texts = private.groupBy("x").agg(F.count(F.lit(1)).alias("copies"), F.first("es").alias("es"), F.first("ts").alias("ts"))
-    entities = texts.select("copies", F.explode("es").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("d_e"), F.sum("copies").alias("n_e")).filter(F.col("d_e") >= support)
+    kinds = shown.groupBy("x").agg(F.count(F.lit(1)).alias("copies"), F.first("es").alias("es"), F.first("hs").alias("hs"))
+    entities = kinds.select("copies", F.explode("es").alias("e")).groupBy("e").agg(F.count(F.lit(1)).alias("d_e"), F.sum("copies").alias("n_e")).filter(F.col("d_e") >= support)
     # an entity of fewer texts cannot be disclosed, so its pairs are not made
-    kept = texts.select("x", F.explode("es").alias("e")).join(entities.select("e"), "e", "left_semi").groupBy("x").agg(F.collect_list("e").alias("es"))
-    texts = texts.drop("es").join(kept, "x")
-    rows = based.agg(F.count(F.lit(1)).alias("n"))
-
-    def told(items: Column, of_text: Column) -> DataFrame:
-        counts = based.select(F.explode(items).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("n_t"))
-        corpus = counts.agg(F.count(F.when(F.col("n_t") > 0, 1)).alias("v")).join(F.broadcast(rows))
-        pairs = texts.select("copies", "es", F.explode(of_text).alias("h")).select("copies", F.explode("es").alias("e"), "h")
-        pairs = pairs.groupBy("e", "h").agg(F.count(F.lit(1)).alias("d_te"), F.sum("copies").alias("n_te")).filter(F.col("d_te") >= support)
-        every = pairs.join(entities, "e").join(counts, "h").join(F.broadcast(corpus))  # one row
-        n, share, usual = F.col("n"), F.col("d_te") / F.col("d_e"), F.col("n_t") / F.col("n")
-        pmi = F.log(F.col("n_te") * n / (F.col("n_t") * F.col("n_e")))
-        rest = F.when(share < 1, (1 - share) * F.log((1 - share) / (1 - usual))).otherwise(0.0)
-        surprise = F.when(share > usual, F.col("d_e") * (share * F.log(share / usual) + rest)).otherwise(0.0)
-        # an entity that every text holds has no information to protect
-        tells = (F.col("n_e") < n) & (pmi >= alpha * F.log(n / F.col("n_e"))) & (surprise >= F.log(F.col("v") / level))
-        return every.filter(tells).select("e", "h")
-
-    head = F.array_distinct(F.transform("ts", lambda w: F.xxhash64(_class_of(w, prefix))))
-    return told(words, F.transform("ts", lambda w: F.xxhash64(w))), told(heads, head)
-
-
-def disclosed_terms(based: DataFrame, row_id: str, text: str, alpha: float, support: int, level: float, prefix: int) -> DataFrame:
-    """id, words: array of (word, put) that disclose an entity held by the row of that id."""
-    told, told_heads = disclosing(based, text, alpha, support, level, prefix)
-    words = based.filter("_mask > 0").select(F.col(row_id).alias("_id"), _entities(F.col("_base")).alias("es"), F.explode(_terms(F.col(text))).alias("w")).filter("w <> '' AND _id IS NOT NULL")
-    of_term = told.groupBy("h").agg(F.collect_set("e").alias("of"))
-    hits = words.withColumn("h", F.xxhash64("w")).join(of_term, "h").filter(F.arrays_overlap("es", "of"))
-    hits = hits.select("_id", "w", F.xxhash64(_class_of(F.col("w"), prefix)).alias("head"), F.explode("es").alias("e"))
-    hits = hits.join(told_heads.select("e", F.col("h").alias("head"), F.lit(1).alias("head_hit")), ["e", "head"], "left")
-    hits = hits.groupBy("_id", "w").agg(F.max("head_hit").alias("head_hit"))
+    kept = kinds.select("x", F.explode("es").alias("e")).join(entities.select("e"), "e", "left_semi").groupBy("x").agg(F.collect_list("e").alias("es"))
+    pairs = kinds.drop("es").join(kept, "x").select("copies", "es", F.explode("hs").alias("h")).select("copies", F.explode("es").alias("e"), "h")
+    pairs = pairs.groupBy("e", "h").agg(F.count(F.lit(1)).alias("d_te"), F.sum("copies").alias("n_te")).filter(F.col("d_te") >= support)
+    # every text once: a row for each of its different words and prefixes, summed where it is made
+    counts = stash(texts.select(F.explode(_keys(terms, prefix)).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("n_t")))
+    n = texts.count()
+    odd = F.col("h").bitwiseAND(F.lit(1)) == 1
+    heads, words = counts.agg(F.count(F.when(odd, 1)), F.count(F.when(~odd, 1))).first()
+    every = pairs.join(entities, "e").join(counts, "h")
+    v = F.when(odd, max(1, heads)).otherwise(max(1, words))
+    share, usual = F.col("d_te") / F.col("d_e"), F.col("n_t") / F.lit(max(1, n))
+    pmi = F.log(F.col("n_te") * F.lit(n) / (F.col("n_t") * F.col("n_e")))
+    rest = F.when(share < 1, (1 - share) * F.log((1 - share) / (1 - usual))).otherwise(0.0)
+    surprise = F.when(share > usual, F.col("d_e") * (share * F.log(share / usual) + rest)).otherwise(0.0)
+    # an entity that every text holds has no information to protect
+    tells = (F.col("n_e") < n) & (pmi >= alpha * F.log(F.lit(n) / F.col("n_e"))) & (surprise >= F.log(v / level))
+    return every.filter(tells).select("e", "h")
+
+
+_SALTS = 8
+
+
+def disclosed_terms(private: DataFrame, told: DataFrame, prefix: int) -> DataFrame:
+    """key, words: array of (w, put) that disclose an entity held by that row. private: key, t, base."""
+    words = private.select("key", _entities(F.col("base")).alias("es"), F.explode(_terms(F.col("t"))).alias("w")).filter("w <> ''")
+    of_term = told.filter(F.col("h").bitwiseAND(F.lit(1)) == 0).groupBy("h").agg(F.collect_set("e").alias("of"))
+    # a word of very many texts meets what it tells on several tasks
+    of_term = of_term.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(_SALTS - 1))))
+    hits = words.withColumns({"h": _word_key(F.col("w")), "salt": F.pmod(F.xxhash64("key"), F.lit(_SALTS)).cast("int")}).join(of_term, ["h", "salt"]).filter(F.arrays_overlap("es", "of"))
+    hits = hits.select("key", "w", _head_key(F.col("w"), prefix).alias("head"), F.explode("es").alias("e"))
+    hits = hits.join(told.select("e", F.col("h").alias("head"), F.lit(1).alias("head_hit")), ["e", "head"], "left")
+    hits = hits.groupBy("key", "w").agg(F.max("head_hit").alias("head_hit"))
     general = (F.length("w") > prefix + 1) & F.col("head_hit").isNull()
     put = F.when(general, F.concat(_class_of(F.col("w"), prefix), F.lit("*"))).otherwise("")
-    return hits.groupBy("_id").agg(F.sort_array(F.collect_set(F.struct("w", put.alias("put")))).alias("_words"))
+    return hits.groupBy("key").agg(F.sort_array(F.collect_set(F.struct("w", put.alias("put")))).alias("words"))
 
 
 def _any_of(words: Column) -> Column:
@@ -192,17 +208,23 @@ def _any_of(words: Column) -> Column:
     return F.concat(F.lit(rf"(?<![{_WORD}])(?iu:"), F.array_join(quoted, "|"), F.lit(rf")(?![{_WORD}])"))
 
 
-def protected(docs: DataFrame, row_id: str = "doc_id", text: str = "text", alpha: float = 0.75, support: int = 2, level: float = 0.05, prefix: int = 4) -> DataFrame:
-    """The input columns with _b, _base, _mask, _words and _terms (spans of kind "term" outside base spans)."""
-    based = with_base(docs.withColumn("_t", text_or_empty(text)), "_t")
-    words = disclosed_terms(based, row_id, "_t", alpha, support, level, prefix)
+def protected(rows: DataFrame, alpha: float = 0.75, support: int = 2, level: float = 0.05, prefix: int = 4) -> DataFrame:
+    """row, t, b, base, words and terms (spans of kind "term" outside base spans). rows: row (what to carry), t (the text).
+
+    The patterns are tried once: their spans are written to the shared folder, with a key
+    for each row and the text of rows that hold personal data.
+    """
+    found = with_base(rows).withColumn("key", F.monotonically_increasing_id())
+    written = stash(found.select("key", "row", F.when(F.col("mask") > 0, F.col("t")).alias("t"), "b", "base"))
+    private = written.filter(F.col("t").isNotNull())
+    told = disclosing(rows.select("t"), private.select("t", "base"), alpha, support, level, prefix)
+    words = disclosed_terms(private.select("key", "t", "base"), told, prefix)
     no_words, no_spans = F.array().cast("array<struct<w:string,put:string>>"), F.array().cast(SPAN)
-    clean = based.filter("_mask = 0").drop("_b", "_base")
-    clean = clean.withColumns({"_b": F.struct(*(no_spans.alias(k) for k in KINDS)), "_base": no_spans, "_words": no_words, "_terms": no_spans})
-    private = based.filter("_mask > 0").join(words, F.col(row_id) == F.col("_id"), "left").drop("_id").withColumn("_words", F.coalesce("_words", no_words))
-    found = _let(F.when(F.size("_words") > 0, _any_of(F.col("_words"))), lambda p: spans_of("term", F.col("_t"), p))
-    apart = F.filter(found, lambda s: ~F.exists("_base", lambda b: (s["start"] < b["end"]) & (b["start"] < s["end"])))
-    return clean.unionByName(private.withColumn("_terms", apart))
+    clean = written.filter(F.col("t").isNull()).withColumns({"words": no_words, "terms": no_spans})
+    hidden = private.join(words, "key", "left").withColumn("words", F.coalesce("words", no_words))
+    spans = _let(F.when(F.size("words") > 0, _any_of(F.col("words"))), lambda p: spans_of("term", F.col("t"), p))
+    apart = F.filter(spans, lambda s: ~F.exists("base", lambda b: (s["start"] < b["end"]) & (b["start"] < s["end"])))
+    return clean.unionByName(hidden.withColumn("terms", apart))
 
 
 def _listed(spans: Column) -> Column:
@@ -211,21 +233,22 @@ def _listed(spans: Column) -> Column:
 
 def find_spans(docs: DataFrame, row_id: str = "doc_id", text: str = "text", **measure: float) -> DataFrame:
     """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_term."""
-    rows = protected(docs.select(F.col(row_id).alias("doc_id"), F.col(text).alias("text")), **measure)
-    counts = [F.size(f"_b.{k}").cast("long").alias(f"n_{k}") for k in KINDS]
-    base = _listed(F.col("_base"))
-    return rows.select("doc_id", *counts, F.sha2(base.cast("binary"), 256).alias("base_sha256"), _listed(F.concat("_base", "_terms")).alias("spans"), F.size("_terms").cast("long").alias("n_term"))
+    rows = protected(docs.select(F.col(row_id).alias("row"), text_or_empty(text).alias("t")), **measure)
+    counts = [F.size(f"b.{k}").cast("long").alias(f"n_{k}") for k in KINDS]
+    base = _listed(F.col("base"))
+    return rows.select(F.col("row").alias("doc_id"), *counts, F.sha2(base.cast("binary"), 256).alias("base_sha256"), _listed(F.concat("base", "terms")).alias("spans"), F.size("terms").cast("long").alias("n_term"))
 
 
-def sanitise(docs: DataFrame, row_id: str = "doc_id", text: str = "text", **measure: float) -> DataFrame:
+def sanitise(docs: DataFrame, text: str = "text", **measure: float) -> DataFrame:
     """The input columns, personal data replaced by its kind in brackets and disclosing terms by their heads."""
-    rows = protected(docs, row_id, text, **measure)
-    t = F.col("_t")
-    spans = F.array_sort(F.concat(F.transform("_base", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))), F.transform("_terms", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))))
+    carried = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
+    rows = protected(docs.select(carried.alias("row"), text_or_empty(text).alias("t")), **measure)
+    t = F.col("t")
+    spans = F.array_sort(F.concat(F.transform("base", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))), F.transform("terms", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))))
 
     def put(s: Column) -> Column:
         word = F.lower(F.substring(t, s["start"] + 1, s["end"] - s["start"]))
-        general = F.get(F.filter("_words", lambda x: x["w"] == word), F.lit(0))["put"]
+        general = F.get(F.filter("words", lambda x: x["w"] == word), F.lit(0))["put"]
         return F.when(s["kind"] == "term", F.coalesce(general, F.lit(""))).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))
 
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
@@ -236,6 +259,6 @@ def sanitise(docs: DataFrame, row_id: str = "doc_id", text: str = "text", **meas
             F.struct(s["end"].alias("at"), F.concat(acc["out"], F.substring(t, acc["at"] + 1, s["start"] - acc["at"]), put(s)).alias("out"))
         ),
     )
-    rows = rows.withColumn("_done", F.when(F.size("_base") > 0, done))
-    changed = F.when(F.col("_done").isNull(), F.col(text)).otherwise(F.concat(F.col("_done.out"), F.expr("substring(_t, _done.at + 1)")))
-    return rows.withColumn(text, changed).select(*docs.columns)
+    rows = rows.withColumn("done", F.when(F.size("base") > 0, done))
+    changed = F.when(F.col("done").isNull(), F.col(f"row.`{text}`")).otherwise(F.concat(F.col("done.out"), F.expr("substring(t, done.at + 1)")))
+    return rows.select(*(changed.alias(c) if c == text else F.col(f"row.`{c}`").alias(c) for c in docs.columns))

@@ -17,8 +17,10 @@ every whole text.
 
 Defined results: null text is empty and scored like any other; labels that are
 null or whose text is missing are not learned from; with no label at all every
-score is one half; rows that repeat an id are scored each; extra columns are kept
-out of the way.
+score is one half; rows that repeat an id are scored each, and one of them, that with
+the least hash of its text, is learned from; rows of null id are scored and never
+learned from; an empty table gives an empty result; extra columns are ignored by
+``score_quality`` and kept by ``accepted``, whatever their names.
 """
 
 from __future__ import annotations
@@ -148,7 +150,10 @@ def fit(docs: DataFrame, labels: DataFrame, row_id: str, text: str, label: str,
     known = labels.filter(F.col(label).isNotNull() & F.col(row_id).isNotNull() & (crc_mod(row_id, held_out) != 0)).select(row_id, F.col(label).alias("_y"))
     order = F.xxhash64(F.col(row_id))
     chosen = known.orderBy(order, row_id, "_y").limit(sample)
-    rows = docs.select(F.col(row_id), F.col(text).alias("_t")).join(F.broadcast(chosen), row_id).select(order.alias("o"), F.col("_t").alias("t"), F.col("_y").cast("double").alias("y"))
+    texts = docs.select(F.col(row_id).alias("i"), F.col(text).alias("t"))
+    rows = texts.join(F.broadcast(chosen.select(F.col(row_id).alias("i"), F.col("_y").cast("double").alias("y"))), "i")
+    # of rows that repeat an id one is learned from, so that no more than the chosen ones reach the driver
+    rows = rows.groupBy("i", "y").agg(F.min_by("t", F.xxhash64("t")).alias("t")).select(F.xxhash64("i").alias("o"), "t", "y")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -162,15 +167,11 @@ def fit(docs: DataFrame, labels: DataFrame, row_id: str, text: str, label: str,
     return FactorisationMachine().fit(pairs, got.column("y").to_numpy())
 
 
-def score_quality(docs: DataFrame, labels: DataFrame, row_id: str = "doc_id", text: str = "text", label: str = "quality", held_out: int = 5, cut: float = 0.3, sample: int = SAMPLE, keep: list[str] | None = None) -> DataFrame:
-    """doc_id, held_out, score, predicted; with ``keep`` the named input columns instead of doc_id and held_out."""
-    spark = docs.sparkSession
-    machine = spark.sparkContext.broadcast(fit(docs, labels, row_id, text, label, held_out, sample))
-    if keep is None:
-        rows = docs.select(F.col(row_id).alias("doc_id"), (crc_mod(row_id, held_out) == 0).alias("held_out"), F.col(text).alias("_text"))
-    else:
-        rows = docs.select(*keep, F.col(text).alias("_text"))
-    passed = rows.schema[:-1]
+def _scorer(docs: DataFrame, labels: DataFrame, row_id: str, text: str, label: str, held_out: int, cut: float, sample: int, passed: list) -> DataFrame:
+    """The passed columns (named apart from ours) with score and predicted."""
+    machine = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, row_id, text, label, held_out, sample))
+    rows = docs.select(*passed, F.col(text))
+    fields = rows.schema[:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = machine.value
@@ -178,8 +179,16 @@ def score_quality(docs: DataFrame, labels: DataFrame, row_id: str = "doc_id", te
             score = np.fromiter((m.score(*features(t.as_py())) for t in b.column(b.num_columns - 1)), np.float64, b.num_rows)
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(score), pa.array((score >= cut).astype(np.int32))], [*b.schema.names[:-1], "score", "predicted"])
 
-    return rows.mapInArrow(run, _schema(passed))
+    return rows.mapInArrow(run, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["score double", "predicted int"]))
 
 
-def _schema(fields) -> str:
-    return ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["score double", "predicted int"])
+def score_quality(docs: DataFrame, labels: DataFrame, row_id: str = "doc_id", text: str = "text", label: str = "quality", held_out: int = 5, cut: float = 0.3, sample: int = SAMPLE) -> DataFrame:
+    """doc_id, held_out, score, predicted."""
+    passed = [F.col(row_id).alias("doc_id"), (crc_mod(row_id, held_out) == 0).alias("held_out")]
+    return _scorer(docs, labels, row_id, text, label, held_out, cut, sample, passed)
+
+
+def accepted(docs: DataFrame, labels: DataFrame, row_id: str = "doc_id", text: str = "text", label: str = "quality", held_out: int = 5, cut: float = 0.3, sample: int = SAMPLE) -> DataFrame:
+    """The rows of ``docs``, with all their columns, that the machine accepts."""
+    rows = _scorer(docs, labels, row_id, text, label, held_out, cut, sample, [F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row")])
+    return rows.filter("predicted = 1").select("row.*")

@@ -7,14 +7,16 @@ comparison, else the modification dates, else payload digests). The resolved rec
 has the response's headers, overlaid with those that a not-modified answer may
 change; length, coding and type always stay the response's.
 
-A hot URL is split by time: inside each of ``slices`` equal spans the last response
-is carried forward by a window, and one row per URL and span (at most ``slices`` for
-a URL) carries it on to later spans. No window ever holds all rows of a URL.
+A hot URL is split by time: inside each of ``slices`` spans the last response is carried
+forward by a window, and one row per URL and span (at most ``slices`` for a URL) carries
+it on to later spans. Spans hold about as many records each (their bounds are quantiles
+of all times), so a window holds about 1 / ``slices`` of all records at most, unless more
+were captured at one and the same time.
 
 Defined results: rows without URL or time are ``no_original``, since they have no
 earlier response; of responses at the same time the one with the largest id counts
 as the latest; repeated revisit rows are resolved each; missing headers are empty;
-an empty table gives an empty result; extra columns are ignored.
+an empty table gives an empty result; extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -46,14 +48,17 @@ def resolve_revisits(records: DataFrame, slices: int = 64, permitted: tuple[str,
 
     One row per revisit: record_id, canonical_url, ts, original_id, original_ts, status, headers.
     """
-    span = records.agg(F.min("ts"), F.max("ts")).first()
-    low, high = (span[0] or 0), (span[1] or 0)
-    width = max(1, -(-(high - low + 1) // slices))
+    # bounds by rank, not by time, so that a burst of captures falls into many slices
+    shares = [i / slices for i in range(1, slices)]
+    bounds = records.agg(F.percentile_approx("ts", shares, 100 * slices)).first()[0] if shares else []
+    bounds = sorted(set(bounds or []))
+    here_slice = F.size(F.filter(F.lit(bounds), lambda x: x < F.col("ts"))) if bounds else F.lit(0)
     full = F.col("kind") == "response"
     original = F.struct(F.col("ts").alias("ts"), F.col("record_id").alias("id"), "etag", "last_modified", "digest", "headers")
-    rows = records.select("*", canonical_url(F.col("url")).alias("u")).select(
+    known = records.select("record_id", "ts", "kind", "etag", "last_modified", "digest", "headers", canonical_url(F.col("url")).alias("u"))
+    rows = known.select(
         "record_id", "u", "ts", "etag", "last_modified", "digest", "headers", full.alias("full"),
-        F.floor((F.col("ts") - low) / width).alias("slice"), F.when(full & F.col("u").isNotNull() & F.col("ts").isNotNull(), original).alias("o"),
+        here_slice.alias("slice"), F.when(full & F.col("u").isNotNull() & F.col("ts").isNotNull(), original).alias("o"),
     )
     # revisits come before responses of the same time, which are not earlier
     here = Window.partitionBy("u", "slice").orderBy("ts", "full", "record_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)

@@ -20,14 +20,21 @@
 Groups over ``hot`` rows are cut by position along the spread coordinate into
 tiles that overlap by the window, so that no task gets an unbounded group.
 
-Defined results: a null text is empty; texts without words have fingerprint zero
-and link like any other; fewer words than a shingle make one shingle; an empty
-table gives an empty result; rows with a null id get a component from the others
-of their class (null if there is none); extra columns are ignored.
+Wider fingerprints (``words`` of 64 bits) and radii that a cover cannot serve are dealt
+out by keys of randomly drawn bits instead, so many that a pair at the full radius is
+missed with a probability of at most ``miss``; nearer pairs are missed far less often.
+
+Defined results: a null text is empty; texts without words have fingerprint zero and
+link like any other; fewer words than a shingle make one shingle; an empty table gives
+an empty result; ids are whole numbers; rows that repeat an id are listed each and link as one; rows
+with a null id get the component of the others of their class, and where a class has
+no id, it has no links and a null component; extra columns are ignored, whatever their
+names.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -42,50 +49,65 @@ from .common import cut
 _CHUNK = 1 << 16
 
 
-def fingerprint(text: str | None, width: int = 4, seed: int = 42) -> int:
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return 0
-    joined = b" ".join(words)
-    n = len(words)
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
+def fingerprint(text: str | None, width: int = 4, seed: int = 42, words: int = 1) -> np.ndarray:
+    """``words`` times 64 bits. The first word takes the hashes as they are, further ones take them mixed again."""
+    parts = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if not parts:
+        return np.zeros(words, np.uint64)
+    joined = b" ".join(parts)
+    n = len(parts)
+    ends = np.cumsum(np.fromiter(map(len, parts), np.int64, n) + 1) - 1
     starts = [0, *(ends[:-1] + 1).tolist()]
     stops = ends[width - 1 :].tolist() or [len(joined)]
     digest = xxhash.xxh64_intdigest
     m = len(stops)
     hashes = np.fromiter((digest(joined[a:b], seed) for a, b in zip(starts, stops)), np.uint64, m)
-    ones = np.zeros(64, np.int64)
+    ones = np.zeros((words, 64), np.int64)
     for at in range(0, m, _CHUNK):
-        block = hashes[at : at + _CHUNK].view(np.uint8).reshape(-1, 8)
-        ones += np.unpackbits(block, axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
-    return int(np.packbits(ones * 2 > m, bitorder="little").view(np.uint64)[0])
+        x = hashes[at : at + _CHUNK]
+        for k in range(words):
+            if k:
+                x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9) + np.uint64(k)
+                x = x ^ (x >> np.uint64(27))
+            ones[k] += np.unpackbits(x.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+    return np.packbits(ones * 2 > m, axis=1, bitorder="little").view(np.uint64).ravel()
 
 
 def _signed(x: np.ndarray) -> np.ndarray:
-    return x.view(np.int64)
+    return np.ascontiguousarray(x).view(np.int64)
 
 
-def fingerprints(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, seed: int = 42) -> DataFrame:
-    """doc_id and fp: the 64 bits as a signed integer."""
+def fingerprints(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, seed: int = 42, words: int = 1) -> DataFrame:
+    """doc_id and f0..: the bits as signed integers."""
     kind = docs.schema[row_id].dataType.simpleString()
+    names = [f"f{k}" for k in range(words)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = np.fromiter((fingerprint(t.as_py(), width, seed) for t in b.column(1)), np.uint64, b.num_rows)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_signed(fps))], ["doc_id", "fp"])
+            fps = np.array([fingerprint(t.as_py(), width, seed, words) for t in b.column(1)], np.uint64).reshape(-1, words)
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(_signed(fps[:, k])) for k in range(words))], ["doc_id", *names])
 
-    return docs.select(F.col(row_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, fp long")
+    return docs.select(F.col(row_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{c} long" for c in names))
 
 
-def pivots(n: int, seed: int = 7) -> np.ndarray:
-    """Reference fingerprints; the last eight are zero but for one byte, and tell byte weights apart."""
-    out = np.random.default_rng(seed).integers(0, 2**63, n, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-    out[-8:] = np.uint64(255) << (np.arange(8, dtype=np.uint64) * np.uint64(8))
+def pivots(n: int, words: int = 1, seed: int = 7) -> np.ndarray:
+    """Reference fingerprints; the last eight differ from zero in a range of bits each, and tell the weights of ranges apart."""
+    out = np.random.default_rng(seed).integers(0, 2**63, (n, words), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    out[-8:] = 0
+    for i in range(8):
+        bits = np.zeros(64 * words, np.uint8)
+        bits[i * 8 * words : (i + 1) * 8 * words] = 1
+        out[n - 8 + i] = np.packbits(bits, bitorder="little").view(np.uint64)
     return out
 
 
+def _apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(a ^ b).sum(axis=-1, dtype=np.int16)
+
+
 def pivot_table(fps: np.ndarray, refs: np.ndarray) -> np.ndarray:
-    return np.bitwise_count(fps[:, None] ^ refs[None, :]).astype(np.int8)
+    """Hamming distances of each fingerprint to each reference."""
+    return np.stack([_apart(fps, r[None]) for r in refs], axis=1)
 
 
 def _near_pairs(fps: np.ndarray, table: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -98,7 +120,7 @@ def _near_pairs(fps: np.ndarray, table: np.ndarray, radius: int) -> Iterator[tup
     at = 0
     while at < n - 1:
         width = last[at : min(n, at + 4096)] - np.arange(at, min(n, at + 4096)) - 1
-        rows = max(1, int(np.searchsorted(np.cumsum(width), 1 << 21, side="right")))
+        rows = max(1, int(np.searchsorted(np.cumsum(width), 1 << 20, side="right")))
         width = width[:rows]
         i = np.repeat(np.arange(at, at + len(width)), width)
         j = np.arange(len(i)) - np.repeat(np.cumsum(width) - width, width) + i + 1
@@ -109,7 +131,7 @@ def _near_pairs(fps: np.ndarray, table: np.ndarray, radius: int) -> Iterator[tup
             i, j = i[ok], j[ok]
             if k >= 4 and len(i) < 4096:
                 break
-        ok = np.bitwise_count(f[i] ^ f[j]) <= radius
+        ok = _apart(f[i], f[j]) <= radius
         if ok.any():
             yield order[i[ok]], order[j[ok]]
         at += len(width)
@@ -133,7 +155,7 @@ class _Forest:
 
 
 def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """A star forest (member, root) that spans the links among sorted, different fingerprints."""
+    """A star forest (member, root), as places, that spans the links among different fingerprints."""
     forest = _Forest(len(fps))
     labels = np.arange(len(fps))
     for i, j in _near_pairs(fps, pivot_table(fps, refs), radius):
@@ -146,18 +168,18 @@ def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.
                 labels = np.fromiter(map(forest.root, range(len(fps))), np.int64, len(fps))
     roots = np.array([forest.root(i) for i in range(len(fps))])
     member = np.flatnonzero(roots != np.arange(len(fps)))
-    return fps[member], fps[roots[member]]
+    return member, roots[member]
 
 
-def _small_groups(keys: np.ndarray, fps: np.ndarray, refs: np.ndarray, radius: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Links among whole groups of a sorted chunk."""
+def _groups(keys: np.ndarray, ids: np.ndarray, fps: np.ndarray, refs: np.ndarray, radius: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Links, as ids, among whole groups of a chunk that is sorted by key."""
     cuts = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1], [True])))
     sizes = np.diff(cuts)
     out = []
     small = np.repeat((sizes > 1) & (sizes <= 64), sizes)
-    k, f = keys[small], fps[small]
+    k, f, d = keys[small], fps[small], ids[small]
     if len(f):
-        table = pivot_table(f, refs[:12])
+        table = pivot_table(f, refs)
         step = 1
         while True:  # partners at distance 1, 2, ... within the group
             same = k[step:] == k[:-step] if step < len(k) else np.zeros(0, bool)
@@ -166,36 +188,38 @@ def _small_groups(keys: np.ndarray, fps: np.ndarray, refs: np.ndarray, radius: i
                 break
             for c in range(table.shape[1]):
                 i = i[np.abs(table[i, c] - table[i + step, c]) <= radius]
-            i = i[np.bitwise_count(f[i] ^ f[i + step]) <= radius]
+            i = i[_apart(f[i], f[i + step]) <= radius]
             if len(i):
-                out.append((f[i + step], f[i]))
+                out.append((d[i + step], d[i]))
             step += 1
     for g in np.flatnonzero(sizes > 64):
-        part = np.unique(fps[cuts[g] : cuts[g + 1]])
-        if len(part) > 1:
-            out.append(_links_of_group(part, refs, radius))
+        part, who = fps[cuts[g] : cuts[g + 1]], ids[cuts[g] : cuts[g + 1]]
+        who, first = np.unique(who, return_index=True)
+        if len(who) > 1:
+            a, b = _links_of_group(part[first], refs, radius)
+            out.append((who[a], who[b]))
     return out
 
 
-def _linker(radius: int, n_pivots: int):
+def _linker(radius: int, n_pivots: int, words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        refs = pivots(n_pivots)
-        keys = np.zeros(0, np.int64)
-        fps = np.zeros(0, np.uint64)
+        refs = pivots(n_pivots, words)
+        keys, ids = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        fps = np.zeros((0, words), np.uint64)
 
         def out(found: list) -> Iterator[pa.RecordBatch]:
             for a, b in found:
-                yield pa.RecordBatch.from_arrays([pa.array(_signed(a)), pa.array(_signed(b))], ["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
         for b in batches:
-            keys = np.concatenate([keys, b.column(0).to_numpy()])
-            fps = np.concatenate([fps, b.column(1).to_numpy().view(np.uint64)])
+            keys, ids = (np.concatenate([x, b.column(c).to_numpy()]) for c, x in ((0, keys), (1, ids)))
+            fps = np.concatenate([fps, np.stack([b.column(2 + k).to_numpy().view(np.uint64) for k in range(words)], axis=1)])
             if len(keys) >= _CHUNK and keys[0] != keys[-1]:
                 whole = int(np.flatnonzero(keys != keys[-1])[-1]) + 1
-                yield from out(_small_groups(keys[:whole], fps[:whole], refs, radius))
-                keys, fps = keys[whole:], fps[whole:]
+                yield from out(_groups(keys[:whole], ids[:whole], fps[:whole], refs, radius))
+                keys, ids, fps = keys[whole:], ids[whole:], fps[whole:]
         if len(keys):
-            yield from out(_small_groups(keys, fps, refs, radius))
+            yield from out(_groups(keys, ids, fps, refs, radius))
 
     return run
 
@@ -220,42 +244,63 @@ def cover_keys(fp: Column, parts: int, radius: int) -> Column:
     return F.array(*keys)
 
 
-def links(classes: DataFrame, radius: int = 4, n_pivots: int = 24, hot: int = 20_000) -> DataFrame:
-    """Star links (a, b), b < a in unsigned order or not, between different fingerprints of ``classes(fp)``."""
+def drawn_keys(fps: list[Column], n: int, radius: int, miss: float, seed: int = 3) -> Column:
+    """Keys of bits drawn at random, as many as bring a pair at the full radius together but for a share ``miss``.
+
+    The number of bits grows with the logarithm of the classes, so that groups stay small.
+    """
+    total = 64 * len(fps)
+    bits = max(16, n.bit_length() - 2)
+    agree = math.prod((total - radius - i) / (total - i) for i in range(bits))
+    rng = np.random.default_rng(seed)
+    keys = []
+    for c in range(math.ceil(math.log(miss) / math.log(1 - agree))):
+        masks = [0] * len(fps)
+        for bit in rng.choice(total, bits, replace=False).tolist():
+            masks[bit // 64] |= 1 << bit % 64
+        keys.append(F.xxhash64(*(f.bitwiseAND(F.lit(m - (1 << 64) if m >= 1 << 63 else m)) for f, m in zip(fps, masks) if m), F.lit(c)))
+    return F.array(*keys)
+
+
+def links(classes: DataFrame, radius: int = 4, n_pivots: int = 24, hot: int = 20_000, miss: float = 0.01) -> DataFrame:
+    """Star links (a, b) of ids between the different fingerprints of ``classes(id, f0..)``."""
     spark = classes.sparkSession
-    parts = cover_parts(classes.count(), radius)
-    dealt = classes.select("fp", F.explode(cover_keys(F.col("fp"), parts, radius)).alias("key"))
+    names = [c for c in classes.columns if c != "id"]
+    fps = [F.col(c) for c in names]
+    n_classes = classes.count()
+    # a cover loses no link, but needs a part more than bits may differ
+    keys = cover_keys(fps[0], cover_parts(n_classes, radius), radius) if len(fps) == 1 and radius <= 6 else drawn_keys(fps, n_classes, radius, miss)
+    dealt = classes.select("id", *names, F.explode(keys).alias("key"))
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    linker = _linker(radius, n_pivots)
+    linker = _linker(radius, n_pivots, len(names))
     crowded = dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).filter(F.col("size") > hot)
     crowded = cut(crowded)  # at most classes * choices / hot rows
     if crowded.isEmpty():
         usual, tiles = dealt, None
     else:
         marked = dealt.join(crowded, "key", "left")
-        usual = marked.filter(F.col("size").isNull()).select("fp", "key")
-        tiles = _tiles(marked.filter(F.col("size").isNotNull()), radius, hot)
-    out = usual.select("key", "fp").repartition(n, "key").sortWithinPartitions("key").mapInArrow(linker, "a long, b long")
+        usual = marked.filter(F.col("size").isNull()).select("id", *names, "key")
+        tiles = _tiles(marked.filter(F.col("size").isNotNull()), names, radius)
+    out = usual.select("key", "id", *names).repartition(n, "key").sortWithinPartitions("key").mapInArrow(linker, "a long, b long")
     if tiles is not None:
         out = out.unionByName(tiles.repartition(n, "key").sortWithinPartitions("key").mapInArrow(linker, "a long, b long"))
     return out
 
 
-def _tiles(rows: DataFrame, radius: int, hot: int) -> DataFrame:
-    """Cuts crowded groups by further pivot coordinates into cells that overlap by the radius.
+def _tiles(rows: DataFrame, names: list[str], radius: int) -> DataFrame:
+    """Cuts crowded groups by pivot coordinates into cells that overlap by the radius.
 
     In a coordinate two linked rows differ by at most the radius, so with cells of
     width radius + 1 a row joins its own cell and, as a guest, the next one below.
+    Rows that lie together in every coordinate are near copies of each other and stay in
+    one tile; there nearly all pairs are links, and a forest over them is quickly whole.
     """
-    fp, width = F.col("fp"), radius + 1
-    cells = []
-    for p in (0x00000000FFFFFFFF, 0x0000FFFF0000FFFF, 0x00FF00FF00FF00FF):
-        cell = F.floor(F.bit_count(fp.bitwiseXOR(F.lit(p))) / width)
-        cells.append(F.array(cell, cell - 1))
+    width = radius + 1
     out = rows
-    for i, c in enumerate(cells):
-        out = out.withColumn(f"c{i}", F.explode(c))
-    return out.select(F.xxhash64("key", "c0", "c1", "c2").alias("key"), "fp")
+    for i, p in enumerate((0x00000000FFFFFFFF, 0x0000FFFF0000FFFF, 0x00FF00FF00FF00FF)):
+        cell = F.floor(sum((F.bit_count(F.col(c).bitwiseXOR(F.lit(p))) for c in names), F.lit(0)) / width)
+        out = out.withColumn(f"c{i}", F.explode(F.array(cell, cell - 1)))
+    return out.select(F.xxhash64("key", "c0", "c1", "c2").alias("key"), "id", *names)
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -280,13 +325,13 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, radius: int = 4, n_pivots: int = 24, hot: int = 20_000) -> DataFrame:
-    """Per row: doc_id, fingerprint (16 hexadecimal digits), component_id (least id that links reach)."""
-    prints = cut(fingerprints(docs, row_id, text, width))
-    classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
-    stars = components(links(classes.select("fp"), radius, n_pivots, hot))
-    rooted = classes.join(stars, F.col("fp") == F.col("node"), "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
-    ids = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    named = rooted.join(ids, "root").select("fp", "component_id")
-    hexed = F.lower(F.lpad(F.hex("fp"), 16, "0"))
-    return prints.join(named, "fp").select("doc_id", hexed.alias("fingerprint"), "component_id")
+def near_duplicates(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, radius: int = 4, words: int = 1, n_pivots: int = 24, hot: int = 20_000, miss: float = 0.01) -> DataFrame:
+    """Per row: doc_id, fingerprint (16 hexadecimal digits for each word), component_id (least id that links reach)."""
+    names = [f"f{k}" for k in range(words)]
+    prints = cut(fingerprints(docs, row_id, text, width, words=words))
+    # a class is known by its least id, so the least id of a component is a node of it
+    classes = cut(prints.groupBy(*names).agg(F.min("doc_id").alias("id")))
+    stars = components(links(classes.filter("id is not null").select(F.col("id").cast("long").alias("id"), *names), radius, n_pivots, hot, miss))
+    linked = classes.join(stars, F.col("id") == F.col("node"), "left").select(*names, F.coalesce("root", "id").cast(docs.schema[row_id].dataType).alias("component_id"))
+    hexed = F.concat(*(F.lower(F.lpad(F.hex(c), 16, "0")) for c in reversed(names)))
+    return prints.join(linked, names).select("doc_id", hexed.alias("fingerprint"), "component_id")
