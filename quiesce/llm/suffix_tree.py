@@ -154,11 +154,12 @@ def _before(a: np.ndarray) -> np.ndarray:
     return out
 
 
-def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different: float, depth: int, least: int, test: float) -> tuple[list[np.ndarray], np.ndarray | None, np.ndarray]:
+def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different: float, depth: int, least: int) -> tuple[list[np.ndarray], np.ndarray | None, np.ndarray]:
     """The next question (sorted keys, then columns to sum) as far as answers go, or probabilities; and counts of words.
 
     Step 2 d: counts of strings of d + 1 words, and whether this block speaks for a string.
-    Step 2 d - 1, d > 0: of contexts of d words: the test's sum, its transitions, their counts.
+    Step 2 d + 1, d > 0: of contexts of d words the test's sum, its transitions and their counts;
+    what comes back are the counts and transitions of contexts that pass.
     """
     if 0 not in answers:
         return [b.words, np.bincount(b.places[b.train], minlength=len(b.words)).astype(np.int64)], None, np.zeros(0)
@@ -184,9 +185,10 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
             where = at[first[mine]]
             term = count[mine] * (np.log(count[mine] / c[where]) - np.log(p[where]))
             to = np.searchsorted(contexts, context[where])
-            return [contexts, *(np.bincount(to, w, len(contexts)) for w in (term, np.ones(len(to)), count[mine]))], None, known
-        gain, kinds, mass = answers[2 * d + 1]
-        good = ((kinds > 0) & (gain > test * kinds))[of]
+            added = [np.bincount(to, w, len(contexts)) for w in (term, np.ones(len(to)), count[mine])]
+            return [contexts, *(a.astype(t) for a, t in zip(added, ASKED[1]))], None, known
+        mass, kinds = (x.astype(float) for x in answers[2 * d + 1])  # zero where the test failed
+        good = (kinds > 0)[of]
         size, low, seen = c[at_live], p[at_live], n[at_live]
         rest = size - mass[of] + DISCOUNT * kinds[of]
         p[at_live] = np.where(good, (np.maximum(seen - DISCOUNT, 0) + rest * low) / size, low)
@@ -197,6 +199,10 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
 
 # ---- questions and answers
 
+#: Columns of a question, and of its answer, by the step's last bit.
+ASKED = ((np.int64,), (np.float32, np.int64, np.int64))
+TOLD = ((np.int64, np.uint8), (np.int64, np.int64))
+
 
 def questions(block: int, question: list[np.ndarray], buckets: int) -> dict[str, list]:
     """One row for each bucket that keys fall in; a bucket is a range of keys."""
@@ -230,17 +236,24 @@ def sums(keys: list[np.ndarray], values: list[list[np.ndarray]]) -> tuple[list[l
     return [list(x) for x in zip(*columns)], int((added[0] > 0).sum())
 
 
-def _answer(step: int):
-    kind = np.int64 if step % 2 == 0 else np.float64
+def passing(term: np.ndarray, kinds: np.ndarray, mass: np.ndarray, test: float) -> list[np.ndarray]:
+    """The divergence test: counts and transitions of contexts that pass it, else zero."""
+    good = (kinds > 0) & (term > test * kinds)
+    return [np.where(good, mass, 0), np.where(good, kinds, 0)]
+
 
+def _answer(step: int, test: float):
     def run(table: pa.Table) -> pa.Table:
         blocks = table.column("block").to_numpy()
         order = np.argsort(blocks, kind="stable")
         keys = [unpacked_keys(table.column("keys")[i].as_py()) for i in order.tolist()]
-        values = [[unpacked(v, kind) for v in table.column("values")[i].as_py()] for i in order.tolist()]
+        values = [[unpacked(v, kind) for v, kind in zip(table.column("values")[i].as_py(), ASKED[step % 2])] for i in order.tolist()]
         told, different = sums(keys, values)
         bucket = table.column("bucket")[0].as_py()
-        data = [[packed(c.astype(np.int64 if step % 2 == 0 else np.float64)) for c in t[:-1]] + ([packed(np.packbits(t[-1]))] if step % 2 == 0 else []) for t in told]
+        if step % 2:
+            data = [[packed(c.astype(np.int64)) for c in passing(*t[:3], test)] for t in told]
+        else:
+            data = [[packed(t[0].astype(np.int64)), packed(np.packbits(t[1]))] for t in told]
         release()
         n = len(order)
         return pa.Table.from_arrays(
@@ -263,12 +276,12 @@ def _told(right: pa.Table) -> dict[int, list[np.ndarray]]:
                     n = unpacked(data[0], np.int64)
                     parts.append([n, np.unpackbits(unpacked(data[1], np.uint8))[: len(n)]])
                 else:
-                    parts.append([unpacked(c, np.float64) for c in data])
+                    parts.append([unpacked(c, np.int64) for c in data])
         out[step] = [np.concatenate(x) for x in zip(*parts)]
     return out
 
 
-_NONE = {0: [np.zeros(0, np.int64), np.zeros(0, np.uint8)], 1: [np.zeros(0)] * 3}
+_NONE = [[np.zeros(0, t) for t in kinds] for kinds in TOLD]
 _QUESTION = "bucket int, block long, keys binary, values array<binary>"
 _ANSWER = "block long, step int, bucket int, different long, data array<binary>"
 
@@ -298,7 +311,7 @@ def _asker(step: int, buckets: int, settings: tuple):
 
 
 def score_texts(
-    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 3, least: int = 2, test: float = 1.0, block_bytes: int = 1 << 23
+    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 2, least: int = 2, test: float = 1.0, block_bytes: int = 1 << 23
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10)."""
     if least < 2:
@@ -316,12 +329,12 @@ def score_texts(
     different = 0
     steps = (0, *range(2, 2 * depth + 2))
     for step in steps:
-        ask = _asker(step, buckets, (total, different, depth, least, test))
+        ask = _asker(step, buckets, (total, different, depth, least))
         if answers is None:
             asked = blocks.groupBy("block").applyInArrow(lambda left: ask(left, _NOTHING), _QUESTION)
         else:
             asked = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(ask, _QUESTION)
-        told = stash(asked.groupBy("bucket").applyInArrow(_answer(step), _ANSWER))
+        told = stash(asked.groupBy("bucket").applyInArrow(_answer(step, test), _ANSWER))
         if answers is None:
             different = told.agg(F.coalesce(F.sum("different"), F.lit(0))).first()[0]
         answers = told if answers is None else answers.unionByName(told)
@@ -330,7 +343,7 @@ def score_texts(
         if not left.num_rows:
             return empty.slice(0, 0)
         b, told = _met(left, right, steps[-1] + 1)
-        _, p, known = walk(b, told, total, different, depth, least, test)
+        _, p, known = walk(b, told, total, different, depth, least)
         base = np.log10((known + 1) / (total + different + 1))
         ids, held = left.column("ids")[0].values, left.column("held")[0].values
         columns = [ids, held, pa.array(b.sizes), pa.array(np.add.reduceat((known > 0).astype(np.int64), b.starts)), pa.array(np.full(len(ids), total, np.int64)), pa.array(np.add.reduceat(base, b.starts)), pa.array(np.add.reduceat(np.log10(p), b.starts))]

@@ -236,7 +236,7 @@ def test_suffix_tree(spark, empty):
     phrases = [f"a{i} b{i % 4} c{i} the d{i % 3}" for i in range(9)]
     texts = EDGE + [" ".join(rng.choice(phrases) for _ in range(12)) for _ in range(40)] + [prose(5000, 99)]
     docs = make(spark, texts).unionByName(make(spark, [texts[12]], 12)).withColumns({c: F.lit("x") for c in ("block", "held", "words", "score", "_text")})
-    rows = score_texts(docs, block_bytes=900).collect()
+    rows = score_texts(docs, depth=3, block_bytes=900).collect()
     got = {r.doc_id: r for r in rows}
     assert len(rows) == len(texts) + 1 and len({r.score for r in rows if r.doc_id == 12}) == 1  # a repeated row counts and is scored twice
     tokens = [(t or "").encode().lower().split() + [None] for t in [*texts, texts[12]]]
