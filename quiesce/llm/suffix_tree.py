@@ -44,7 +44,7 @@ from .common import blocks_for, crc_mod, stash
 
 END = b"\n"  # occurs in no word
 #: Different keys that a bucket holds, about.
-BUCKET = 1 << 21
+BUCKET = 1 << 20
 DISCOUNT = 0.75
 _BLOCK = "block long, ids array<{kind}>, held array<boolean>, sizes array<int>, words binary, places binary"
 
@@ -311,7 +311,7 @@ def _asker(step: int, buckets: int, settings: tuple):
 
 
 def score_texts(
-    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 2, least: int = 2, test: float = 1.0, block_bytes: int = 1 << 23
+    docs: DataFrame, row_id: str = "doc_id", text: str = "text", held_out: tuple[int, int] = (7, 2), depth: int = 2, least: int = 2, test: float = 1.0, block_bytes: int = 1 << 22
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10)."""
     if least < 2:
