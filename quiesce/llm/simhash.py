@@ -11,9 +11,10 @@
    number of classes, so that groups stay small at every size.
 4. *Pivot tables.* Each task holds the Hamming distances from its fingerprints to
    many reference fingerprints. By the triangle inequality two fingerprints within
-   ``radius`` differ by at most ``radius`` in every coordinate. Inside a group rows
-   are sorted by the coordinate that spreads most, so only a window of partners is
-   looked at; the other coordinates discard pairs; survivors are verified exactly.
+   ``radius`` differ by at most ``radius`` in every coordinate. In a group of more
+   than 64 rows these are sorted by the coordinate that spreads most, so only a window
+   of partners is looked at; the other coordinates discard pairs; survivors are
+   verified exactly.
 5. *Components.* A group reports a spanning forest of its links, never all pairs.
    Stars are then contracted until no label changes.
 
@@ -110,65 +111,43 @@ def pivot_table(fps: np.ndarray, refs: np.ndarray) -> np.ndarray:
     return np.stack([_apart(fps, r[None]) for r in refs], axis=1)
 
 
-def _near_pairs(fps: np.ndarray, table: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs within the radius, some at a time."""
+def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """A star forest (member, root), as places, that spans the links among different fingerprints.
+
+    Components grow from one fingerprint at a time, which looks at those that no component
+    holds yet: in the window of the coordinate that spreads most, less what other
+    coordinates discard, then by distance. Crowded groups are used up in a few looks.
+    """
+    n, table = len(fps), pivot_table(fps, refs)
     lead = int(np.argmax(table.var(axis=0)))
     order = np.argsort(table[:, lead], kind="stable")
-    f, t = fps[order], table[order]
-    last = np.searchsorted(t[:, lead], t[:, lead] + radius, side="right")
-    n = len(f)
-    at = 0
-    while at < n - 1:
-        width = last[at : min(n, at + 4096)] - np.arange(at, min(n, at + 4096)) - 1
-        rows = max(1, int(np.searchsorted(np.cumsum(width), 1 << 20, side="right")))
-        width = width[:rows]
-        i = np.repeat(np.arange(at, at + len(width)), width)
-        j = np.arange(len(i)) - np.repeat(np.cumsum(width) - width, width) + i + 1
-        for k in range(t.shape[1]):
-            if k == lead or not len(i):
-                continue
-            ok = np.abs(t[i, k] - t[j, k]) <= radius
-            i, j = i[ok], j[ok]
-            if k >= 4 and len(i) < 4096:
-                break
-        ok = _apart(f[i], f[j]) <= radius
-        if ok.any():
-            yield order[i[ok]], order[j[ok]]
-        at += len(width)
-
-
-class _Forest:
-    def __init__(self, n: int) -> None:
-        self.up = list(range(n))
-
-    def root(self, i: int) -> int:
-        up = self.up
-        while up[i] != i:
-            up[i] = up[up[i]]
-            i = up[i]
-        return i
-
-    def join(self, i: int, j: int) -> None:
-        a, b = self.root(i), self.root(j)
-        if a != b:
-            self.up[max(a, b)] = min(a, b)
-
-
-def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """A star forest (member, root), as places, that spans the links among different fingerprints."""
-    forest = _Forest(len(fps))
-    labels = np.arange(len(fps))
-    for i, j in _near_pairs(fps, pivot_table(fps, refs), radius):
-        for at in range(0, len(i), 4096):
-            a, b = i[at : at + 4096], j[at : at + 4096]
-            apart = labels[a] != labels[b]  # most pairs of a crowded group are connected already
-            if apart.any():
-                for x, y in zip(a[apart].tolist(), b[apart].tolist()):
-                    forest.join(x, y)
-                labels = np.fromiter(map(forest.root, range(len(fps))), np.int64, len(fps))
-    roots = np.array([forest.root(i) for i in range(len(fps))])
-    member = np.flatnonzero(roots != np.arange(len(fps)))
-    return member, roots[member]
+    f, t, at = fps[order], table[order], table[order, lead]
+    free, rest = np.ones(n, bool), np.arange(n)
+    member, roots = [], []
+    for start in range(n):
+        if not free[start]:
+            continue
+        free[start] = False
+        frontier = [start]
+        while frontier:
+            x = frontier.pop()
+            low, high = np.searchsorted(at[rest], (at[x] - radius, at[x] + radius + 1))
+            near = rest[low:high]
+            for k in range(t.shape[1]):
+                if len(near) < 64:
+                    break
+                if k != lead:
+                    near = near[np.abs(t[near, k] - t[x, k]) <= radius]
+            near = near[free[near] & (_apart(f[near], f[x]) <= radius)]
+            if len(near):
+                free[near] = False
+                rest = rest[free[rest]]
+                member.append(near)
+                roots.append(np.full(len(near), start))
+                frontier += near.tolist()
+    if not member:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    return order[np.concatenate(member)], order[np.concatenate(roots)]
 
 
 def _groups(keys: np.ndarray, ids: np.ndarray, fps: np.ndarray, refs: np.ndarray, radius: int) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -262,7 +241,7 @@ def drawn_keys(fps: list[Column], n: int, radius: int, miss: float, seed: int =
     return F.array(*keys)
 
 
-def links(classes: DataFrame, radius: int = 4, n_pivots: int = 24, hot: int = 20_000, miss: float = 0.01) -> DataFrame:
+def links(classes: DataFrame, radius: int = 4, n_pivots: int = 24, hot: int = 100_000, miss: float = 0.01) -> DataFrame:
     """Star links (a, b) of ids between the different fingerprints of ``classes(id, f0..)``."""
     spark = classes.sparkSession
     names = [c for c in classes.columns if c != "id"]
@@ -325,7 +304,7 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, radius: int = 4, words: int = 1, n_pivots: int = 24, hot: int = 20_000, miss: float = 0.01) -> DataFrame:
+def near_duplicates(docs: DataFrame, row_id: str = "doc_id", text: str = "text", width: int = 4, radius: int = 4, words: int = 1, n_pivots: int = 24, hot: int = 100_000, miss: float = 0.01) -> DataFrame:
     """Per row: doc_id, fingerprint (16 hexadecimal digits for each word), component_id (least id that links reach)."""
     names = [f"f{k}" for k in range(words)]
     prints = cut(fingerprints(docs, row_id, text, width, words=words))
