@@ -53,7 +53,7 @@ _km("km_moves_blocks", T.lineitem_started, S.POINTS["started"], 4, 4, 4, layout=
 for _d in (4, 8, 16, 32, 64):
     _km(f"km_embeddings_d{_d}", lambda s, f, d=_d: T.embeddings(s, f, d, 4), S.embedding_points(_d), _d, 4, 3, layout="localized_blocks")
 for _k in (2, 4, 8, 16, 32):
-    _km(f"km_k_sweep_{_k}", lambda s, f, k=_k: T.lineitem_started(s, f, k), S.POINTS["started"], 4, _k, 3, layout="separate_blocks")
+    _km(f"km_k_sweep_{_k}", lambda s, f, k=_k: T.lineitem_started(s, f, k), S.POINTS["started"], 4, _k, 3, layout="separate_blocks", empty="drop")
 _km("km_events_features", lambda s, f: T.event_users(s, f, 3), S.POINTS["events"], 4, 3, 3)
 _km("km_documents_features", lambda s, f: T.document_shape(s, f, 3), S.POINTS["documents"], 4, 3, 3)
 _km("km_customer_rfm", lambda s, f: T.customer_activity(s, f, 3), S.POINTS["customers"], 3, 3, 3)
