@@ -56,6 +56,7 @@ _WORD = r"\p{L}\p{M}"
 _BYTE = r"^0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])$"
 SPAN = "array<struct<kind:string,start:int,end:int,m:string>>"
 _STEP = 128
+_CHUNK = 1024
 
 
 def _luhn(digits: Column) -> Column:
@@ -152,7 +153,7 @@ def _head_key(word: Column, prefix: int) -> Column:
 
 
 def _keys(terms: Column, prefix: int) -> Column:
-    return F.concat(F.transform(terms, _word_key), F.array_distinct(F.transform(terms, lambda w: _head_key(w, prefix))))
+    return _let(terms, lambda ws: F.concat(F.transform(ws, _word_key), F.array_distinct(F.transform(ws, lambda w: _head_key(w, prefix)))))
 
 
 def disclosing(texts: DataFrame, private: DataFrame, alpha: float, support: int, level: float, prefix: int) -> DataFrame:
@@ -227,6 +228,15 @@ def protected(rows: DataFrame, alpha: float = 0.75, support: int = 2, level: flo
     return clean.unionByName(hidden.withColumn("terms", apart))
 
 
+def _between(chunks: Column, start: Column, end: Column) -> Column:
+    """The text from start to end, by code points, out of chunks of equal size."""
+    first, final = F.floor(start / _CHUNK).cast("int"), F.floor(end / _CHUNK).cast("int")
+    piece = lambda i: F.coalesce(F.get(chunks, i), F.lit(""))
+    whole = F.array_join(F.slice(chunks, first + 2, F.greatest(final - first - 1, F.lit(0))), "")
+    across = F.concat(F.substring(piece(first), start % _CHUNK + 1, F.lit(_CHUNK)), whole, F.substring(piece(final), F.lit(1), end % _CHUNK))
+    return F.when(first == final, F.substring(piece(first), start % _CHUNK + 1, end - start)).otherwise(across)
+
+
 def _listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
@@ -243,22 +253,24 @@ def sanitise(docs: DataFrame, text: str = "text", **measure: float) -> DataFrame
     """The input columns, personal data replaced by its kind in brackets and disclosing terms by their heads."""
     carried = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
     rows = protected(docs.select(carried.alias("row"), text_or_empty(text).alias("t")), **measure)
-    t = F.col("t")
-    spans = F.array_sort(F.concat(F.transform("base", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))), F.transform("terms", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))))
-
-    def put(s: Column) -> Column:
-        word = F.lower(F.substring(t, s["start"] + 1, s["end"] - s["start"]))
-        general = F.get(F.filter("words", lambda x: x["w"] == word), F.lit(0))["put"]
-        return F.when(s["kind"] == "term", F.coalesce(general, F.lit(""))).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))
-
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-    done = F.aggregate(
-        spans,
-        start,
-        lambda acc, s: F.when(s["start"] < acc["at"], F.struct(F.greatest(acc["at"], s["end"]).alias("at"), acc["out"].alias("out"))).otherwise(
-            F.struct(s["end"].alias("at"), F.concat(acc["out"], F.substring(t, acc["at"] + 1, s["start"] - acc["at"]), put(s)).alias("out"))
-        ),
-    )
-    rows = rows.withColumn("done", F.when(F.size("base") > 0, done))
-    changed = F.when(F.col("done").isNull(), F.col(f"row.`{text}`")).otherwise(F.concat(F.col("done.out"), F.expr("substring(t, done.at + 1)")))
+    # base spans of different kinds may overlap: those that do become one, of the first one's kind
+    ordered = F.array_sort(F.transform("base", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    last = lambda acc: F.get(acc, F.size(acc) - 1)
+    joined = lambda acc, s: F.concat(F.slice(acc, F.lit(1), F.size(acc) - 1), F.array(F.struct(last(acc)["start"].alias("start"), F.greatest(last(acc)["end"], s["end"]).alias("end"), last(acc)["kind"].alias("kind"))))
+    merged = F.aggregate(ordered, F.array().cast("array<struct<start:int,end:int,kind:string>>"), lambda acc, s: F.when(F.coalesce(s["start"] < last(acc)["end"], F.lit(False)), joined(acc, s)).otherwise(F.concat(acc, F.array(s))))
+    spans = F.array_sort(F.concat(merged, F.transform("terms", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))))
+
+    def rebuilt(chunks: Column, spans: Column, heads: Column) -> Column:
+        def put(s: Column) -> Column:
+            general = heads[F.lower(_between(chunks, s["start"], s["end"]))]
+            return F.when(s["kind"] == "term", F.coalesce(general, F.lit(""))).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))
+
+        before = lambda i: F.coalesce(F.get(spans, i - 1)["end"], F.lit(0))
+        pieces = F.transform(spans, lambda s, i: F.concat(_between(chunks, before(i), s["start"]), put(s)))
+        return F.concat(F.array_join(pieces, ""), _between(chunks, before(F.size(spans)), F.size(chunks) * _CHUNK))
+
+    # chunks of code points, so that no place of a long text is counted from its start
+    chunks = F.regexp_extract_all(F.col("t"), F.lit(f"(?s).{{1,{_CHUNK}}}"), F.lit(0))
+    done = _let(chunks, lambda c: _let(spans, lambda s: _let(F.map_from_entries("words"), lambda w: rebuilt(c, s, w))))
+    changed = F.when(F.size("base") > 0, done).otherwise(F.col(f"row.`{text}`"))
     return rows.select(*(changed.alias(c) if c == text else F.col(f"row.`{c}`").alias(c) for c in docs.columns))
