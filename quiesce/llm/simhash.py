@@ -15,8 +15,9 @@
    than 64 rows these are sorted by the coordinate that spreads most, so only a window
    of partners is looked at; the other coordinates discard pairs; survivors are
    verified exactly.
-5. *Components.* A group reports a spanning forest of its links, never all pairs.
-   Stars are then contracted until no label changes.
+5. *Components.* A task reports a spanning forest of the links in each chunk of its groups,
+   rooted at least ids, never all pairs. Blocks of links shrink to forests in the same
+   way; stars are then contracted until no label changes.
 
 Groups over ``hot`` rows are cut by position along the spread coordinate into
 tiles that overlap by the window, so that no task gets an unbounded group.
@@ -45,7 +46,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import blocks_for, cut
 
 _CHUNK = 1 << 16
 
@@ -150,6 +151,34 @@ def _links_of_group(fps: np.ndarray, refs: np.ndarray, radius: int) -> tuple[np.
     return order[np.concatenate(member)], order[np.concatenate(roots)]
 
 
+def _forest(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    """The links among ids a and b as stars (id, least id of its component), a row for each id but the least ones."""
+    ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y = at[: len(a)], at[len(a) :]
+    root = np.arange(len(ids))
+    while not np.array_equal(root[x], root[y]):
+        low = np.minimum(root[x], root[y])
+        np.minimum.at(root, root[x], low)
+        np.minimum.at(root, root[y], low)
+        while not np.array_equal(root, up := root[root]):
+            root = up
+    far = np.flatnonzero(root != np.arange(len(ids)))
+    return pa.RecordBatch.from_arrays([pa.array(ids[far]), pa.array(ids[root[far]])], ["a", "b"])
+
+
+def _shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Forests of blocks of links (a, b)."""
+    held, n = [], 0
+    for batch in batches:
+        held.append((batch.column(0).to_numpy(), batch.column(1).to_numpy()))
+        n += batch.num_rows
+        if n >= _CHUNK:
+            yield _forest(*(np.concatenate(x) for x in zip(*held)))
+            held, n = [], 0
+    if n:
+        yield _forest(*(np.concatenate(x) for x in zip(*held)))
+
+
 def _groups(keys: np.ndarray, ids: np.ndarray, fps: np.ndarray, refs: np.ndarray, radius: int) -> list[tuple[np.ndarray, np.ndarray]]:
     """Links, as ids, among whole groups of a chunk that is sorted by key."""
     cuts = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1], [True])))
@@ -187,8 +216,8 @@ def _linker(radius: int, n_pivots: int, words: int):
         fps = np.zeros((0, words), np.uint64)
 
         def out(found: list) -> Iterator[pa.RecordBatch]:
-            for a, b in found:
-                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+            if found:
+                yield _forest(*(np.concatenate(x) for x in zip(*found)))
 
         for b in batches:
             keys, ids = (np.concatenate([x, b.column(c).to_numpy()]) for c, x in ((0, keys), (1, ids)))
@@ -284,7 +313,9 @@ def _tiles(rows: DataFrame, names: list[str], radius: int) -> DataFrame:
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
     """node, root (least node of its component) for the nodes of ``edges(a, b)``, by star contraction."""
-    now = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
+    now = cut(edges.select(F.greatest("a", "b").cast("long").alias("a"), F.least("a", "b").cast("long").alias("b")).filter("a <> b").distinct())
+    # links that repeat each other go where blocks of them are read, before any join
+    now = cut(now.coalesce(blocks_for(now.count(), _CHUNK)).mapInArrow(_shrink, "a long, b long"))
     before = None
     for _ in range(most):
         # every node points its larger neighbours, then its smaller ones, to its least neighbour

@@ -593,3 +593,25 @@ def test_revisits(spark):
     for x in found:
         earlier = [(b[2], b[0]) for b in burst if b[3] == "response" and b[2] < x.ts]
         assert (x.original_ts, x.original_id) == (max(earlier) if earlier else (None, None))
+
+
+def test_simhash_forests_against_plain_union():
+    import numpy as np
+
+    from quiesce.llm.simhash import _forest
+
+    rng = np.random.default_rng(5)
+    for _ in range(100):
+        ids = rng.integers(-(10**9), 10**9, rng.integers(2, 60))
+        a, b = rng.choice(ids, 50), rng.choice(ids, 50)
+        least = {i: i for i in ids.tolist()}
+        changed = True
+        while changed:
+            changed = False
+            for x, y in zip(a.tolist(), b.tolist()):
+                low = min(least[x], least[y])
+                changed |= least[x] != low or least[y] != low
+                least[x] = least[y] = low
+        met = set(a.tolist()) | set(b.tolist())
+        got = _forest(a, b)
+        assert dict(zip(got.column(0).to_pylist(), got.column(1).to_pylist())) == {i: least[i] for i in met if least[i] != i}
