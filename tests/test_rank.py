@@ -105,6 +105,18 @@ def test_expansion_is_refused_beyond_the_limit(tri, monkeypatch):
         R.rank(tri, dangling="expand")
 
 
+@pytest.mark.parametrize("variant", ["edge_delta"])
+def test_presets_group_the_added_edges_beyond_the_limit(spark, monkeypatch, variant):
+    """More added edges than rows are allowed: none is left out, the ranks are those of all of them."""
+    e = spark.createDataFrame([(1, 2), (1, 3), (2, 3), (2, 5), (4, 6), (4, 1)], "u long, v long")
+    options = {"variant": variant, "stop": Stop.max_iter(3), "max_sweeps": 3}
+    want = R.rank(e, **options)
+    assert want.state["edges"].count() == 6 + 3 * 5
+    monkeypatch.setattr(R, "EXPANDED_LIMIT", 14)
+    got = R.rank(e, **options)
+    assert got.state["edges"].count() == 6 and ranks(got) == pytest.approx(ranks(want), abs=1e-12)
+
+
 def test_plain_assignment_breaks_the_invariant():
     """Assigning instead of adding forgets earlier in-edges."""
     pr, old = dict.fromkeys((1, 2, 3), 0.05), {}
