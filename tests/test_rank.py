@@ -105,7 +105,7 @@ def test_expansion_is_refused_beyond_the_limit(tri, monkeypatch):
         R.rank(tri, dangling="expand")
 
 
-@pytest.mark.parametrize("variant", ["edge_delta"])
+@pytest.mark.parametrize("variant", ["expanded", "edge_delta", "pull_local_shards", "adjacency"])
 def test_presets_group_the_added_edges_beyond_the_limit(spark, monkeypatch, variant):
     """More added edges than rows are allowed: none is left out, the ranks are those of all of them."""
     e = spark.createDataFrame([(1, 2), (1, 3), (2, 3), (2, 5), (4, 6), (4, 1)], "u long, v long")
