@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from quiesce import queries as Q
 from quiesce.operators import kmeans as K
 from quiesce.operators import programs as P
 from quiesce.operators import rank as R
@@ -48,6 +49,24 @@ def test_derived_programs_run(spark):
     assert L.kmeans_options(k) == {"layout": "localized_blocks", "exchange": "indirect", "sweeps_per_exchange": 1, "shards": 2, "split": "value"}
 
 
+def test_derived_clusterings_leave_nothing_in_memory(spark, monkeypatch):
+    """A run's tables are released before the next run, so that memory does not grow with the number of plans."""
+    rows = [(str(i), 1000 * (i % 4) + i // 4, i % 4, (i + (i % 7 == 0)) % 4) for i in range(80)]
+    p = spark.createDataFrame(rows, "pid string, x0 long, truth int, start int")
+    monkeypatch.setattr(Q.T, "anchored", lambda spark, sf_dir: p)
+    held, run, most = spark.sparkContext._jsc.getPersistentRDDs, Q.K.kmeans, []
+    before = set(held())
+
+    def watched(*args, **options):
+        most.append(len(set(held()) - before))
+        return run(*args, **options)
+
+    monkeypatch.setattr(Q.K, "kmeans", watched)
+    got = Q.derived_kmeans(spark, "")
+    assert len(most) == 15 and set(most) == {0} and set(held()) <= before
+    assert sorted((r.m, r.size, r.c0) for r in got.collect()) == [(m, 20, 1000 * m + 9.5) for m in range(4)]
+
+
 def test_diagonal_chain():
     s = L.diagonal_product("padded")
     assert L.product_layout(s) == "padded" and s.order == ("k", "i") and len(s.steps) == 5
