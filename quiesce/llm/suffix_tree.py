@@ -29,7 +29,6 @@ columns are ignored, whatever their names; an empty table gives an empty result.
 
 from __future__ import annotations
 
-import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -40,7 +39,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_for, crc_mod, stash
+from .common import blocks_for, crc_mod, release, stash
 
 END = b"\n"  # occurs in no word
 #: Different keys that a bucket holds, about.
@@ -49,15 +48,6 @@ DISCOUNT = 0.75
 _BLOCK = "block long, ids array<{kind}>, held array<boolean>, sizes array<int>, words binary, places binary"
 
 
-def release() -> None:
-    """Gives freed memory back, so that two Python workers fit beside the JVM."""
-    pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL("libc.so.6").malloc_trim(0)
-    except (OSError, AttributeError):
-        pass  # another C library
-
-
 def tokens(text: str | None) -> list[bytes]:
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     words.append(END)
@@ -94,6 +84,18 @@ def extended(context: np.ndarray, word: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
+def distinct(a: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The different values in order, where any one of each is, and each value's place among them; by an unstable sort, the fast one."""
+    order = np.argsort(a)
+    new = np.empty(len(a), bool)
+    new[:1] = True
+    ordered = a[order]
+    np.not_equal(ordered[1:], ordered[:-1], out=new[1:])
+    place = np.empty(len(a), np.int64)
+    place[order] = np.cumsum(new) - 1
+    return ordered[new], order[new], place
+
+
 # ---- blocks
 
 
@@ -171,7 +173,7 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
         live = kept & (b.inside >= d) & (c >= least)
         at = np.flatnonzero(live & (n >= 2))
         key = extended(context, b.word)
-        strings, first, place = np.unique(key[at], return_index=True, return_inverse=True)
+        strings, some, place = distinct(key[at])
         if 2 * d not in answers:
             return [strings, np.bincount(place, b.train[at], len(strings)).astype(np.int64)], None, known
         count, speaks = answers[2 * d][0].astype(float), answers[2 * d][1].astype(bool)
@@ -179,10 +181,10 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
         n = np.zeros(len(p))
         n[at] = count[place]
         at_live = np.flatnonzero(live)
-        contexts, of = np.unique(context[at_live], return_inverse=True)
+        contexts, _, of = distinct(context[at_live])
         if 2 * d + 1 not in answers:
             mine = np.flatnonzero(speaks & (count > 0))
-            where = at[first[mine]]
+            where = at[some[mine]]
             term = count[mine] * (np.log(count[mine] / c[where]) - np.log(p[where]))
             to = np.searchsorted(contexts, context[where])
             added = [np.bincount(to, w, len(contexts)) for w in (term, np.ones(len(to)), count[mine])]

@@ -615,3 +615,47 @@ def test_simhash_forests_against_plain_union():
         met = set(a.tolist()) | set(b.tolist())
         got = _forest(a, b)
         assert dict(zip(got.column(0).to_pylist(), got.column(1).to_pylist())) == {i: least[i] for i in met if least[i] != i}
+
+
+def test_different_values_are_found_by_any_sort():
+    from quiesce.llm import suffix_tree
+
+    rng = np.random.default_rng(4)
+    for n in (0, 1, 5000):
+        a = rng.integers(0, 700, n).astype(np.uint64) << np.uint64(54)
+        values, some, place = suffix_tree.distinct(a)
+        assert values.tolist() == sorted(set(a.tolist()))
+        assert (a[some] == values).all() and (values[place] == a).all()
+
+
+def test_the_classifier_reads_its_rows_where_they_lie(spark, monkeypatch):
+    """The driver holds the fitted rows in the narrow types that the tasks sent, and learns the same from them."""
+    from quiesce.llm import quality
+
+    seen, learn = [], quality.FactorisationMachine.fit
+
+    def fit(self, rows, labels, **options):
+        seen.extend(rows)
+        return learn(self, rows, labels, **options)
+
+    monkeypatch.setattr(quality.FactorisationMachine, "fit", fit)
+    docs = spark.createDataFrame([(i, f"word{i} plain text {'junk ' * (i % 2) * 5}") for i in range(30)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(30)], "doc_id long, quality int")
+    machine = quality.fit(docs, labels, "doc_id", "text", "quality", 5, 100)
+    assert seen and {(f.dtype.str, x.dtype.str) for f, x in seen} == {("<u2", "<f4")}
+    y = np.array([r for r in labels.filter("doc_id >= 0").select("quality").toPandas()["quality"]], float)[: len(seen)]
+    wide = [(f.astype(np.int64), x.astype(float)) for f, x in seen]
+    a, b = (learn(quality.FactorisationMachine(), rows, y) for rows in (seen, wide))
+    assert machine.b != 0 and (a.w == b.w).all() and (a.v == b.v).all() and a.b == b.b
+
+
+def test_a_stashed_table_keeps_no_shuffle(spark):
+    from quiesce.llm import common
+
+    shuffles = spark._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses()
+    df = spark.range(1000).groupBy((F.col("id") % 7).alias("k")).agg(F.count(F.lit(1)).alias("n"))
+    before, setting = shuffles.size(), spark.conf.get(common._CLEAN)
+    assert sorted(map(tuple, common.stash(df).collect())) == sorted(map(tuple, df.collect()))
+    kept = shuffles.size()
+    common.stash(df)
+    assert shuffles.size() == kept == before + 1 and spark.conf.get(common._CLEAN) == setting  # one of df.collect()
