@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_mod
+from .common import crc_mod, release
 
 BITS = 16
 RANK = 8
@@ -129,7 +129,7 @@ class FactorisationMachine:
         gw, gv, gb = np.full(self.w.shape, 1e-4), np.full(self.v.shape, 1e-4), 1e-4
         for _ in range(passes):
             for i in rng.permutation(len(rows)):
-                f, x = rows[i]
+                f, x = rows[i][0].astype(np.int64), rows[i][1].astype(float)
                 vx = self.v[f] * x[:, None]
                 s = vx.sum(axis=0)
                 z = self.b + float(self.w[f] @ x) + 0.5 * float(s @ s - (vx * vx).sum())
@@ -163,8 +163,12 @@ def fit(docs: DataFrame, labels: DataFrame, row_id: str, text: str, label: str,
             )
 
     got = rows.mapInArrow(run, "o long, y double, f binary, x binary").toArrow().sort_by([("o", "ascending"), ("y", "ascending"), ("f", "ascending")])
-    pairs = [(np.frombuffer(f, "<u2").astype(np.int64), np.frombuffer(x, "<f4").astype(float)) for f, x in zip(got.column("f").to_pylist(), got.column("x").to_pylist())]
-    return FactorisationMachine().fit(pairs, got.column("y").to_numpy())
+    # read where they lie, since the driver holds all of them at once
+    pairs = [(np.frombuffer(f.as_buffer(), "<u2"), np.frombuffer(x.as_buffer(), "<f4")) for f, x in zip(got.column("f"), got.column("x"))]
+    machine = FactorisationMachine().fit(pairs, got.column("y").to_numpy())
+    del got, pairs
+    release()
+    return machine
 
 
 def _scorer(docs: DataFrame, labels: DataFrame, row_id: str, text: str, label: str, held_out: int, cut: float, sample: int, passed: list) -> DataFrame:
