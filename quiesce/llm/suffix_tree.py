@@ -1,7 +1,7 @@
 """Language-model scores by a probabilistic suffix tree over words.
 
 *Symbols* are the contract's tokens: words in ASCII lower case, and the end of a text.
-They are known by their XXH64 (of V different words about V * V / 2**65 pairs collide).
+They are known by the XXH64 of the word and a space (of V different words about V * V / 2**65 pairs collide).
 
 *Tree.* The root is the base: (c + 1) / (N + V + 1). A context of d words is looked at
 if its suffix of d - 1 words is in the tree and it occurs at least ``least`` times in
@@ -49,22 +49,44 @@ _BLOCK = "block long, ids array<{kind}>, held array<boolean>, sizes array<int>,
 
 
 def tokens(text: str | None) -> list[bytes]:
+    """The meaning of a text; blocks find the same by arrays (``numbered_tokens``)."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     words.append(END)
     return words
 
 
+#: Lower case of A-Z, and a space for each blank, so that END stays free to end texts.
+_PLAIN = bytes(32 if i == 32 or 9 <= i <= 13 else i + 32 if 65 <= i <= 90 else i for i in range(256))
+
+
+def numbered_tokens(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Different tokens in order of appearance, words with a space behind them; the number of each token of all texts; tokens for each text."""
+    data = np.frombuffer(b"".join(x for t in texts for x in (t.translate(_PLAIN), b" ", END)), np.uint8)
+    idle = data == 32
+    ends = idle | (data == END[0])  # of tokens: the blank after a word, or an END
+    idle[1:] &= ends[:-1]  # only a blank after a blank or at the start of a text, the first one's too
+    data, ends = data[~idle], ends[~idle]
+    last = np.flatnonzero(ends)
+    offsets = np.concatenate(([0], last + 1))
+    encoded = pa.Array.from_buffers(pa.large_binary(), len(last), [None, pa.py_buffer(offsets), pa.py_buffer(data)]).dictionary_encode()
+    sizes = np.diff(np.flatnonzero(data[last] == END[0]), prepend=-1)
+    return encoded.dictionary.to_numpy(zero_copy_only=False), encoded.indices.to_numpy(), sizes
+
+
 # ---- arrays as bytes
 
+#: One for each process, whose tasks run in one thread.
+_COMPRESSOR, _DECOMPRESSOR = zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
+
 
 def packed(a: np.ndarray) -> bytes:
     """Bytes of equal weight side by side, which is what makes counts and differences compressible."""
     planes = np.ascontiguousarray(a).view(np.uint8).reshape(len(a), a.dtype.itemsize).T
-    return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
+    return _COMPRESSOR.compress(planes.tobytes())
 
 
 def unpacked(data: bytes, kind: type) -> np.ndarray:
-    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8)
+    planes = np.frombuffer(_DECOMPRESSOR.decompress(data), np.uint8)
     size = np.dtype(kind).itemsize
     return np.ascontiguousarray(planes.reshape(size, len(planes) // size).T).view(kind).ravel()
 
@@ -85,11 +107,21 @@ def extended(context: np.ndarray, word: np.ndarray) -> np.ndarray:
 
 
 def distinct(a: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The different values in order, where any one of each is, and each value's place among them; by an unstable sort, the fast one."""
-    order = np.argsort(a)
+    """The different values in order, where any one of each is, and each value's place among them.
+
+    Sorts the upper bits with places in the lower ones, which is faster than sorting places;
+    where values differ in the lower bits only, this may leave them out of order, and then places are sorted.
+    """
+    low = np.uint64((1 << max(len(a) - 1, 0).bit_length()) - 1)
+    marked = (a & ~low) | np.arange(len(a), dtype=np.uint64)
+    marked.sort()
+    order = (marked & low).view(np.int64)
+    ordered = a[order]
+    if (ordered[1:] < ordered[:-1]).any():
+        order = np.argsort(a)
+        ordered = a[order]
     new = np.empty(len(a), bool)
     new[:1] = True
-    ordered = a[order]
     np.not_equal(ordered[1:], ordered[:-1], out=new[1:])
     place = np.empty(len(a), np.int64)
     place[order] = np.cumsum(new) - 1
@@ -105,31 +137,28 @@ def blocks_of(docs: DataFrame, row_id: str, text: str, held_out: tuple[int, int]
     rows = docs.select(F.col(row_id).alias("i"), F.col(text).alias("t"), (crc_mod(row_id, modulus) == remainder).alias("h"), F.spark_partition_id().alias("p"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, held, sizes, places, size, n, part, id_type = [], [], [], [], 0, 0, 0, pa.int64()
-        number: dict[bytes, int] = {}
+        ids, held, texts, size, n, part, id_type = [], [], [], 0, 0, 0, pa.int64()
 
         def close() -> pa.RecordBatch:
-            hashes = np.fromiter(map(xxhash.xxh64_intdigest, number), np.uint64, len(number))
+            words, numbers, sizes = numbered_tokens(texts)
+            hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
             order = np.argsort(hashes, kind="stable")
             rank = np.empty(len(order), np.int32)
             rank[order] = np.arange(len(order), dtype=np.int32)
             columns = {"block": pa.array([(part << 24) | n], pa.int64()), "ids": pa.array([ids], pa.list_(id_type)), "held": pa.array([held], pa.list_(pa.bool_())), "sizes": pa.array([sizes], pa.list_(pa.int32()))}
-            return pa.RecordBatch.from_pydict(columns | {"words": pa.array([packed_keys(hashes[order])], pa.binary()), "places": pa.array([packed(rank[np.concatenate(places)])], pa.binary())})
+            return pa.RecordBatch.from_pydict(columns | {"words": pa.array([packed_keys(hashes[order])], pa.binary()), "places": pa.array([packed(rank[numbers])], pa.binary())})
 
         for b in batches:
             id_type = b.column(0).type
             part = b.column(3)[0].as_py() if b.num_rows else part
-            for i, t, h in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist()):
-                words = tokens(t.as_py())
+            for i, t, h in zip(b.column(0).to_pylist(), b.column(1).cast(pa.large_binary()), b.column(2).to_pylist()):
                 ids.append(i)
                 held.append(h)
-                sizes.append(len(words))
-                places.append(np.fromiter((number.setdefault(w, len(number)) for w in words), np.int32, len(words)))
-                size += sum(map(len, words)) + len(words)
+                texts.append(t.as_py() or b"")
+                size += len(texts[-1]) + 2
                 if size >= block_bytes:
                     yield close()
-                    ids, held, sizes, places, size, n = [], [], [], [], 0, n + 1
-                    number.clear()
+                    ids, held, texts, size, n = [], [], [], 0, n + 1
         if ids:
             yield close()
         release()
@@ -138,64 +167,65 @@ def blocks_of(docs: DataFrame, row_id: str, text: str, held_out: tuple[int, int]
 
 
 class Block:
-    """Arrays of a block, one entry for each token."""
+    """Arrays of a block: keys of different words in order, each token's place among them, whether it is learned from."""
 
     def __init__(self, words: bytes, places: bytes, sizes: np.ndarray, held: np.ndarray) -> None:
-        self.words, self.places = unpacked_keys(words), unpacked(places, np.int32)
-        self.word = self.words[self.places]
+        self.words, self.places = unpacked_keys(words), unpacked(places, np.int32).astype(np.int64)
         self.sizes = sizes.astype(np.int64)
         self.starts = np.cumsum(self.sizes) - self.sizes
-        self.inside = np.arange(len(self.places)) - np.repeat(self.starts, self.sizes)
         self.train = ~np.repeat(held.astype(bool), self.sizes)
 
 
-def _before(a: np.ndarray) -> np.ndarray:
-    """Each position's value at the position before it."""
-    out = np.empty_like(a)
-    out[1:], out[:1] = a[:-1], 0
-    return out
-
-
 def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different: float, depth: int, least: int) -> tuple[list[np.ndarray], np.ndarray | None, np.ndarray]:
-    """The next question (sorted keys, then columns to sum) as far as answers go, or probabilities; and counts of words.
+    """The next question (sorted keys, then columns to sum) as far as answers go, or probabilities; and counts of different words.
 
     Step 2 d: counts of strings of d + 1 words, and whether this block speaks for a string.
     Step 2 d + 1, d > 0: of contexts of d words the test's sum, its transitions and their counts;
     what comes back are the counts and transitions of contexts that pass.
+
+    Only tokens whose context is looked at are touched. What depends on a string alone is kept
+    by string; contexts are strings of the step before, so their places are known without a sort.
     """
     if 0 not in answers:
         return [b.words, np.bincount(b.places[b.train], minlength=len(b.words)).astype(np.int64)], None, np.zeros(0)
-    n = known = answers[0][0][b.places].astype(float)
-    p = (n + 1) / (total + different + 1)
-    key, kept = b.word, np.ones(len(n), bool)
+    n = known = answers[0][0].astype(float)
+    p = ((known + 1) / (total + different + 1))[b.places]
+    keys, place = b.words, b.places  # of the strings of d words that end at each token
+    inner = np.ones(len(p), bool)
+    inner[b.starts] = False
+    kept = np.flatnonzero(inner)  # tokens before which the context of d - 1 words is in the tree
     for d in range(1, depth + 1):
-        context, c = _before(key), _before(n)
-        live = kept & (b.inside >= d) & (c >= least)
-        at = np.flatnonzero(live & (n >= 2))
-        key = extended(context, b.word)
-        strings, some, place = distinct(key[at])
+        before = place[kept - 1]
+        enough = np.append(n >= least, False)[before]  # place -1: no such string
+        live, context = kept[enough], before[enough]
+        twice = np.append(n >= 2, False)[place[live]]
+        at, of = live[twice], context[twice]
+        strings, some, to = distinct(extended(keys[of], b.words[b.places[at]]))
         if 2 * d not in answers:
-            return [strings, np.bincount(place, b.train[at], len(strings)).astype(np.int64)], None, known
+            return [strings, np.bincount(to[b.train[at]], minlength=len(strings)).astype(np.int64)], None, known
         count, speaks = answers[2 * d][0].astype(float), answers[2 * d][1].astype(bool)
         count[count < 2] = 0
-        n = np.zeros(len(p))
-        n[at] = count[place]
-        at_live = np.flatnonzero(live)
-        contexts, _, of = distinct(context[at_live])
+        asked = np.zeros(len(keys), bool)
+        asked[context] = True
         if 2 * d + 1 not in answers:
             mine = np.flatnonzero(speaks & (count > 0))
-            where = at[some[mine]]
-            term = count[mine] * (np.log(count[mine] / c[where]) - np.log(p[where]))
-            to = np.searchsorted(contexts, context[where])
-            added = [np.bincount(to, w, len(contexts)) for w in (term, np.ones(len(to)), count[mine])]
-            return [contexts, *(a.astype(t) for a, t in zip(added, ASKED[1]))], None, known
+            said = of[some[mine]]
+            term = count[mine] * (np.log(count[mine] / n[said]) - np.log(p[at[some[mine]]]))
+            rank = np.cumsum(asked)[said] - 1
+            added = [np.bincount(rank, w, int(asked.sum())) for w in (term, np.ones(len(said)), count[mine])]
+            return [keys[asked], *(a.astype(t) for a, t in zip(added, ASKED[1]))], None, known
         mass, kinds = (x.astype(float) for x in answers[2 * d + 1])  # zero where the test failed
-        good = (kinds > 0)[of]
-        size, low, seen = c[at_live], p[at_live], n[at_live]
-        rest = size - mass[of] + DISCOUNT * kinds[of]
-        p[at_live] = np.where(good, (np.maximum(seen - DISCOUNT, 0) + rest * low) / size, low)
-        kept = np.zeros(len(p), bool)
-        kept[at_live] = good
+        good, rest = np.zeros(len(keys), bool), np.zeros(len(keys))
+        good[asked] = kinds > 0
+        rest[asked] = n[asked] - mass + DISCOUNT * kinds
+        seen = np.zeros(len(live))
+        seen[twice] = count[to]
+        passed = good[context]
+        kept, context = live[passed], context[passed]
+        p[kept] = (np.maximum(seen[passed] - DISCOUNT, 0) + rest[context] * p[kept]) / n[context]
+        place = np.full(len(p), -1)
+        place[at] = to
+        keys, n = strings, count
     return [], p, known
 
 
@@ -224,14 +254,11 @@ def questions(block: int, question: list[np.ndarray], buckets: int) -> dict[str,
 
 
 def sums(keys: list[np.ndarray], values: list[list[np.ndarray]]) -> tuple[list[list[np.ndarray]], int]:
-    """For each question the sums over all questions, and who speaks for a key (the first that holds it); keys of a positive first sum."""
+    """For each question the sums over all questions, and who speaks for a key (one that holds it); keys of a positive first sum."""
     flat = np.concatenate(keys)
-    order = np.argsort(flat, kind="stable")  # runs that are sorted already are merged
-    first = np.concatenate(([True], flat[order][1:] != flat[order][:-1]))
-    which = np.empty(len(flat), np.int64)
-    which[order] = np.cumsum(first) - 1
+    _, some, which = distinct(flat)
     speaks = np.zeros(len(flat), bool)
-    speaks[order[first]] = True
+    speaks[some] = True
     added = [np.bincount(which, np.concatenate([v[c] for v in values])) for c in range(len(values[0]))]
     cuts = np.cumsum([len(k) for k in keys])[:-1]
     columns = [np.split(a[which], cuts) for a in added] + [np.split(speaks, cuts)]
@@ -346,9 +373,9 @@ def score_texts(
             return empty.slice(0, 0)
         b, told = _met(left, right, steps[-1] + 1)
         _, p, known = walk(b, told, total, different, depth, least)
-        base = np.log10((known + 1) / (total + different + 1))
+        base = np.log10((known + 1) / (total + different + 1))[b.places]
         ids, held = left.column("ids")[0].values, left.column("held")[0].values
-        columns = [ids, held, pa.array(b.sizes), pa.array(np.add.reduceat((known > 0).astype(np.int64), b.starts)), pa.array(np.full(len(ids), total, np.int64)), pa.array(np.add.reduceat(base, b.starts)), pa.array(np.add.reduceat(np.log10(p), b.starts))]
+        columns = [ids, held, pa.array(b.sizes), pa.array(np.add.reduceat((known > 0).astype(np.int64)[b.places], b.starts)), pa.array(np.full(len(ids), total, np.int64)), pa.array(np.add.reduceat(base, b.starts)), pa.array(np.add.reduceat(np.log10(p), b.starts))]
         del b, told, p, known, base
         release()
         return pa.Table.from_arrays(columns, ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])

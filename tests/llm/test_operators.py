@@ -659,3 +659,42 @@ def test_a_stashed_table_keeps_no_shuffle(spark):
     kept = shuffles.size()
     common.stash(df)
     assert shuffles.size() == kept == before + 1 and spark.conf.get(common._CLEAN) == setting  # one of df.collect()
+
+
+def test_tokens_numbered_by_arrays_are_those_of_each_text():
+    from quiesce.llm import suffix_tree as S
+
+    odd = ["", " ", "\n\n", " a", "a ", "A  b\x0bC\x0c\r\n d", "Ü x\x1cy", "a\x00 \x00", "x"]
+    rng = random.Random(6)
+    for texts in [odd, *(rng.choices(odd, k=4) for _ in range(50))]:
+        words, numbers, sizes = S.numbered_tokens([t.encode() for t in texts])
+        want = [S.tokens(t) for t in texts]
+        assert [w if w == S.END else w[:-1] for w in words[numbers]] == sum(want, []) and sizes.tolist() == list(map(len, want))
+        assert len(set(words)) == len(words)
+
+
+def test_different_values_that_differ_in_their_last_bits_only():
+    from quiesce.llm import suffix_tree
+
+    a = np.random.default_rng(5).integers(0, 700, 5000).astype(np.uint64) + np.uint64(2**63)
+    values, some, place = suffix_tree.distinct(a)
+    assert values.tolist() == sorted(set(a.tolist())) and (a[some] == values).all() and (values[place] == a).all()
+
+
+def test_a_walk_sorts_nothing_but_strings(monkeypatch):
+    """A block's tokens are sorted once for each depth: the places of contexts follow from the strings of the depth before."""
+    from quiesce.llm import suffix_tree as S
+
+    _, numbers, sizes = S.numbered_tokens([prose(300, s).encode() for s in range(4)])
+    keys = np.sort(np.random.default_rng(2).integers(0, 2**63, numbers.max() + 1, dtype=np.uint64))
+    block = S.Block(S.packed_keys(keys), S.packed(numbers.astype(np.int32)), sizes, np.zeros(4, bool))
+    calls, sort, told = [], S.distinct, {}
+    for step in (0, 2, 3, 4, 5):
+        question = S.walk(block, told, float(sizes.sum()), float(len(keys)), 2, 2)[0]
+        assert (question[0][1:] > question[0][:-1]).all()
+        sums = S.sums([question[0]], [question[1:]])[0][0]
+        told[step] = S.passing(*sums[:3], 0.0) if step % 2 else sums[:2]
+    monkeypatch.setattr(S, "distinct", lambda a: calls.append(len(a)) or sort(a))
+    nothing, p, _ = S.walk(block, told, float(sizes.sum()), float(len(keys)), 2, 2)
+    assert nothing == [] and len(p) == len(numbers) and (p > 0).all() and (p <= 1).all()
+    assert len(calls) == 2 and len(numbers) >= calls[0] >= calls[1] > 0
