@@ -99,11 +99,14 @@ def unpacked_keys(data: bytes) -> np.ndarray:
     return np.cumsum(unpacked(data, np.uint64), dtype=np.uint64)
 
 
-def extended(context: np.ndarray, word: np.ndarray) -> np.ndarray:
-    """Keys of strings from those of their contexts and of their last words."""
-    x = context * np.uint64(0x9E3779B97F4A7C15) + (word ^ (word >> np.uint64(29)))
-    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
-    return x ^ (x >> np.uint64(32))
+def extended(contexts: np.ndarray, of: np.ndarray, words: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """Keys of strings from the different keys of contexts and words, and the places among them of each string's context and last word."""
+    x = (contexts * np.uint64(0x9E3779B97F4A7C15))[of]
+    x += (words ^ (words >> np.uint64(29)))[last]
+    x ^= x >> np.uint64(32)
+    x *= np.uint64(0xD6E8FEB86659FD93)
+    x ^= x >> np.uint64(32)
+    return x
 
 
 def distinct(a: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -113,9 +116,11 @@ def distinct(a: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     where values differ in the lower bits only, this may leave them out of order, and then places are sorted.
     """
     low = np.uint64((1 << max(len(a) - 1, 0).bit_length()) - 1)
-    marked = (a & ~low) | np.arange(len(a), dtype=np.uint64)
-    marked.sort()
-    order = (marked & low).view(np.int64)
+    order = a & ~low
+    order |= np.arange(len(a), dtype=np.uint64)
+    order.sort()
+    order &= low
+    order = order.view(np.int64)
     ordered = a[order]
     if (ordered[1:] < ordered[:-1]).any():
         order = np.argsort(a)
@@ -200,7 +205,7 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
         live, context = kept[enough], before[enough]
         twice = np.append(n >= 2, False)[place[live]]
         at, of = live[twice], context[twice]
-        strings, some, to = distinct(extended(keys[of], b.words[b.places[at]]))
+        strings, some, to = distinct(extended(keys, of, b.words, b.places[at]))
         if 2 * d not in answers:
             return [strings, np.bincount(to[b.train[at]], minlength=len(strings)).astype(np.int64)], None, known
         count, speaks = answers[2 * d][0].astype(float), answers[2 * d][1].astype(bool)
@@ -218,13 +223,14 @@ def walk(b: Block, answers: dict[int, list[np.ndarray]], total: float, different
         good, rest = np.zeros(len(keys), bool), np.zeros(len(keys))
         good[asked] = kinds > 0
         rest[asked] = n[asked] - mass + DISCOUNT * kinds
-        seen = np.zeros(len(live))
-        seen[twice] = count[to]
         passed = good[context]
         kept, context = live[passed], context[passed]
-        p[kept] = (np.maximum(seen[passed] - DISCOUNT, 0) + rest[context] * p[kept]) / n[context]
         place = np.full(len(p), -1)
         place[at] = to
+        own = np.append(np.maximum(count - DISCOUNT, 0), 0.0)[place[kept]]
+        own += rest[context] * p[kept]
+        own /= n[context]
+        p[kept] = own
         keys, n = strings, count
     return [], p, known
 
