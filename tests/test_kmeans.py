@@ -2,10 +2,12 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from quiesce.operators import baselines as B
 from quiesce.operators import kmeans as K
+from quiesce.operators.packed import Kernel
 from quiesce.plans.policy import Exchange, Stop
 
 LINE = [0, 1, 10, 11]
@@ -60,6 +62,33 @@ def test_local_sweeps_settle(spark, local):
     assert K.enabled_tuples(p, run.state["assign"], run.state["centers"]).first()[0] == 0
 
 
+@pytest.mark.parametrize("seed", range(8))
+def test_local_moves_are_taken_one_at_a_time(seed):
+    """Windows of points decide as single points do that see all moves before them."""
+    r = np.random.default_rng(seed)
+    k, d, n = int(r.integers(2, 7)), int(r.integers(1, 5)), 700
+    x, c = (r.integers(0, 30, (d, n)) if seed % 2 else r.normal(size=(d, n))), r.integers(0, k, n).astype(np.int32)
+    held = {m: (int((c == m).sum()), x[:, c == m].sum(axis=1).tolist()) for m in range(k)}
+    kernel = Kernel(held, K.means(held), d, bool(seed % 2), "stay", "buffered", 2, "serial")
+    size, total, want = kernel.n0.copy(), kernel.s0.copy(), c.copy()
+    for _ in range(2):
+        gap = ((x.T[:, None, :] - (total / size[:, None])[None]) ** 2).sum(axis=2)
+        for i in np.flatnonzero(gap.min(axis=1) < gap[np.arange(n), want]):
+            p, a = x[:, i], want[i]
+            with np.errstate(divide="ignore", invalid="ignore"):
+                now = np.where(size > 0, ((p - total / size[:, None]) ** 2).sum(axis=1), np.inf)
+            b = int(now.argmin())
+            if now[b] < now[a] and size[a] > 1:
+                total[a], size[a], total[b], size[b], want[i] = total[a] - p, size[a] - 1, total[b] + p, size[b] + 1, b
+    assert (kernel.local(x, c) == want).all()
+
+
+def test_repeated_ids_count_once_after_local_sweeps(spark):
+    p = spark.createDataFrame([("same", i % 2 * 50, (i + (i < 2)) % 2) for i in range(20)], "pid string, x0 long, start int")
+    run = K.kmeans(p, 2, init="column", start="start", sweeps_per_exchange=4)
+    assert [(r.m, r.n, r.c0) for r in run.state["centers"].orderBy("m").collect()] == [(0, 10, 0.0), (1, 10, 50.0)]
+
+
 def test_library_baseline(spark):
     p = spark.createDataFrame([(i, float(i % 2 * 9)) for i in range(20)], "pid long, x0 double")
     run = B.baseline_kmeans_library(p, 2)

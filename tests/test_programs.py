@@ -67,6 +67,28 @@ def test_derived_clusterings_leave_nothing_in_memory(spark, monkeypatch):
     assert sorted((r.m, r.size, r.c0) for r in got.collect()) == [(m, 20, 1000 * m + 9.5) for m in range(4)]
 
 
+def test_every_different_clustering_runs(spark, monkeypatch):
+    """Each layout with each exchange, without shards and with each way to split: 60 plans, and 20 that sweep four times between exchanges."""
+    rows = [(str(i), 1000 * (i % 4) + i // 4, i % 4, (i + (i % 7 == 0)) % 4) for i in range(80)]
+    p = spark.createDataFrame(rows, "pid string, x0 long, truth int, start int")
+    monkeypatch.setattr(Q.T, "anchored", lambda spark, sf_dir: p)
+    run = Q.K.kmeans
+    ran, at_rest = [], run(p, 4, init="column", start="start")
+
+    def noted(points, k, **options):
+        ran.append(tuple(options[x] for x in ("layout", "exchange", "sweeps_per_exchange", "shards", "split")))
+        return run(points, k, **options) if options["sweeps_per_exchange"] > 1 and options["shards"] is None else at_rest
+
+    monkeypatch.setattr(Q.K, "kmeans", noted)
+    got = Q.derived_kmeans(spark, "")
+    once = {(layout.removesuffix("_blocks") if n > 1 else layout, x, n, shards, split if shards else "") for layout, x, n, shards, split in ran}
+    covers = [(None, ""), *((4, split) for split in ("any", "value", "range", "block"))]
+    want = {(layout + b, x, 1, *c) for layout in ("separate", "localized") for b in ("", "_blocks") for x in ("buffered", "master", "indirect") for c in covers}
+    want |= {(layout, x, 4, *c) for layout in ("separate", "localized") for x in ("buffered", "master") for c in covers}
+    assert once == want and len(ran) == len(want) == 80
+    assert sorted((r.m, r.size, r.c0) for r in got.collect()) == [(m, 20, 1000 * m + 9.5) for m in range(4)]
+
+
 def test_diagonal_chain():
     s = L.diagonal_product("padded")
     assert L.product_layout(s) == "padded" and s.order == ("k", "i") and len(s.steps) == 5
