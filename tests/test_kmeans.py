@@ -91,18 +91,22 @@ def test_repeated_ids_count_once_after_local_sweeps(spark):
 
 
 @pytest.mark.parametrize("split", ["range", "any", "block", "value"])
-def test_tables_of_a_layout_lie_side_by_side(spark, split):
+def test_tables_of_a_layout_lie_side_by_side(spark, split, monkeypatch):
     """Sweeps of separate tables shuffle no points, and the files of the one shuffle that dealt them out are gone; equal ids are points of their own."""
     tracker = spark.sparkContext._jsc.sc().env().mapOutputTracker()
     numbers = spark.range(0, 700, numPartitions=7)
     p = numbers.select((F.col("id") % 350).cast("string").alias("pid"), (F.col("id") % 3 * 50).alias("x0"), ((F.col("id") + (F.col("id") % 7 == 0).cast("int")) % 3).cast("int").alias("start"))
-    cover = {"shards": 4, "split": split}
-    if split == "block":  # here, since the few ids that are drawn as bounds leave a small shuffle
-        p, cover = K._blocks_of_ids(p, 4), {}
-    before = spark.sparkContext._jsc.sc().newShuffleId()
-    runs = [K.kmeans(p, 3, init="column", start="start", layout=x, **cover) for x in ("separate", "localized", "separate_blocks")]
-    after = spark.sparkContext._jsc.sc().newShuffleId()
-    left = [tracker.getNumAvailableOutputs(i) for i in range(before + 1, after) if tracker.containsShuffle(i)]
+    number, deal, drawn = spark.sparkContext._jsc.sc().newShuffleId, K._blocks_of_ids, set()
+
+    def noted(points, shards):  # the few ids that are drawn as bounds leave a small shuffle
+        first, out = number(), deal(points, shards)
+        drawn.update(range(first, number()))
+        return out
+
+    monkeypatch.setattr(K, "_blocks_of_ids", noted)
+    before = number()
+    runs = [K.kmeans(p, 3, init="column", start="start", layout=x, shards=4, split=split) for x in ("separate", "localized", "separate_blocks")]
+    left = [tracker.getNumAvailableOutputs(i) for i in range(before + 1, number()) if i not in drawn and tracker.containsShuffle(i)]
     assert max(left, default=0) <= 4  # tables of points are read in 7 parts; sums come from 4
     for run in runs:
         assert [(r.m, r.n, r.c0) for r in run.state["centers"].orderBy("m").collect()] == [(0, 234, 0.0), (1, 233, 50.0), (2, 233, 100.0)]
