@@ -120,6 +120,10 @@ def test_separate_tables_join_in_place(spark):
     with K.joined_in_place(spark):
         plan = engine._joined(engine.base)._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" in plan and "Exchange" not in plan and "Sort [" not in plan
+    blocks = K._Blocks(p, ["x0"], "separate_blocks", "stay", Exchange.buffered(), "serial")
+    with K.joined_in_place(spark):
+        plan = blocks._joined()._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan and "Sort [" not in plan
     engine.base = engine.base.withColumn("mark", F.lit(0))
     with pytest.raises(Exception, match="another order"):
         engine._joined(engine.base).collect()
